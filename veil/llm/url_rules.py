@@ -79,15 +79,15 @@ def judge(pages: DataFrame, rules: DataFrame, url: str = "url", default: str = "
     best = (
         expressions.join(side, "short")
         .filter(F.col("digest") == F.col("full"))
-        .groupBy("__u")
+        .groupBy(F.col("__u").alias("__b"))
         .agg(F.max_by(F.struct("rule", "ruled"), F.struct(F.length("rule"), F.col("ruled"))).alias("best"))
     )
-    judged = urls.join(best, urls["__u"].eqNullSafe(best["__u"]), "left").select(
-        urls["__u"],
+    judged = urls.join(best, F.col("__u") == F.col("__b"), "left").select(
+        "__u",
         "host",
         "path",
         F.col("best.rule").alias("rule"),
         F.coalesce("best.ruled", F.lit(default)).alias("verdict"),
     )
     kept = pages.drop("host", "path", "rule", "verdict")
-    return kept.join(judged, kept[url].eqNullSafe(judged["__u"]), "left").drop("__u")
+    return kept.join(judged, F.col(url).eqNullSafe(F.col("__u")), "left").drop("__u")
