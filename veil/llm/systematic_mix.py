@@ -30,6 +30,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from veil.llm.words import word_count
+from veil.sources.shared import materialize
 
 UNIT = 100_000_000
 MAX_COPIES = 3
@@ -95,21 +96,30 @@ def emit_copies(docs: DataFrame, expected: Column, group: str, size: str, key: s
     return out.drop(*bucket, "__u", "__t", "__b", "__start", "__run", "__end", "__begin")
 
 
-def mix(docs: DataFrame, seed: str = "mix", text: str = "text", group: str = "source", key: str = "doc_id") -> DataFrame:
-    """Every document with ``size, source_size, target, copies, taken``."""
-    sized = docs.drop(*COMPUTED).withColumn("size", word_count(F.col(text)))
-    n_rows = docs.count()
-    sizes = sized.groupBy(F.col(group).alias("source")).agg(F.sum("size").alias("source_size"))
+def sized(docs: DataFrame, text: str = "text") -> DataFrame:
+    """Add ``size`` (words, long)."""
+    return docs.drop(*COMPUTED).withColumn("size", word_count(F.col(text)))
+
+
+def mix(docs: DataFrame, seed: str = "mix", group: str = "source", key: str = "doc_id") -> DataFrame:
+    """Every row of a sized table with ``source_size, target, copies, taken``.
+
+    The table is written once in the shared folder: sizes are counted in one
+    scan, and the sums per source, per bucket and along a bucket read the file.
+    """
+    rows = materialize(docs, "mix-sized")
+    sizes = rows.groupBy(F.col(group).alias("source")).agg(F.sum("size").alias("source_size"))
     goal = targets(sizes).withColumnRenamed("source", "__s")
-    joined = sized.join(goal, F.col(group).eqNullSafe(F.col("__s")), "left").drop("__s")
+    joined = rows.join(goal, F.col(group).eqNullSafe(F.col("__s")), "left").drop("__s")
     expected = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)
-    out = emit_copies(joined, expected, group, "size", key, seed, n_rows)
+    out = emit_copies(joined, expected, group, "size", key, seed, rows.count())
     return out.withColumn("taken", F.col("copies") * F.col("size"))
 
 
 def sample(docs: DataFrame, **options) -> DataFrame:
     """The mix itself: each document once per copy, with the columns it came with."""
-    mixed = mix(docs, **options)
-    return mixed.filter(F.col("copies") > 0).withColumn(
-        "__k", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies")))
-    ).select(*docs.columns)
+    named = {c: f"__in_{c}" for c in docs.columns if c in COMPUTED}  # their names are free while mixing
+    mixed = mix(sized(docs.withColumnsRenamed(named)), **options)
+    copies = F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies"))).alias("__k")
+    out = mixed.filter(F.col("copies") > 0).select(*mixed.columns, copies)
+    return out.select(*[F.col(named.get(c, c)).alias(c) for c in docs.columns])
