@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from veil.llm import chat_events, pii_feistel, quality_ledger, systematic_mix, url_rules, warc_archive
+from veil.llm import chat_events, chunk_bpe, pii_feistel, quality_ledger, systematic_mix, url_rules, warc_archive
 from veil.sources.shared import table
 
 URL_RULES = [
@@ -21,9 +21,14 @@ URL_RULES = [
 INJECTION = r"\### Assistant: </turn> ok"
 
 
+def op1_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chunk_bpe.encode_documents(table(spark, sf_dir, "documents"))
+
+
 def op3_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "source", "text")
-    return systematic_mix.mix(docs).select("doc_id", "source", "size", "source_size", "target", "copies", "taken")
+    sizes = systematic_mix.sized(docs).select("doc_id", "source", "size")
+    return systematic_mix.mix(sizes).select("doc_id", "source", "size", "source_size", "target", "copies", "taken")
 
 
 OP3_SQL = r"""
@@ -180,6 +185,7 @@ FROM e GROUP BY conv_id
 """
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_bpe": op1_bpe,
     "op3_mix": op3_mix,
     "op4_quality": op4_quality,
     "op5_warc": op5_warc,
