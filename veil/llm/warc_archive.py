@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from veil.sources.shared import shared_path
+from veil.sources.shared import materialize, shared_path
 
 ALPHABET = "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
@@ -39,9 +39,8 @@ RECORDS_PER_FILE = 4000
 SCHEMA = "page_id long, url string, record_type string, payload_bytes long, payload_digest string, refers_to long, payload binary"
 
 
-def base32_sha1(data: Column) -> Column:
-    """Upper-case base32 of the SHA-1: eight groups of 20 bits, four letters each."""
-    digest = F.sha1(data)
+def base32(digest: Column) -> Column:
+    """Upper-case base32 of a hex SHA-1: eight groups of 20 bits, four letters each."""
     letters = []
     for g in range(8):
         bits = F.conv(F.substr(digest, F.lit(5 * g + 1), F.lit(5)), 16, 10).cast("int")
@@ -54,18 +53,30 @@ def _record_id(page: Column, digest: Column) -> Column:
     return F.concat(F.lit("<urn:uuid:"), F.regexp_replace(h, "^(.{8})(.{4})(.{4})(.{4})(.{12})$", "$1-$2-$3-$4-$5"), F.lit(">"))
 
 
-def resolve(pages: DataFrame, least: int = 0) -> DataFrame:
-    """Per distinct (page_id, digest): the response it refers to, null for responses.
+def headers(pages: DataFrame) -> DataFrame:
+    """``page_id, mark, digest, size`` of every record, written once: one scan hashes the payloads.
+
+    ``mark`` is a cheap hash of the payload, by which rows find their header again.
+    """
+    body = F.coalesce(F.col("html"), F.lit(""))
+    heads = pages.select("page_id", F.xxhash64(body).alias("mark"), F.sha1(body).alias("sha"), F.octet_length(body).alias("size"))
+    return materialize(heads.distinct(), "warc-heads").withColumn("digest", base32(F.col("sha"))).drop("sha")
+
+
+def resolve(heads: DataFrame, least: int = 0) -> DataFrame:
+    """Adds to each header the response it refers to, null for responses.
 
     The response of a payload is the record with the largest page id.
     """
-    heads = pages.select("page_id", "digest", F.when(F.col("size") >= least, F.col("digest")).alias("same")).distinct()
+    heads = heads.withColumn("same", F.when(F.col("size") >= least, F.col("digest")))
     first = heads.filter("same is not null").groupBy(F.col("same").alias("__d")).agg(F.max("page_id").alias("response_id"))
     joined = heads.join(first, F.col("same") == F.col("__d"), "left")
     own = F.col("response_id").isNull() | F.col("page_id").eqNullSafe(F.col("response_id"))
     return joined.select(
         F.col("page_id").alias("__p"),
-        F.col("digest").alias("__h"),
+        F.col("mark").alias("__m"),
+        "digest",
+        "size",
         own.alias("is_response"),
         F.when(~own, F.col("response_id")).alias("refers_to"),
     )
@@ -73,12 +84,10 @@ def resolve(pages: DataFrame, least: int = 0) -> DataFrame:
 
 def records(pages: DataFrame, least: int = 0) -> DataFrame:
     """One WARC record per row of ``page_id, url, html``: column ``value`` without its last line break."""
+    known = resolve(headers(pages), least)
     body = F.coalesce(F.col("html"), F.lit(""))
-    p = pages.select("page_id", "url", body.alias("body")).withColumns(
-        {"digest": base32_sha1(F.col("body").cast("binary")), "size": F.octet_length("body")}
-    )
-    known = resolve(p, least)
-    r = p.join(known, F.col("page_id").eqNullSafe(F.col("__p")) & (F.col("digest") == F.col("__h")))
+    p = pages.select("page_id", "url", body.alias("body"), F.xxhash64(body).alias("mark"))
+    r = p.join(known, F.col("page_id").eqNullSafe(F.col("__p")) & (F.col("mark") == F.col("__m")))
     uri = F.replace(F.replace(F.coalesce("url", F.lit("")), F.lit("\r"), F.lit("%0D")), F.lit("\n"), F.lit("%0A"))
     http = F.concat(F.lit("HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: "), F.col("size").cast("string"), F.lit("\r\n\r\n"))
     block = F.when(F.col("is_response"), F.concat(http, F.col("body"))).otherwise(http)
