@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from veil.llm import chat_events, chunk_bpe, pii_feistel, quality_ledger, systematic_mix, url_rules, warc_archive
+from veil.llm import chat_events, chunk_bpe, jaccard_join, pii_feistel, quality_ledger, systematic_mix, url_rules, warc_archive
 from veil.sources.shared import table
 
 URL_RULES = [
@@ -149,6 +149,27 @@ FROM u
 """
 
 
+def op9_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = jaccard_join.jaccard_components(table(spark, sf_dir, "documents"))
+    return found.select("doc_id", "n_shingles", "component_id")
+
+
+OP9_SQL = r"""
+WITH RECURSIVE d AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'),
+         '[^\x20\x09-\x0D]+') AS w FROM documents),
+s AS (
+  SELECT DISTINCT doc_id, list_aggregate(w[i:i + 4], 'string_agg', ' ') AS g
+  FROM d, unnest(range(1, greatest(len(w) - 4, 1) + 1)) AS r(i) WHERE len(w) > 0),
+n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
+o AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS k FROM s x JOIN s y ON x.g = y.g AND x.doc_id <> y.doc_id GROUP BY 1, 2),
+l AS (SELECT a, b FROM o JOIN n na ON na.doc_id = a JOIN n nb ON nb.doc_id = b WHERE 7 * k >= 3 * (na.n + nb.n)),
+c(doc_id, other) AS (SELECT a, b FROM l UNION SELECT c.doc_id, l.b FROM c JOIN l ON c.other = l.a)
+SELECT d.doc_id, coalesce(max(n.n), 0) AS n_shingles, least(d.doc_id, coalesce(min(c.other), d.doc_id)) AS component_id
+FROM d LEFT JOIN n ON n.doc_id = d.doc_id LEFT JOIN c ON c.doc_id = d.doc_id GROUP BY d.doc_id
+"""
+
+
 def op10_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
     own = spark.createDataFrame(
@@ -191,7 +212,8 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op5_warc": op5_warc,
     "op6_pii": op6_pii,
     "op8_url_rules": op8_url_rules,
+    "op9_jaccard": op9_jaccard,
     "op10_chat": op10_chat,
 }
 
-ORACLES: dict[str, str] = {"op3_mix": OP3_SQL, "op5_warc": OP5_SQL, "op4_quality": OP4_SQL, "op8_url_rules": OP8_SQL, "op10_chat": OP10_SQL}
+ORACLES: dict[str, str] = {"op3_mix": OP3_SQL, "op5_warc": OP5_SQL, "op4_quality": OP4_SQL, "op8_url_rules": OP8_SQL, "op9_jaccard": OP9_SQL, "op10_chat": OP10_SQL}
