@@ -40,81 +40,27 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from veil.llm.word_hash import BLOCK, mix, segments, word_hashes
 from veil.operators.components import connected_components
 from veil.sources.shared import materialize
 
 WORDS = 5
 #: Threshold as a fraction.
 NUM, DEN = 3, 4
-BLOCK = 4 << 20
+_C = [np.uint64(pow(0xD6E8FEB86659FD93, k + 1, 1 << 64) | 1) for k in range(WORDS)]
 SHORT_LIST = 16
 HUBS = 3
 HUB_ROUNDS = 4
 
-_P = np.uint64(0x9E3779B97F4A7C15 | 1)
-_C = [np.uint64(pow(0xD6E8FEB86659FD93, k + 1, 1 << 64) | 1) for k in range(WORDS)]
-_LOWER = np.arange(256, dtype=np.uint64)
-_LOWER[65:91] += np.uint64(32)
-_GAP = np.zeros(256, bool)
-_GAP[[9, 10, 11, 12, 13, 32]] = True
-
-
-def _mix(x: np.ndarray) -> np.ndarray:
-    x = (x ^ (x >> np.uint64(32))) * np.uint64(0xD6E8FEB86659FD93)
-    x = (x ^ (x >> np.uint64(29))) * np.uint64(0xA0761D6478BD642F)
-    return x ^ (x >> np.uint64(32))
-
-
-class _Powers:
-    """Powers of an odd number modulo 2**64 and of its inverse, grown on demand."""
-
-    def __init__(self) -> None:
-        self.up = self.down = np.ones(1, np.uint64)
-
-    def get(self, n: int) -> tuple[np.ndarray, np.ndarray]:
-        if len(self.up) < n:
-            inverse = np.uint64(pow(int(_P), -1, 1 << 64))
-            self.up = np.cumprod(np.concatenate([[np.uint64(1)], np.full(n, _P)]), dtype=np.uint64)
-            self.down = np.cumprod(np.concatenate([[np.uint64(1)], np.full(n, inverse)]), dtype=np.uint64)
-        return self.up, self.down
-
-
-_POWERS = _Powers()
-
-
-def word_hashes(data: bytes) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes of the lower-cased words of a text and their start offsets."""
-    b = np.frombuffer(data, np.uint8)
-    word = ~_GAP[b]
-    edge = np.flatnonzero(np.diff(np.concatenate([[False], word, [False]]).astype(np.int8)))
-    starts, ends = edge[::2], edge[1::2]
-    up, down = _POWERS.get(len(b) + 1)
-    total = np.concatenate([[np.uint64(0)], np.cumsum((_LOWER[b] + np.uint64(1)) * up[: len(b)], dtype=np.uint64)])
-    h = (total[ends] - total[starts]) * down[starts]
-    return _mix(h + (ends - starts).astype(np.uint64) * np.uint64(0x9FB21C651E98DF25)), starts
-
-
-def _long_text(data: bytes) -> np.ndarray:
-    """Word hashes of a text of any length, in segments cut at gaps."""
-    out, at = [], 0
-    while at < len(data):
-        end = min(len(data), at + BLOCK)
-        while end < len(data) and not _GAP[data[end]]:
-            end += 1
-        out.append(word_hashes(data[at:end])[0])
-        at = end
-    return np.concatenate(out) if out else np.zeros(0, np.uint64)
-
-
 def shingle_set(words: np.ndarray) -> np.ndarray:
     """Distinct shingle hashes, sorted; fewer than five words make one shingle."""
     n = len(words)
     if n == 0:
         return words
     if n < WORDS:
-        return _mix(sum((words[k : k + 1] * _C[k] for k in range(n)), np.zeros(1, np.uint64)) + np.uint64(n))
+        return mix(sum((words[k : k + 1] * _C[k] for k in range(n)), np.zeros(1, np.uint64)) + np.uint64(n))
     k = n - WORDS + 1
-    return np.unique(_mix(sum((words[j : j + k] * _C[j] for j in range(WORDS)), np.zeros(k, np.uint64))))
+    return np.unique(mix(sum((words[j : j + k] * _C[j] for j in range(WORDS)), np.zeros(k, np.uint64))))
 
 
 def sets_of(texts: list[bytes]) -> list[np.ndarray]:
@@ -123,7 +69,7 @@ def sets_of(texts: list[bytes]) -> list[np.ndarray]:
     small = []
     for i, t in enumerate(texts):
         if len(t) > BLOCK:
-            out[i] = shingle_set(_long_text(t))
+            out[i] = shingle_set(np.concatenate([h for h, _, _ in segments(t)] or [np.zeros(0, np.uint64)]))
         else:
             small.append(i)
     at = 0
@@ -133,7 +79,7 @@ def sets_of(texts: list[bytes]) -> list[np.ndarray]:
             take.append(small[at])
             held += len(texts[small[at]]) + 1
             at += 1
-        h, starts = word_hashes(b" ".join(texts[i] for i in take))
+        h, starts, _ = word_hashes(b" ".join(texts[i] for i in take))
         offsets = np.cumsum([0] + [len(texts[i]) + 1 for i in take])
         cut = np.searchsorted(starts, offsets)
         for j, i in enumerate(take):

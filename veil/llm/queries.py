@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from veil.llm import chat_events, chunk_bpe, jaccard_join, pii_feistel, quality_ledger, systematic_mix, url_rules, warc_archive
+from veil.llm import chat_events, chunk_bpe, jaccard_join, learned_partitions, license_scan, pii_feistel, quality_ledger, systematic_mix, url_rules, warc_archive
 from veil.sources.shared import table
 
 URL_RULES = [
@@ -25,6 +25,10 @@ def op1_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chunk_bpe.encode_documents(table(spark, sf_dir, "documents"))
 
 
+def op2_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return learned_partitions.search(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 20 == 0, k=20)
+
+
 def op3_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "source", "text")
     sizes = systematic_mix.sized(docs).select("doc_id", "source", "size")
@@ -126,6 +130,10 @@ def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii_feistel.pseudonymize(found)
 
 
+def op7_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_scan.scan(table(spark, sf_dir, "documents"))
+
+
 def op8_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = table(spark, sf_dir, "pages").select("page_id", "url")
     judged = url_rules.judge(pages, url_rules.rule_table(spark, URL_RULES))
@@ -207,10 +215,12 @@ FROM e GROUP BY conv_id
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_bpe": op1_bpe,
+    "op2_neighbours": op2_neighbours,
     "op3_mix": op3_mix,
     "op4_quality": op4_quality,
     "op5_warc": op5_warc,
     "op6_pii": op6_pii,
+    "op7_licenses": op7_licenses,
     "op8_url_rules": op8_url_rules,
     "op9_jaccard": op9_jaccard,
     "op10_chat": op10_chat,
