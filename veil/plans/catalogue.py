@@ -904,7 +904,7 @@ def w13(s, d):
     return M.recall(r.matches, compare(p.a, p.b, p.rule, B.cyclic_window(16, 16, F.col("home")))).crossJoin(r.cost.select(F.col("cost").cast("long").alias("cost")))
 
 
-@query("w14_texts", "WITH d AS (SELECT doc_id, lang, translate(substr(text, 1, 60), 'ABCDEFGHIJKLMNOPQRSTUVWXYZÄÖÜÉÈÊÇÑÓÍÁÚ', 'abcdefghijklmnopqrstuvwxyzäöüéèêçñóíáú') AS h FROM documents) SELECT x.doc_id AS a_id, y.doc_id AS b_id FROM d x JOIN d y ON x.lang = y.lang AND x.doc_id % 2 = 0 AND y.doc_id % 2 = 1 AND abs(length(x.h) - length(y.h)) <= 6 AND levenshtein(x.h, y.h) <= 6")
+@query("w14_texts", "WITH d AS (SELECT doc_id, lang, translate(lower(substr(text, 1, 60)), 'äöüßéèêçñóíáú', '0123456789@~^') AS h FROM documents) SELECT x.doc_id AS a_id, y.doc_id AS b_id FROM d x JOIN d y ON x.lang = y.lang AND x.doc_id % 2 = 0 AND y.doc_id % 2 = 1 AND abs(length(x.h) - length(y.h)) <= 6 AND levenshtein(x.h, y.h) <= 6")
 def w14(s, d):
     """Equal heads are collapsed first; distinct heads meet on shared pieces.
 

@@ -7,12 +7,48 @@ one machine) is a temporary folder chosen.
 
 from __future__ import annotations
 
+import io
+import os
 import tempfile
 import uuid
+import zipfile
+from collections.abc import Callable
+from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
 _FALLBACK: dict[str, str] = {}
+_SHIPPED: set[str] = set()
+
+
+def ship(spark: SparkSession) -> None:
+    """Send this package's source to the executors, once per application.
+
+    Python functions that run there are found by name, so the package must be
+    importable where a cluster does not have it installed.
+    """
+    app = spark.sparkContext.applicationId
+    if app in _SHIPPED:
+        return
+    root = Path(__file__).resolve().parent.parent
+    buffer = io.BytesIO()
+    with zipfile.ZipFile(buffer, "w", zipfile.ZIP_DEFLATED) as z:
+        for f in sorted(root.rglob("*.py")):
+            z.write(f, f.relative_to(root.parent))
+    path = os.path.join(tempfile.mkdtemp(prefix="veil-source-"), "veil_source.zip")
+    Path(path).write_bytes(buffer.getvalue())
+    spark.sparkContext.addPyFile(path)  # served by the driver
+    _SHIPPED.add(app)
+
+
+def in_arrow(df: DataFrame, f: Callable, ddl: str, *args: object) -> DataFrame:
+    """``mapInArrow`` of ``f(batches, arrow_schema, *args)`` with a result of ``ddl``."""
+    from pyspark.sql.pandas.types import to_arrow_schema
+    from pyspark.sql.types import _parse_datatype_string
+
+    ship(df.sparkSession)
+    schema = to_arrow_schema(_parse_datatype_string(ddl))
+    return df.mapInArrow(lambda batches: f(batches, schema, *args), ddl)
 
 
 def shared_root(spark: SparkSession) -> str:
@@ -52,4 +88,5 @@ def drop_path(spark: SparkSession, path: str) -> None:
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """One of the given tables."""
+    ship(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
