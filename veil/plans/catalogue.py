@@ -302,12 +302,12 @@ def b5(s, d):
 
 @query(
     "b6_multi",
-    "WITH e AS (SELECT o_orderkey AS i, o_custkey % 50 AS x, 50 + o_orderkey % 50 AS y FROM orders WHERE o_orderkey < 2000), f AS (SELECT i, x AS b FROM e UNION ALL SELECT i, y FROM e) "
+    "WITH e AS (SELECT o_orderkey AS i, o_custkey % 100000 AS x, 100000 + o_orderkey % 5000 AS y FROM orders), f AS (SELECT i, x AS b FROM e UNION ALL SELECT i, y FROM e) "
     "SELECT count(*) AS met, count(DISTINCT (p.i, q.i)) AS pairs FROM f p JOIN f q USING (b)",
 )
 def b6(s, d):
-    o = table(s, d, "orders").filter("o_orderkey < 2000").select(F.col("o_orderkey").alias("rid"), F.lit(1).alias("one"), (F.col("o_custkey") % 50).alias("x"), (50 + F.col("o_orderkey") % 50).alias("y"))
-    blk = B.multi("two keys", 100, [F.col("x"), F.col("y")])
+    o = table(s, d, "orders").select(F.col("o_orderkey").alias("rid"), F.lit(1).alias("one"), (F.col("o_custkey") % 100_000).alias("x"), (100_000 + F.col("o_orderkey") % 5_000).alias("y"))
+    blk = B.multi("two keys", 105_000, [F.col("x"), F.col("y")])
     r = P.plain(o, o, R.equal("one"), blk)
     return r.cost.select(F.col("cost").cast("long").alias("met")).crossJoin(r.matches.agg(F.count("*").alias("pairs")))
 
@@ -956,9 +956,9 @@ def w16(s, d):
     return r.agg(F.count("*").alias("n_output"), F.countDistinct("a_id").alias("a_records"), F.countDistinct("b_id").alias("b_records"))
 
 
-@query("w16_hosts", "WITH h AS (SELECT page_id, regexp_extract(url, '://([^/?#]*)', 1) AS h FROM pages) SELECT x.page_id AS a_id, y.page_id AS b_id FROM h x JOIN h y ON x.h = y.h WHERE x.page_id % 2 = 0 AND y.page_id % 2 = 1 AND x.page_id < 200 AND y.page_id < 200")
+@query("w16_hosts", "WITH h AS (SELECT page_id, regexp_extract(url, '://([^/?#]*)', 1) AS h FROM pages) SELECT x.page_id AS a_id, y.page_id AS b_id FROM h x JOIN h y ON x.h = y.h WHERE x.page_id % 2 = 0 AND y.page_id % 2 = 1")
 def w16_hosts(s, d):
-    h = table(s, d, "pages").filter("page_id < 200").select(F.col("page_id").alias("rid"), F.regexp_extract("url", "://([^/?#]*)", 1).alias("h"))
+    h = table(s, d, "pages").select(F.col("page_id").alias("rid"), F.regexp_extract("url", "://([^/?#]*)", 1).alias("h"))
     return P.intersect(h.filter("rid % 2 = 0"), h.filter("rid % 2 = 1"), ["h"]).matches
 
 

@@ -37,7 +37,7 @@ def cost_ratio(result_cost: DataFrame, a: DataFrame, b: DataFrame) -> DataFrame:
     """Cost over all pairs."""
     n = a.agg(F.count("*").alias("na")).crossJoin(b.agg(F.count("*").alias("nb")))
     every = F.col("na").cast("decimal(19,0)") * F.col("nb").cast("decimal(19,0)")
-    return result_cost.crossJoin(n).select(F.when(every > 0, F.round((F.col("cost") / every).cast("double"), 9)).alias("cost_ratio"))
+    return result_cost.crossJoin(n).select(F.when(every > 0, F.round(F.col("cost").cast("double") / every.cast("double"), 9)).alias("cost_ratio"))
 
 
 def loglog_slope(log: DataFrame, by: list[str]) -> DataFrame:
