@@ -7,6 +7,7 @@ one machine) is a temporary folder chosen.
 
 from __future__ import annotations
 
+import contextlib
 import io
 import os
 import tempfile
@@ -48,7 +49,45 @@ def in_arrow(df: DataFrame, f: Callable, ddl: str, *args: object) -> DataFrame:
 
     ship(df.sparkSession)
     schema = to_arrow_schema(_parse_datatype_string(ddl))
-    return df.mapInArrow(lambda batches: f(batches, schema, *args), ddl)
+
+    def run(batches):
+        try:
+            yield from f(batches, schema, *args)
+        finally:
+            _give_back()
+
+    return df.mapInArrow(run, ddl)
+
+
+def _give_back() -> None:
+    """Return freed memory to the system: Python workers stay alive between tasks."""
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):
+        pass
+
+
+#: Rows of an Arrow batch while a table is written; texts are long, batches are held on both sides.
+BATCH_ROWS = 1000
+_BATCH_CONF = "spark.sql.execution.arrow.maxRecordsPerBatch"
+
+
+@contextlib.contextmanager
+def _small_batches(spark: SparkSession):
+    old = spark.conf.get(_BATCH_CONF)
+    small = 0 < int(old) <= BATCH_ROWS
+    if not small:
+        spark.conf.set(_BATCH_CONF, str(BATCH_ROWS))
+    try:
+        yield
+    finally:
+        if not small:
+            spark.conf.set(_BATCH_CONF, old)
 
 
 def shared_root(spark: SparkSession) -> str:
@@ -75,7 +114,8 @@ def materialize(df: DataFrame, label: str) -> DataFrame:
     """
     spark = df.sparkSession
     path = shared_path(spark, label)
-    df.write.parquet(path)
+    with _small_batches(spark):
+        df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
