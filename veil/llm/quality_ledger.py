@@ -149,5 +149,12 @@ def ablation(led: DataFrame, policy: str) -> DataFrame:
 
 
 def keep(docs: DataFrame, policy: str = "v1", text: str = "text") -> DataFrame:
-    """The documents that pass, with the columns they came with."""
-    return ledger(docs.select(*docs.columns), text).filter(passes(policy)).select(*docs.columns)
+    """The documents that pass, with the columns they came with.
+
+    The filter refers to a column without a fixed value, so it stays above the
+    ledger: pushed down, it would repeat the measurements inside one expression.
+    """
+    named = {c: f"__in_{c}" for c in docs.columns if c in (*MEASURES, "failed_bits") and c != text}
+    guarded = ledger(docs.withColumnsRenamed(named), text).withColumn("__once", F.monotonically_increasing_id())
+    kept = guarded.filter(passes(policy) & (F.col("__once") >= 0))
+    return kept.select(*[F.col(named.get(c, c)).alias(c) for c in docs.columns])
