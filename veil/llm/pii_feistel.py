@@ -34,13 +34,13 @@ DEFAULT_KEY = "example key: give your own"
 PATTERNS = {
     "mail": r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}@[A-Za-z0-9-]{1,63}(?:\.[A-Za-z0-9-]{1,63}){1,8}(?![A-Za-z0-9-])",
     "access_key": r"(?<![A-Za-z0-9])(?:AKIA|ASIA)[A-Z0-9]{16}(?![A-Za-z0-9])",
-    "password": r"(?<![A-Za-z0-9_])(?i:password|passwd|pwd|secret)[=:][^\x20\x09-\x0D]{4,128}",
+    "password": r"(?<![A-Za-z0-9_])(?i:password|passwd|pwd|secret)[=:][^\x20\x09-\x0D]{3,127}[^\x20\x09-\x0D.,;:!?)\]\"']",
     "token": r"(?<![A-Za-z0-9_])(?i:token|api[_-]?key|secret)\x20{0,2}[=:]\x20{0,2}[\"'][A-Za-z0-9._/+=-]{8,256}[\"']",
     "ip": r"(?<![0-9.])(?:[0-9]{1,3}\.){3}[0-9]{1,3}(?![0-9])(?!\.[0-9])",
-    "phone": r"(?<![0-9A-Za-z])\+1\x20\([2-9][0-9]{2}\)\x20[2-9][0-9]{2}-[0-9]{4}(?![0-9])|(?<![0-9A-Za-z+])\([2-9][0-9]{2}\)\x20[2-9][0-9]{2}-[0-9]{4}(?![0-9])|(?<![0-9A-Za-z.-])(?:\+1[-.\x20]|1[-.])?[2-9][0-9]{2}([-.])[2-9][0-9]{2}\1[0-9]{4}(?![0-9])(?![-.][0-9])",
+    "phone": r"(?<![0-9A-Za-z])\+1\x20\([2-9][0-9]{2}\)\x20[2-9][0-9]{2}-[0-9]{4}(?![0-9])|(?<![0-9A-Za-z+])\([2-9][0-9]{2}\)\x20[2-9][0-9]{2}-[0-9]{4}(?![0-9])|(?<![0-9A-Za-z.-])(?:\+1[-.\x20]|1[-.])?[2-9][0-9]{2}(?<ps>[-.])[2-9][0-9]{2}\k<ps>[0-9]{4}(?![0-9])(?![-.][0-9])",
     "ssn": r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9])(?!-[0-9])",
     "date": r"(?<![0-9-])(?:19|20)[0-9]{2}-[0-9]{2}-[0-9]{2}(?![0-9])(?!-[0-9])",
-    "card": r"(?<![0-9A-Za-z])[0-9]{4}([\x20-])[0-9]{4}\2[0-9]{4}\2[0-9]{4}(?![0-9])|(?<![0-9A-Za-z.])[0-9]{13,19}(?![0-9A-Za-z])",
+    "card": r"(?<![0-9A-Za-z])[0-9]{4}(?<cs>[\x20-])[0-9]{4}\k<cs>[0-9]{4}\k<cs>[0-9]{4}(?![0-9])|(?<![0-9A-Za-z.])[0-9]{13,19}(?![0-9A-Za-z])",
 }
 ANY = "|".join(f"(?:{p})" for p in PATTERNS.values())
 #: Cheap test that a text can hold a find at all.
