@@ -28,6 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from veil.llm.word_hash import BLOCK, SIGNS, mix, segments, word_hashes
+from veil.sources.shared import in_arrow
 
 GRAM, WINDOW, BAND = 3, 3, 8
 LEAST_COVERAGE = 0.8
@@ -122,14 +123,19 @@ class Index:
         return doc, self.owner[j], self.place[j]
 
 
-def align(doc: np.ndarray, template: np.ndarray, diagonal: int) -> tuple[int, int, int]:
+def band_of(template: np.ndarray) -> int:
+    """Half width of the band: narrower for short templates, whose copies may follow each other closely."""
+    return min(BAND, max(2, len(template) // 4))
+
+
+def align(doc: np.ndarray, template: np.ndarray, diagonal: int, band: int = BAND) -> tuple[int, int, int]:
     """Longest common subsequence inside a band around ``diagonal``: matched words, first and last place in doc."""
-    width = 2 * BAND + 1
+    width = 2 * band + 1
     none = (0, 0, 0)
     above: list[tuple[int, int, int]] = [none] * (width + 1)
     for i, w in enumerate(template):
         row: list[tuple[int, int, int]] = []
-        base = diagonal + i - BAND
+        base = diagonal + i - band
         for c in range(width):
             j = base + c
             best = above[c + 1] if above[c + 1][0] > (row[-1][0] if row else 0) else (row[-1] if row else above[c + 1])
@@ -150,20 +156,21 @@ def matches(index: Index, h: np.ndarray, least: float) -> list[tuple[int, int, i
     diagonal = doc - place
     order = np.lexsort((diagonal, owner))
     doc, owner, diagonal = doc[order], owner[order], diagonal[order]
-    new = np.concatenate([[True], (owner[1:] != owner[:-1]) | (np.diff(diagonal) > BAND)])
+    bands = np.array([band_of(w) for w in index.words])
+    new = np.concatenate([[True], (owner[1:] != owner[:-1]) | (np.diff(diagonal) > bands[owner[1:]])])
     found: set[tuple[int, int, int, int]] = set()
     starts = np.flatnonzero(new)
     for lo, hi in zip(starts, np.append(starts[1:], len(doc))):
         t = int(owner[lo])
-        template = index.words[t]
+        template, band = index.words[t], int(bands[t])
         at = int(diagonal[lo])
         while True:  # long runs of diagonals are taken band by band
-            j0 = max(0, at - BAND)
-            piece = h[j0 : at + len(template) + 2 * BAND]
-            n, first, last = align(piece, template, at - j0 + BAND // 2)
+            j0 = max(0, at - band)
+            piece = h[j0 : max(0, at + len(template) + 2 * band)]
+            n, first, last = align(piece, template, at - j0 + band // 2, band)
             if n >= least * len(template):
                 found.add((t, n, j0 + first, j0 + last))
-            rest = diagonal[lo:hi][diagonal[lo:hi] > at + BAND]
+            rest = diagonal[lo:hi][diagonal[lo:hi] > at + band]
             if not len(rest):
                 break
             at = int(rest[0])
@@ -174,7 +181,7 @@ def matches(index: Index, h: np.ndarray, least: float) -> list[tuple[int, int, i
     return sorted(kept, key=lambda m: m[2])
 
 
-def _rows(batches: Iterator[pa.RecordBatch], index: Index, least: float, schema: pa.Schema) -> Iterator[pa.RecordBatch]:
+def _rows(batches: Iterator[pa.RecordBatch], schema: pa.Schema, index: Index, least: float) -> Iterator[pa.RecordBatch]:
     for b in batches:
         ids, texts = b.column("doc_id").to_pylist(), b.column("text").cast(pa.binary())
         out: list[tuple] = []
@@ -213,10 +220,6 @@ def _words(block: list[tuple[int, bytes]]) -> Iterator[tuple]:
 
 def scan(docs: DataFrame, templates: dict[str, str] | None = None, least: float = LEAST_COVERAGE, text: str = "text", key: str = "doc_id") -> DataFrame:
     """One row per match: ``doc_id, license, matched_words, template_words, coverage, start, end``."""
-    from pyspark.sql.pandas.types import to_arrow_schema
-    from pyspark.sql.types import _parse_datatype_string
-
     index = Index(TEMPLATES if templates is None else templates)
-    schema = to_arrow_schema(_parse_datatype_string(OUT))
     narrow = docs.select(F.col(key).alias("doc_id"), F.col(text).alias("text"))
-    return narrow.mapInArrow(lambda it: _rows(it, index, least, schema), OUT)
+    return in_arrow(narrow, _rows, OUT, index, least)
