@@ -39,7 +39,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from veil.sources.shared import materialize
+from veil.sources.shared import in_arrow, materialize
 
 #: Chunk sizes in bytes: at least, on average beyond that, at most.
 LEAST, MEAN_BITS, MOST = 256, 10, 16_384
@@ -317,19 +317,11 @@ def _assemble_rows(batches: Iterator[pa.RecordBatch], schema: pa.Schema, paths:
     yield out.take()
 
 
-def _in_arrow(df: DataFrame, f: Callable, ddl: str, *args: object) -> DataFrame:
-    from pyspark.sql.pandas.types import to_arrow_schema
-    from pyspark.sql.types import _parse_datatype_string
-
-    schema = to_arrow_schema(_parse_datatype_string(ddl))
-    return df.mapInArrow(lambda it: f(it, schema, *args), ddl)
-
-
 def encode_documents(docs: DataFrame, paths: tuple[str, str] | None = None) -> DataFrame:
     """``doc_id, n_tokens, ids_sha256, decoded_sha256`` for every row of ``doc_id, text``."""
     paths = paths or default_paths()
     docs = docs.select("doc_id", "text")
-    keys = materialize(_in_arrow(docs, _key_rows, KEYS), "bpe-keys")
+    keys = materialize(in_arrow(docs, _key_rows, KEYS), "bpe-keys")
     owner = F.min(F.struct(F.col("doc_id").isNotNull().alias("k"), "doc_id", "tk"))
     census = materialize(
         keys.groupBy("h1", "h2").agg(F.count("*").alias("n"), owner.alias("o")).filter("n > 1").select("h1", "h2", "o"), "bpe-census"
@@ -341,13 +333,13 @@ def encode_documents(docs: DataFrame, paths: tuple[str, str] | None = None) -> D
         .agg(F.collect_set(F.struct("h1", "h2", own.alias("own"))).alias("plan"))
     )
     planned = docs.join(plans, F.col("doc_id").eqNullSafe(F.col("__d")), "left").select("doc_id", "text", "plan")
-    parts = materialize(_in_arrow(planned, _encode_rows, PARTS, paths), "bpe-parts")
+    parts = materialize(in_arrow(planned, _encode_rows, PARTS, paths), "bpe-parts")
     tokens = parts.filter(F.col("kind") == OWNED).groupBy("h1", "h2").agg(F.first("tokens").alias("tokens"))
     place = ["doc_id", "tk", "seq"]
     borrowed = parts.filter(F.col("kind") == BORROWED).select(*place, "h1", "h2").join(tokens, ["h1", "h2"]).select(*place, "tokens")
     waiting = parts.filter(F.col("kind") == PART).select(*place, "tokens").unionByName(borrowed)
     sorted_parts = waiting.repartition("doc_id", "tk").sortWithinPartitions(*place)
-    joined = _in_arrow(sorted_parts, _assemble_rows, PARTS, paths)
+    joined = in_arrow(sorted_parts, _assemble_rows, PARTS, paths)
     final = ["doc_id", "n_tokens", "ids_sha", "text_sha"]
     done = parts.filter(F.col("kind") == FINAL).select(*final).unionByName(joined.select(*final))
     return done.select("doc_id", "n_tokens", F.lower(F.hex("ids_sha")).alias("ids_sha256"), F.lower(F.hex("text_sha")).alias("decoded_sha256"))

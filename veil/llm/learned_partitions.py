@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from veil.sources.shared import materialize
+from veil.sources.shared import in_arrow, materialize, ship
 
 #: Bounds of the fit: sample rows, held-out rows, parts, neighbours, hidden units.
 FIT_ROWS, HELD_ROWS, MOST_PARTS, NEIGHBOURS, HIDDEN = 8192, 512, 64, 10, 128
@@ -173,17 +173,17 @@ def _matrix(col: pa.Array) -> np.ndarray:
     return flat.reshape(len(col), -1) if len(col) else flat.reshape(0, 0)
 
 
-def _route_rows(batches: Iterator[pa.RecordBatch], model: Model, probes: int) -> Iterator[pa.RecordBatch]:
+def _route_rows(batches: Iterator[pa.RecordBatch], schema: pa.Schema, model: Model, probes: int) -> Iterator[pa.RecordBatch]:
     for b in batches:
         if b.num_rows:
             parts = model.rank(_matrix(b.column("v")).astype(np.float64), probes).astype(np.int32)
-            yield pa.RecordBatch.from_arrays([b.column("vec_id"), b.column("v"), pa.array(list(parts), pa.list_(pa.int32()))], names=["vec_id", "v", "parts"])
+            yield pa.RecordBatch.from_arrays([b.column("vec_id"), b.column("v"), pa.array(list(parts), schema.field("parts").type)], names=["vec_id", "v", "parts"])
 
 
 def route(vectors: DataFrame, model: Model, probes: int) -> DataFrame:
     """Add ``parts``, the most probable parts of each vector."""
     kind = dict(vectors.dtypes)["v"]
-    return vectors.mapInArrow(lambda it: _route_rows(it, model, probes), f"vec_id long, v {kind}, parts array<int>")
+    return in_arrow(vectors, _route_rows, f"vec_id long, v {kind}, parts array<int>", model, probes)
 
 
 def _best(q_ids: np.ndarray, q: np.ndarray, ids: np.ndarray, x: np.ndarray, k: int) -> Iterator[tuple]:
@@ -261,6 +261,7 @@ def search(vectors: DataFrame, is_query, k: int = 20, id_col: str = "vec_id", ve
 
     ``is_query`` is a condition over ``vec_id``.
     """
+    ship(vectors.sparkSession)
     good = materialize(usable(vectors, id_col, vec_col).dropDuplicates(["vec_id"]), "ann-vectors")
     n_rows = good.count()
     if n_rows == 0:

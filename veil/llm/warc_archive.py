@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from veil.sources.shared import materialize, shared_path
+from veil.sources.shared import in_arrow, materialize, shared_path
 
 ALPHABET = "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
@@ -164,12 +164,8 @@ def _rows(files: Iterator[pa.RecordBatch], schema: pa.Schema) -> Iterator[pa.Rec
 
 def read(spark: SparkSession, path: str, payload: bool = True) -> DataFrame:
     """The records of the archives below ``path``."""
-    schema = pa.schema(
-        [("page_id", pa.int64()), ("url", pa.string()), ("record_type", pa.string()), ("payload_bytes", pa.int64()), ("payload_digest", pa.string()), ("refers_to", pa.int64())]
-        + [("payload", pa.binary())]
-    )
     files = spark.read.format("binaryFile").load(path).select("content")
-    rows = files.mapInArrow(lambda it: _rows(it, schema), SCHEMA)
+    rows = in_arrow(files, _rows, SCHEMA)
     return rows if payload else rows.drop("payload")
 
 
