@@ -72,7 +72,8 @@ def bits(name: str) -> str:
 
 
 def w2(t: int, skewed: bool = False) -> str:
-    more = f"AND {u(chr(39) + 'z|' + chr(39) + ' || rid')} < 1.0::DOUBLE / brand" if skewed else ""
+    digest = "md5(concat_ws('|', l_orderkey, l_linenumber, l_partkey, l_suppkey, l_extendedprice))"
+    more = f"AND {u(chr(39) + 'z|' + chr(39) + ' || ' + digest)} < 1.0::DOUBLE / brand" if skewed else ""
     line = "l_orderkey || '|' || l_linenumber"
     k = f"(1 + CAST(floor({u(chr(39) + 'c|' + chr(39) + ' || ' + line)} * (length(p_name) - 2)) AS BIGINT))"
     lost = f"CASE WHEN {u(chr(39) + 't|' + chr(39) + ' || ' + line)} < 0.9::DOUBLE AND length(p_name) >= 3 THEN substr(p_name, 1, {k}) || substr(p_name, {k} + 2) ELSE p_name END"

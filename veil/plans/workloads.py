@@ -62,10 +62,14 @@ def location(spark: SparkSession, sf_dir: str, t: int = 1) -> Problem:
     return Problem("location", cut(base), cut(moved), rule, grid, ("slot", "tx", "ty"), 1e6 * 3.141592653589793)
 
 
+def line_digest() -> Column:
+    """Digest of the columns of a line that are unique together."""
+    return F.md5(F.concat_ws("|", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice"))
+
+
 def line_key() -> Column:
-    """Surrogate id of a line: 60 bits of the digest of the columns that are unique together."""
-    text = F.concat_ws("|", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice")
-    return F.conv(F.substr(F.md5(text), F.lit(1), F.lit(15)), 16, 10).cast("long")
+    """Surrogate id of a line: 60 bits of its digest."""
+    return F.conv(F.substr(line_digest(), F.lit(1), F.lit(15)), 16, 10).cast("long")
 
 
 def product(spark: SparkSession, sf_dir: str, t: int = 1, skewed: bool = False) -> Problem:
@@ -80,7 +84,7 @@ def product(spark: SparkSession, sf_dir: str, t: int = 1, skewed: bool = False)
     rows = li.join(pa, F.col("l_partkey") == F.col("p_partkey")).withColumns({"quarter": quarter, "brand": brand, "rid": line_key()})
     rows = rows.filter((F.col("quarter") >= 0) & (F.col("quarter") < t) & (F.col("brand") <= BRANDS))
     if skewed:
-        rows = rows.filter(uniform("z", F.col("rid")) < 1 / F.col("brand"))
+        rows = rows.filter(uniform("z", line_digest()) < 1 / F.col("brand"))
     line = [F.col("l_orderkey"), F.col("l_linenumber")]
     lost = F.when(uniform("t", *line) < 0.9, E.drop_character(F.col("p_name"), uniform("c", *line))).otherwise(F.col("p_name"))
 

@@ -8,6 +8,7 @@ one machine) is a temporary folder chosen.
 from __future__ import annotations
 
 import contextlib
+import gc
 import io
 import os
 import tempfile
@@ -116,7 +117,21 @@ def materialize(df: DataFrame, label: str) -> DataFrame:
     path = shared_path(spark, label)
     with _small_batches(spark):
         df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.written_at = path
+    return out
+
+
+def discard(df: DataFrame) -> None:
+    """Delete what ``materialize`` wrote, once nothing reads it any more, and let go of shuffles that no plan holds.
+
+    Spark removes a shuffle's files when the driver's collector finds its plan
+    unused, which may be late; a large job asks for it between its steps.
+    """
+    spark = df.sparkSession
+    drop_path(spark, df.written_at)
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
 
 
 def drop_path(spark: SparkSession, path: str) -> None:
