@@ -11,7 +11,7 @@ from collections.abc import Iterator
 import numpy as np
 
 #: Bytes hashed at once; longer texts are taken in segments cut at gaps.
-BLOCK = 4 << 20
+BLOCK = 1 << 20
 _P = np.uint64(0x9E3779B97F4A7C15)
 LOWER = np.arange(256, dtype=np.uint64)
 LOWER[65:91] += np.uint64(32)
