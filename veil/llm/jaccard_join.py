@@ -10,7 +10,8 @@
    n - ceil(0.75 n) + 1 shingles. Sets with equal size and equal shared prefix
    form a group.
 4. Group pairs. Groups that share a prefix shingle are paired under a size
-   filter and a position filter. Short lists give all pairs. In long lists each
+   filter and a position filter (and, in full comparison, a filter on the number
+   of shared prefix shingles). Short lists give all pairs. In long lists each
    group is first paired with a few hubs only: links found there join groups to
    components, and pairs within one component need no comparison, as they
    cannot change the result.
@@ -42,7 +43,7 @@ from pyspark.sql import functions as F
 
 from veil.llm.word_hash import BLOCK, mix, segments, word_hashes
 from veil.operators.components import connected_components
-from veil.sources.shared import materialize
+from veil.sources.shared import discard, in_arrow, materialize
 
 WORDS = 5
 #: Threshold as a fraction.
@@ -50,7 +51,7 @@ NUM, DEN = 3, 4
 _C = [np.uint64(pow(0xD6E8FEB86659FD93, k + 1, 1 << 64) | 1) for k in range(WORDS)]
 SHORT_LIST = 16
 HUBS = 3
-HUB_ROUNDS = 4
+HUB_ROUNDS = 2
 
 def shingle_set(words: np.ndarray) -> np.ndarray:
     """Distinct shingle hashes, sorted; fewer than five words make one shingle."""
@@ -88,7 +89,7 @@ def sets_of(texts: list[bytes]) -> list[np.ndarray]:
 
 
 POSTED = "part int, blob binary, docs array<long>, refs array<long>, sizes array<long>"
-FOUND = "ref long, doc_id long, n long, items binary, freqs binary"
+FOUND = "bucket int, blob binary, docs array<long>, refs array<long>, sizes array<long>"
 
 
 def _posting_rows(batches: Iterator[pa.RecordBatch], schema: pa.Schema, parts: int) -> Iterator[pa.RecordBatch]:
@@ -112,8 +113,9 @@ def _posting_rows(batches: Iterator[pa.RecordBatch], schema: pa.Schema, parts: i
 
 
 def _packed(sets: dict[int, np.ndarray], parts: int) -> Iterator[tuple]:
-    """Per range: number of sets, their ids, their counts, and six bytes per shingle."""
+    """Per range: number of sets, their ids, sizes and counts, and six bytes per shingle."""
     refs = np.array(list(sets), np.int64)
+    sizes = np.array([len(s) for s in sets.values()], np.uint32)
     h = np.concatenate(list(sets.values()))
     owner = np.repeat(np.arange(len(refs), dtype=np.int64), [len(s) for s in sets.values()])
     scaled = (h >> np.uint64(32)) * np.uint64(parts)
@@ -127,80 +129,118 @@ def _packed(sets: dict[int, np.ndarray], parts: int) -> Iterator[tuple]:
         first = np.concatenate([[0], np.flatnonzero(np.diff(o)) + 1])
         counts = np.diff(np.concatenate([first, [hi - lo]])).astype(np.uint32)
         six = np.ascontiguousarray(rest[lo:hi]).view(np.uint8).reshape(-1, 8)[:, :6].tobytes()
-        blob = np.uint32(len(first)).tobytes() + refs[o[first]].tobytes() + counts.tobytes() + six
+        blob = np.uint32(len(first)).tobytes() + refs[o[first]].tobytes() + sizes[o[first]].tobytes() + counts.tobytes() + six
         yield int(part[lo]), blob, None, None, None
 
 
-def _unpack(blob: bytes) -> tuple[np.ndarray, np.ndarray]:
-    n = int(np.frombuffer(blob, np.uint32, 1)[0])
-    refs = np.frombuffer(blob, np.int64, n, 4)
-    counts = np.frombuffer(blob, np.uint32, n, 4 + 8 * n)
-    six = np.frombuffer(blob, np.uint8, -1, 4 + 12 * n).reshape(-1, 6)
-    eight = np.zeros((len(six), 8), np.uint8)
-    eight[:, :6] = six
-    return eight.view(np.int64).ravel(), np.repeat(refs, counts)
+#: Pieces of a range that the census works on one after another, by the top bits of the numbers.
+PIECE_BITS = 3
 
 
-def _shared_rows(batches: Iterator[pa.RecordBatch], schema: pa.Schema) -> Iterator[pa.RecordBatch]:
-    """The documents as they come, then per range and set the shingles that other sets have too."""
-    blobs: dict[int, list[bytes]] = {}
-    for b in batches:
-        for part, blob, docs, refs, sizes in zip(*(b.column(n) for n in ("part", "blob", "docs", "refs", "sizes"))):
-            if blob.is_valid:
-                blobs.setdefault(part.as_py(), []).append(blob.as_py())
-            else:
-                n = len(docs.values)
-                none = pa.nulls(n, pa.binary())
-                yield pa.RecordBatch.from_arrays([refs.values, docs.values, sizes.values, none, none], schema=schema)
-    for part in sorted(blobs):
-        pairs = [_unpack(x) for x in blobs.pop(part)]
-        k, ref = np.concatenate([p[0] for p in pairs]), np.concatenate([p[1] for p in pairs])
+def _tables(blobs: list[bytes]) -> tuple[list[int], np.ndarray, np.ndarray]:
+    """Number of sets of each blob, and all set ids and sizes in one table."""
+    heads = [int(np.frombuffer(x, np.uint32, 1)[0]) for x in blobs]
+    refs = [np.frombuffer(x, np.int64, n, 4) for x, n in zip(blobs, heads)]
+    sizes = [np.frombuffer(x, np.uint32, n, 4 + 8 * n) for x, n in zip(blobs, heads)]
+    return heads, np.concatenate(refs), np.concatenate(sizes)
+
+
+def _piece(blobs: list[bytes], heads: list[int], piece: int) -> tuple[np.ndarray, np.ndarray]:
+    """The numbers of a piece, and the place of each one's set in the table."""
+    numbers, owners, row = [], [], 0
+    for blob, n in zip(blobs, heads):
+        counts = np.frombuffer(blob, np.uint32, n, 4 + 12 * n)
+        six = np.frombuffer(blob, np.uint8, -1, 4 + 16 * n).reshape(-1, 6)
+        mine = np.flatnonzero(six[:, 5] >> (8 - PIECE_BITS) == piece)
+        eight = np.zeros((len(mine), 8), np.uint8)
+        eight[:, :6] = six[mine]
+        numbers.append(eight.view(np.int64).ravel())
+        owners.append((np.searchsorted(np.cumsum(counts), mine, "right") + row).astype(np.uint32))
+        row += n
+    return np.concatenate(numbers), np.concatenate(owners)
+
+
+def _shared(blobs: list[bytes]) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+    """Numbers that several sets have, with set, set size and number of sets, piece by piece."""
+    heads, refs, sizes = _tables(blobs)
+    for piece in range(1 << PIECE_BITS):
+        k, owner = _piece(blobs, heads, piece)
         order = np.argsort(k)
-        k, ref = k[order], ref[order]
+        k = k[order]
         same = k[1:] == k[:-1]
-        keep = np.concatenate([same, [False]]) | np.concatenate([[False], same])
-        k, ref = k[keep], ref[keep]
+        keep = np.concatenate([same, [False]]) | np.concatenate([[False], same]) if len(k) else np.zeros(0, bool)
+        k, owner = k[keep], owner[order[keep]]
+        ref, size = refs[owner], sizes[owner]
         order = np.lexsort((ref, k))
-        k, ref = k[order], ref[order]
+        k, ref, size = k[order], ref[order], size[order]
         new = np.ones(len(k), bool)
         new[1:] = (k[1:] != k[:-1]) | (ref[1:] != ref[:-1])
-        k, ref = k[new], ref[new]
+        k, ref, size = k[new], ref[new], size[new]
         _, inverse, counts = np.unique(k, return_inverse=True, return_counts=True)
         freq = counts[inverse].astype(np.uint32)
         keep = freq > 1
-        k, ref, freq = (np.int64(part) << np.int64(48)) | k[keep], ref[keep], freq[keep]
-        order = np.argsort(ref, kind="stable")
-        k, ref, freq = k[order], ref[order], freq[order]
-        bounds = np.concatenate([[0], np.flatnonzero(np.diff(ref)) + 1, [len(ref)]]) if len(ref) else np.zeros(1, int)
-        for lo in range(0, len(bounds) - 1, 20_000):
-            cuts = bounds[lo : lo + 20_001]
-            n = len(cuts) - 1
-            heads = pa.array(ref[cuts[:-1]], pa.int64())
-            items = pa.array([k[a:b].tobytes() for a, b in zip(cuts[:-1], cuts[1:])], pa.binary())
-            freqs = pa.array([freq[a:b].tobytes() for a, b in zip(cuts[:-1], cuts[1:])], pa.binary())
-            none = pa.nulls(n, pa.int64())
-            yield pa.RecordBatch.from_arrays([heads, none, none, items, freqs], schema=schema)
+        yield k[keep], ref[keep], size[keep], freq[keep]
+
+
+def _shared_rows(batches: Iterator[pa.RecordBatch], schema: pa.Schema, parts: int) -> Iterator[pa.RecordBatch]:
+    """The documents as they come, then per range the shingles that several sets have, packed by buckets of sets."""
+    blobs: dict[int, list[bytes]] = {}
+    for b in batches:
+        whole = np.flatnonzero(b.column("blob").is_null().to_numpy(zero_copy_only=False))
+        if len(whole):
+            kept = b.take(pa.array(whole))
+            yield pa.RecordBatch.from_arrays([c.cast(f.type) for c, f in zip(kept.columns, schema)], schema=schema)
+        for part, blob in zip(b.column("part").to_pylist(), b.column("blob")):
+            if blob.is_valid:
+                blobs.setdefault(part, []).append(blob.as_py())
+    for part in sorted(blobs):
+        k, ref, size, freq = map(np.concatenate, zip(*_shared(blobs.pop(part))))
+        k = (np.int64(part) << np.int64(48)) | k
+        bucket = (ref.view(np.uint64) % np.uint64(parts)).astype(np.int64)
+        order = np.argsort(bucket, kind="stable")
+        cuts = np.concatenate([[0], np.flatnonzero(np.diff(bucket[order])) + 1, [len(order)]])
+        rows = []
+        for lo, hi in zip(cuts[:-1], cuts[1:]):
+            if hi > lo:
+                i = order[lo:hi]
+                rows.append((int(bucket[i[0]]), k[i].tobytes() + ref[i].tobytes() + size[i].tobytes() + freq[i].tobytes(), None, None, None))
+        yield _batch(rows, schema)
 
 
 SETS = "ref long, n long, before long, gid long, keys array<long>, items array<long>"
 
 
 def _prefix_rows(batches: Iterator[pa.RecordBatch], schema: pa.Schema) -> Iterator[pa.RecordBatch]:
-    """Sets that have shared shingles in their prefix: those keys and all shared shingles."""
+    """Sets that have shared shingles in their prefix: those keys and all shared shingles.
+
+    A partition holds whole buckets of sets; a bucket is packed numbers only.
+    """
+    blobs: dict[int, list[bytes]] = {}
     for b in batches:
+        for bucket, blob in zip(b.column("bucket").to_pylist(), b.column("blob").to_pylist()):
+            blobs.setdefault(bucket, []).append(blob)
+    for bucket in sorted(blobs):
+        cols: list[list[np.ndarray]] = [[], [], [], []]
+        for blob in blobs.pop(bucket):
+            m = len(blob) // 24
+            for c, (kind, at) in zip(cols, ((np.int64, 0), (np.int64, 8 * m), (np.uint32, 16 * m), (np.uint32, 20 * m))):
+                c.append(np.frombuffer(blob, kind, m, at))
+        k, ref, size, freq = map(np.concatenate, cols)
+        order = np.lexsort((k, freq, ref))
+        k, ref, size = k[order], ref[order], size[order]
+        cuts = np.concatenate([[0], np.flatnonzero(np.diff(ref)) + 1, [len(ref)]])
         rows, held = [], 0
-        for ref, n, got in zip(*(b.column(c).to_pylist() for c in ("ref", "n", "got"))):
-            items = np.concatenate([np.frombuffer(g["items"], np.int64) for g in got])
-            freqs = np.concatenate([np.frombuffer(g["freqs"], np.uint32) for g in got])
-            before = n - len(items)
+        for lo, hi in zip(cuts[:-1], cuts[1:]):
+            n = int(size[lo])
+            before = n - int(hi - lo)
             room = n - (NUM * n + DEN - 1) // DEN + 1 - before
             if room <= 0:
                 continue
-            keys = items[np.lexsort((items, freqs))[:room]]
+            keys = k[lo : min(hi, lo + room)]
             gid = xxhash.xxh3_64_intdigest(np.int64(n).tobytes() + keys.tobytes())
-            rows.append((ref, n, before, int(np.int64(np.uint64(gid))), keys, np.sort(items)))
-            held += len(items)
-            if held > 1_000_000:
+            rows.append((int(ref[lo]), n, before, int(np.int64(np.uint64(gid))), keys, np.sort(k[lo:hi])))
+            held += hi - lo
+            if held > 500_000:
                 yield _batch(rows, schema)
                 rows, held = [], 0
         yield _batch(rows, schema)
@@ -211,14 +251,6 @@ def _batch(rows: list[tuple], schema: pa.Schema) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(list(c), f.type) for c, f in zip(cols, schema)], schema=schema)
 
 
-def _in_arrow(df: DataFrame, f, ddl: str, *args: object) -> DataFrame:
-    from pyspark.sql.pandas.types import to_arrow_schema
-    from pyspark.sql.types import _parse_datatype_string
-
-    schema = to_arrow_schema(_parse_datatype_string(ddl))
-    return df.mapInArrow(lambda it: f(it, schema, *args), ddl)
-
-
 def _enough(a: str, b: str, pos_a: str | None = None, pos_b: str | None = None):
     """Size filter and, with positions, position filter: 7 * overlap >= 3 * (n_a + n_b) must be possible."""
     na, nb = F.col(f"{a}.n"), F.col(f"{b}.n")
@@ -228,6 +260,25 @@ def _enough(a: str, b: str, pos_a: str | None = None, pos_b: str | None = None):
     return (NUM + DEN) * most >= NUM * (na + nb)
 
 
+def _enough_keys(a: str, b: str):
+    """Meet at the first common prefix key only, and share as many prefix keys as a link must.
+
+    A link shares at least ``need`` shingles, so a set of n lacks at most
+    n - need of its prefix in the other set. For the set whose prefix ends
+    first in the common order, the rest lies in the other's prefix; the smaller
+    of both bounds holds for either. A pair whose first common key is not of
+    this list was met in a short list or is in one component.
+    """
+    na, nb = F.col(f"{a}.n"), F.col(f"{b}.n")
+    need = F.ceil((na + nb) * NUM / (NUM + DEN))
+
+    def bound(n):
+        return n - F.ceil(n * NUM / DEN) + 1 - (n - need)
+
+    common = F.array_intersect(f"{a}.keys", f"{b}.keys")
+    return (F.size(common) >= F.least(bound(na), bound(nb))) & (F.element_at(common, 1) == F.col(f"{a}.h"))
+
+
 def _verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     """The pairs ``a, b`` of sets whose similarity reaches the threshold."""
     one = sets.select(F.col("ref").alias("a"), F.col("n").alias("na"), F.col("items").alias("ia"))
@@ -283,9 +334,12 @@ def links(sets: DataFrame) -> DataFrame:
             found = materialize(found.unionByName(more).distinct(), f"join-links-{k}")
     pairs = short.select("g1", "g2")
     if open_lists:
-        x, y = apart.filter("minor").alias("x"), apart.alias("y")
+        keyed = apart.join(sets.select(F.col("ref").alias("leader"), "keys"), "leader")
+        x, y = keyed.filter("minor").alias("x"), keyed.alias("y")
         across = (F.col("x.h") == F.col("y.h")) & (F.col("x.label") != F.col("y.label"))
-        rest = x.join(y, across & _enough("x", "y", "x.pos", "y.pos")).select(*_ordered(F.col("x.leader"), F.col("y.leader")))
+        once = ~F.col("y.minor") | (F.col("x.leader") < F.col("y.leader"))
+        rest = x.join(y, across & once & _enough("x", "y", "x.pos", "y.pos") & _enough_keys("x", "y"))
+        rest = rest.select(*_ordered(F.col("x.leader"), F.col("y.leader")))
     own = groups.filter("members > 1").select(F.col("gid").alias("g1"), F.col("gid").alias("g2"))
     members = sets.join(labels.withColumnRenamed("node", "ref"), "ref", "left")
     members = members.select("gid", "ref", F.coalesce("component", "ref").alias("c"))
@@ -328,18 +382,21 @@ def jaccard_components(docs: DataFrame, text: str = "text", key: str = "doc_id")
     """
     spark = docs.sparkSession
     parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    posted = _in_arrow(docs.select(F.col(key).alias("doc_id"), F.col(text).alias("text")), _posting_rows, POSTED, parts)
-    found = materialize(_in_arrow(posted.repartition(parts, "part"), _shared_rows, FOUND), "join-found")
-    rows = found.filter("items is null").select("doc_id", "ref", "n")
-    shared = found.filter("items is not null").groupBy("ref").agg(F.collect_list(F.struct("items", "freqs")).alias("got"))
-    sizes = rows.filter("ref is not null").groupBy("ref").agg(F.max("n").alias("n"))
-    sets = materialize(_in_arrow(shared.join(sizes, "ref"), _prefix_rows, SETS), "join-sets")
+    posted = in_arrow(docs.select(F.col(key).alias("doc_id"), F.col(text).alias("text")), _posting_rows, POSTED, parts)
+    found = materialize(in_arrow(posted.repartition(parts, "part"), _shared_rows, FOUND, parts), "join-found")
+    rows = found.filter("blob is null").select(F.explode(F.arrays_zip("docs", "refs", "sizes")).alias("r"))
+    rows = rows.select(F.col("r.docs").alias("doc_id"), F.col("r.refs").alias("ref"), F.col("r.sizes").alias("n"))
+    rows = materialize(rows, "join-members")
+    packed = found.filter("blob is not null").select("bucket", "blob").repartition(parts, "bucket")
+    sets = materialize(in_arrow(packed, _prefix_rows, SETS), "join-sets")
+    discard(found)
     linked = links(sets)
     labels = connected_components(linked)
     degree = linked.select(F.explode(F.array("a", "b")).alias("ref")).groupBy("ref").agg(F.count("*").alias("n_links"))
     nodes = labels.withColumnRenamed("node", "ref").join(degree, "ref", "left")
     labelled = rows.join(nodes, "ref", "left").withColumn("label", F.coalesce("component", "ref"))
     labelled = materialize(labelled, "join-labelled")
+    discard(sets)
     names = labelled.filter("label is not null").groupBy("label").agg(F.min("doc_id").alias("name"))
     out = labelled.join(names, "label", "left")
     return out.select(
