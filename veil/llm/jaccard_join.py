@@ -313,7 +313,8 @@ def links(sets: DataFrame) -> DataFrame:
     short = e1.join(e2, near).select(F.col("x.gid").alias("g1"), F.col("y.gid").alias("g2"), F.col("x.leader").alias("a"), F.col("y.leader").alias("b"))
     short = materialize(short.distinct(), "join-short")
     long_lists = lists.filter(F.col("len") > SHORT_LIST)
-    whole = long_lists.drop("leader").join(sets.select("gid", F.col("ref").alias("leader")), "gid")  # each member stands for itself
+    whole = long_lists.drop("leader").join(sets.select("gid", F.col("ref").alias("leader")), "gid")
+    whole = materialize(whole, "join-long")  # each member of a group stands for itself
     inside = sets.join(groups.filter("members > 1").select("gid", "leader"), "gid").filter("ref <> leader")
     inside = inside.select(*_ordered(F.col("ref"), F.col("leader")))
     first = short.select(*_ordered(F.col("a"), F.col("b"))).unionByName(inside).unionByName(_hub_pairs(long_lists, 0))
@@ -367,7 +368,7 @@ def _hub_pairs(lists: DataFrame, salt: int) -> DataFrame:
 def _apart(lists: DataFrame, labels: DataFrame) -> DataFrame:
     """The lists whose sets are in several components, with each set's label and whether it is a minority."""
     labelled = lists.join(labels.select(F.col("node").alias("leader"), "component"), "leader", "left")
-    labelled = labelled.withColumn("label", F.coalesce("component", "leader"))
+    labelled = materialize(labelled.withColumn("label", F.coalesce("component", "leader")), "join-labels")
     sizes = labelled.groupBy("h", "label").agg(F.count("*").alias("m"))
     split = sizes.groupBy("h").agg(F.count("*").alias("parts"), F.max_by("label", F.struct("m", "label")).alias("major"))
     joined = labelled.join(split.filter("parts > 1"), "h")
