@@ -4,6 +4,7 @@ from itertools import combinations
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from veil.llm import jaccard_join as J
 from veil.llm import word_hash
@@ -97,3 +98,17 @@ def test_representatives(spark):
     kept = {r.doc_id for r in J.keep_representatives(df).collect()}
     want = {c for _, n, c in brute(rows) if n} | {900, 901}
     assert kept == want
+
+
+def test_representatives_of_null_and_repeated_ids(spark):
+    def text(name):
+        return " ".join(f"{name}{i}" for i in range(60))
+
+    near = text("a") + " tail"
+    rows = [(1, text("a"), "x"), (7, near, "x"), (7, text("b"), "x"), (None, text("c"), "x"), (None, text("d"), "x"), (None, text("d"), "y"), (None, text("e"), "x")]
+    rows += [(None, near, "x"), (8, text("f"), "x"), (8, text("f"), "x"), (8, text("f"), None), (8, text("g"), "x"), (8, None, "x"), (8, "", "x"), (None, None, "x"), (None, None, "x")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, m string").withColumn("tags", F.map_from_arrays(F.array(F.lit("t")), F.array("m")))
+    kept = [(r.doc_id, r.text) for r in J.keep_representatives(df).collect()]
+    want = [(1, text("a")), (7, text("b")), (8, text("f")), (8, text("g")), (8, None), (8, ""), (None, None), (None, None)]
+    assert sorted(kept, key=str) == sorted(want + [(None, text(x)) for x in "cde"], key=str)
+    assert J.keep_representatives(df.drop("tags")).count() == len(kept)

@@ -38,7 +38,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from veil.llm.word_hash import BLOCK, mix, segments, word_hashes
@@ -88,24 +88,24 @@ def sets_of(texts: list[bytes]) -> list[np.ndarray]:
     return out
 
 
-POSTED = "part int, blob binary, docs array<long>, refs array<long>, sizes array<long>"
-FOUND = "bucket int, blob binary, docs array<long>, refs array<long>, sizes array<long>"
+POSTED = "part int, blob binary, docs array<long>, marks array<long>, refs array<long>, sizes array<long>"
+FOUND = "bucket int, blob binary, docs array<long>, marks array<long>, refs array<long>, sizes array<long>"
 
 
 def _posting_rows(batches: Iterator[pa.RecordBatch], schema: pa.Schema, parts: int) -> Iterator[pa.RecordBatch]:
     """Packed shingles of a block of texts, one row per hash range, and one row with the block's documents."""
     for b in batches:
-        ids, texts = b.column("doc_id").to_pylist(), b.column("text").cast(pa.binary())
+        ids, marks, texts = b.column("doc_id").to_pylist(), b.column("mark").to_pylist(), b.column("text").cast(pa.binary())
         at = 0
         while at < len(ids):
             block, held = [], 0
             while at < len(ids) and (not block or held < BLOCK):
-                block.append((ids[at], texts[at].as_py() or b""))
-                held += len(block[-1][1])
+                block.append((ids[at], marks[at], texts[at].as_py() or b""))
+                held += len(block[-1][2])
                 at += 1
-            sets = sets_of([t for _, t in block])
+            sets = sets_of([t for _, _, t in block])
             refs = [int(np.int64(np.uint64(xxhash.xxh3_64_intdigest(s.tobytes())))) if len(s) else None for s in sets]
-            rows: list[tuple] = [(at % parts, None, [i for i, _ in block], refs, [len(s) for s in sets])]
+            rows: list[tuple] = [(at % parts, None, [i for i, _, _ in block], [m for _, m, _ in block], refs, [len(s) for s in sets])]
             distinct = {r: s for r, s in zip(refs, sets) if r is not None}
             if distinct:
                 rows += _packed(distinct, parts)
@@ -130,7 +130,7 @@ def _packed(sets: dict[int, np.ndarray], parts: int) -> Iterator[tuple]:
         counts = np.diff(np.concatenate([first, [hi - lo]])).astype(np.uint32)
         six = np.ascontiguousarray(rest[lo:hi]).view(np.uint8).reshape(-1, 8)[:, :6].tobytes()
         blob = np.uint32(len(first)).tobytes() + refs[o[first]].tobytes() + sizes[o[first]].tobytes() + counts.tobytes() + six
-        yield int(part[lo]), blob, None, None, None
+        yield int(part[lo]), blob, None, None, None, None
 
 
 #: Pieces of a range that the census works on one after another, by the top bits of the numbers.
@@ -203,7 +203,7 @@ def _shared_rows(batches: Iterator[pa.RecordBatch], schema: pa.Schema, parts: in
         for lo, hi in zip(cuts[:-1], cuts[1:]):
             if hi > lo:
                 i = order[lo:hi]
-                rows.append((int(bucket[i[0]]), k[i].tobytes() + ref[i].tobytes() + size[i].tobytes() + freq[i].tobytes(), None, None, None))
+                rows.append((int(bucket[i[0]]), k[i].tobytes() + ref[i].tobytes() + size[i].tobytes() + freq[i].tobytes(), None, None, None, None))
         yield _batch(rows, schema)
 
 
@@ -375,18 +375,15 @@ def _apart(lists: DataFrame, labels: DataFrame) -> DataFrame:
     return joined.select("h", "gid", "leader", "n", "pos", "len", "label", (F.col("label") != F.col("major")).alias("minor"))
 
 
-def jaccard_components(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
-    """``doc_id, n_shingles, n_links, component_id`` for every row.
-
-    ``n_links`` counts the links kept by the join that touch the row's set,
-    enough to connect its component.
-    """
+def _labelled(docs: DataFrame, text: str, key: str, mark: Column) -> DataFrame:
+    """``doc_id, mark, n, ref, label, n_links`` for every row; sets that link carry their component's label."""
     spark = docs.sparkSession
     parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    posted = in_arrow(docs.select(F.col(key).alias("doc_id"), F.col(text).alias("text")), _posting_rows, POSTED, parts)
+    narrow = docs.select(F.col(key).alias("doc_id"), mark.alias("mark"), F.col(text).alias("text"))
+    posted = in_arrow(narrow, _posting_rows, POSTED, parts)
     found = materialize(in_arrow(posted.repartition(parts, "part"), _shared_rows, FOUND, parts), "join-found")
-    rows = found.filter("blob is null").select(F.explode(F.arrays_zip("docs", "refs", "sizes")).alias("r"))
-    rows = rows.select(F.col("r.docs").alias("doc_id"), F.col("r.refs").alias("ref"), F.col("r.sizes").alias("n"))
+    rows = found.filter("blob is null").select(F.explode(F.arrays_zip("docs", "marks", "refs", "sizes")).alias("r"))
+    rows = rows.select(F.col("r.docs").alias("doc_id"), F.col("r.marks").alias("mark"), F.col("r.refs").alias("ref"), F.col("r.sizes").alias("n"))
     rows = materialize(rows, "join-members")
     packed = found.filter("blob is not null").select("bucket", "blob").repartition(parts, "bucket")
     sets = materialize(in_arrow(packed, _prefix_rows, SETS), "join-sets")
@@ -398,6 +395,16 @@ def jaccard_components(docs: DataFrame, text: str = "text", key: str = "doc_id")
     labelled = rows.join(nodes, "ref", "left").withColumn("label", F.coalesce("component", "ref"))
     labelled = materialize(labelled, "join-labelled")
     discard(sets)
+    return labelled
+
+
+def jaccard_components(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
+    """``doc_id, n_shingles, n_links, component_id`` for every row.
+
+    ``n_links`` counts the links kept by the join that touch the row's set,
+    enough to connect its component.
+    """
+    labelled = _labelled(docs, text, key, F.lit(0).cast("long"))
     names = labelled.filter("label is not null").groupBy("label").agg(F.min("doc_id").alias("name"))
     out = labelled.join(names, "label", "left")
     return out.select(
@@ -408,15 +415,27 @@ def jaccard_components(docs: DataFrame, text: str = "text", key: str = "doc_id")
     )
 
 
+def _row_mark(docs: DataFrame) -> Column:
+    """Hash of a whole row; nulls are told apart by place, and maps, which have no hash, are hashed as text."""
+    whole = [F.to_json(F.struct(f.name)) if "map<" in f.dataType.simpleString() else F.col(f.name) for f in docs.schema]
+    return F.xxhash64(*whole, *[F.col(f.name).isNull() for f in docs.schema])
+
+
 def keep_representatives(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
-    """One document of each component stays: the one with the smallest id; documents without words all stay.
+    """One row of each component stays: the one with the smallest id, nulls last; rows without words all stay.
 
-    Of rows repeated with the representative's id one stays, whatever the rest
-    of the row holds.
+    Rows are told apart by id and hash of the whole row, not by id alone: rows
+    of one id, or of none, whose texts are not linked are in different
+    components and stay. Of rows of one component and id the smallest hash
+    stays, and of rows equal in every column one.
     """
-    found = jaccard_components(docs, text, key)
-    keep = found.filter((F.col("n_shingles") == 0) | F.col(key).eqNullSafe(F.col("component_id")))
-    keep = keep.select(F.col(key).alias("__k"), (F.col("n_shingles") == 0).alias("__empty")).distinct()
-    joined = docs.join(keep, F.col(key).eqNullSafe(F.col("__k")))
-    solid = joined.filter(~F.col("__empty")).dropDuplicates([key])
-    return solid.unionByName(joined.filter("__empty")).select(*docs.columns)
+    mark = _row_mark(docs)
+    labelled = _labelled(docs, text, key, mark)
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "mark")).alias("r")
+    solid = labelled.filter("label is not null").groupBy("label").agg(first).select("r.doc_id", "r.mark", F.lit(False).alias("__empty"))
+    empty = labelled.filter("label is null").select("doc_id", "mark", F.lit(True).alias("__empty")).distinct()
+    keep = solid.unionByName(empty).withColumnsRenamed({"doc_id": "__k", "mark": "__m"})
+    marked = docs.withColumn("__mark", mark)
+    joined = marked.join(keep, F.col(key).eqNullSafe(F.col("__k")) & (F.col("__mark") == F.col("__m")))
+    one = joined.filter(~F.col("__empty")).dropDuplicates([key, "__mark"])
+    return one.unionByName(joined.filter("__empty")).select(*docs.columns)
