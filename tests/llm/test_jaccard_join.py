@@ -112,3 +112,16 @@ def test_representatives_of_null_and_repeated_ids(spark):
     want = [(1, text("a")), (7, text("b")), (8, text("f")), (8, text("g")), (8, None), (8, ""), (None, None), (None, None)]
     assert sorted(kept, key=str) == sorted(want + [(None, text(x)) for x in "cde"], key=str)
     assert J.keep_representatives(df.drop("tags")).count() == len(kept)
+
+
+def test_every_link_is_counted(spark, monkeypatch):
+    monkeypatch.setattr(J, "BLOCK_SETS", 50)
+    rows = near_copies(6, 1, 230, 120) + near_copies(7, 12, 4, 80)
+    texts = [t for _, t in rows] + [rows[0][1]] * 9 + [rows[-1][1]] * 2 + ["alone in here"] * 3 + [None, "", "a b c d e f g"]
+    rows = [(i, t) for i, t in enumerate(texts)]
+    sets = brute_sets(texts)
+    want = [sum(1 for j, b in enumerate(sets) if j != i and a and b and 100 * len(a & b) >= 75 * len(a | b)) for i, a in enumerate(sets)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = sorted((r.doc_id, r.n_shingles, r.n_links, r.component_id) for r in J.jaccard_links(df).collect())
+    assert [r[2] for r in got] == want and max(want) > 200
+    assert sorted(((d, n, c) for d, n, _, c in got), key=str) == brute(rows)

@@ -19,6 +19,10 @@
    exactly. What the hubs did not join is compared in full at the end, so no
    link between different components is lost.
 6. Components of the links, with the smallest document id as their name.
+7. Link counts (``jaccard_links``). Two linked sets are in one component, so
+   each component's sets are dealt by hash into blocks, and every pair of blocks
+   counts the exact overlaps of all its pairs of sets; links are weighted by the
+   rows that have a set. The work is the number of pairs inside components.
 
 Nothing is broadcast by hint and nothing is collected; hot shingles sort last
 and rarely enter a prefix. A shingle is identified by 48 bits plus its range,
@@ -375,8 +379,81 @@ def _apart(lists: DataFrame, labels: DataFrame) -> DataFrame:
     return joined.select("h", "gid", "leader", "n", "pos", "len", "label", (F.col("label") != F.col("major")).alias("minor"))
 
 
-def _labelled(docs: DataFrame, text: str, key: str, mark: Column) -> DataFrame:
-    """``doc_id, mark, n, ref, label, n_links`` for every row; sets that link carry their component's label."""
+#: Bounds of a block of sets of one component: sets, and their shared shingles.
+BLOCK_SETS, BLOCK_ITEMS = 512, 1_000_000
+
+
+def _overlap_rows(batches: Iterator[pa.RecordBatch], schema: pa.Schema) -> Iterator[pa.RecordBatch]:
+    """Links of each set within one pair of blocks; rows come sorted by component and pair of blocks."""
+    held: list[tuple] = []
+    pair = None
+    for b in batches:
+        items = b.column("items")
+        offsets, flat = items.offsets.to_numpy(), items.values.to_numpy()
+        named = zip(b.column("component").to_pylist(), b.column("lo").to_pylist(), b.column("hi").to_pylist())
+        rest = zip(*(b.column(c).to_pylist() for c in ("block", "ref", "n", "copies")))
+        for i, (now, (block, ref, n, copies)) in enumerate(zip(named, rest)):
+            if held and now != pair:
+                yield from _counted(held, pair, schema)
+                held = []
+            pair = now
+            held.append((block, ref, n, copies, flat[offsets[i] : offsets[i + 1]].copy()))
+    if held:
+        yield from _counted(held, pair, schema)
+
+
+def _counted(held: list[tuple], pair: tuple, schema: pa.Schema) -> Iterator[pa.RecordBatch]:
+    """Exact overlaps of every two sets of a pair of blocks, or of one block with itself."""
+    one = [x for x in held if x[0] == pair[1]]
+    two = one if pair[1] == pair[2] else [x for x in held if x[0] == pair[2]]
+    if not one or not two:
+        return
+    n1, n2 = (np.array([x[2] for x in side], np.int64) for side in (one, two))
+    c1, c2 = (np.array([x[3] for x in side], np.int64) for side in (one, two))
+    flat = np.concatenate([x[4] for x in two])
+    starts = np.concatenate([[0], np.cumsum([len(x[4]) for x in two])[:-1]])
+    names, at = np.unique(flat, return_inverse=True)
+    mark = np.zeros(len(names) + 1, np.int32)
+    links1, links2 = np.zeros(len(one), np.int64), np.zeros(len(two), np.int64)
+    for i, x in enumerate(one):
+        place = np.searchsorted(names, x[4])
+        place = np.where(names[np.minimum(place, len(names) - 1)] == x[4], place, len(names))
+        mark[place] = 1
+        mark[len(names)] = 0
+        ok = (NUM + DEN) * np.add.reduceat(mark[at], starts, dtype=np.int64) >= NUM * (n1[i] + n2)
+        mark[place] = 0
+        if two is one:
+            ok[i] = False
+        links1[i] = c2[ok].sum()
+        links2[ok] += c1[i]
+    rows = [(x[1], int(k)) for x, k in zip(one, links1) if k]
+    if two is not one:
+        rows += [(x[1], int(k)) for x, k in zip(two, links2) if k]
+    yield _batch(rows, schema)
+
+
+def _link_counts(sets: DataFrame, labels: DataFrame, copies: DataFrame) -> DataFrame:
+    """``ref, others``: rows of other sets that a set links with, for every set of a component."""
+    narrow = sets.select("ref", F.size("items").alias("m")).join(labels.withColumnRenamed("node", "ref"), "ref").join(copies, "ref")
+    narrow = materialize(narrow, "join-narrow")
+    blocks = F.greatest(F.ceil(F.count("*") / BLOCK_SETS), F.ceil(F.sum("m") / BLOCK_ITEMS)).cast("int").alias("blocks")
+    counts = narrow.groupBy("component").agg(blocks, F.count("*").alias("of")).filter("of > 1")
+    dealt = narrow.join(counts, "component").withColumn("block", F.pmod(F.xxhash64("ref"), "blocks").cast("int"))
+    dealt = sets.select("ref", "n", "items").join(dealt.drop("m", "of"), "ref")
+    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")
+    met = dealt.select("component", "block", "ref", "n", "copies", "items", other)
+    met = met.withColumns({"lo": F.least("block", "other"), "hi": F.greatest("block", "other")}).drop("other")
+    deal = ["component", "lo", "hi"]
+    met = met.repartition(*deal).sortWithinPartitions(*deal)
+    parts = in_arrow(met, _overlap_rows, "ref long, links long")
+    return parts.groupBy("ref").agg(F.sum("links").alias("others"))
+
+
+def _labelled(docs: DataFrame, text: str, key: str, mark: Column, count: bool = False) -> DataFrame:
+    """``doc_id, mark, n, ref, label`` for every row; sets that link carry their component's label.
+
+    ``count`` adds ``n_links``, the other rows that the row links with.
+    """
     spark = docs.sparkSession
     parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
     narrow = docs.select(F.col(key).alias("doc_id"), mark.alias("mark"), F.col(text).alias("text"))
@@ -390,29 +467,38 @@ def _labelled(docs: DataFrame, text: str, key: str, mark: Column) -> DataFrame:
     discard(found)
     linked = links(sets)
     labels = connected_components(linked)
-    degree = linked.select(F.explode(F.array("a", "b")).alias("ref")).groupBy("ref").agg(F.count("*").alias("n_links"))
-    nodes = labels.withColumnRenamed("node", "ref").join(degree, "ref", "left")
+    nodes = labels.withColumnRenamed("node", "ref")
+    if count:
+        copies = materialize(rows.filter("ref is not null").groupBy("ref").agg(F.count("*").alias("copies")), "join-copies")
+        others = _link_counts(sets, labels, copies)
+        n_links = (F.col("copies") - 1 + F.coalesce("others", F.lit(0))).cast("long")
+        nodes = copies.join(nodes, "ref", "left").join(others, "ref", "left").select("ref", "component", n_links.alias("n_links"))
     labelled = rows.join(nodes, "ref", "left").withColumn("label", F.coalesce("component", "ref"))
     labelled = materialize(labelled, "join-labelled")
     discard(sets)
     return labelled
 
 
+def _named(labelled: DataFrame, key: str, *more: Column) -> DataFrame:
+    """Rows with the smallest document id of their component."""
+    names = labelled.filter("label is not null").groupBy("label").agg(F.min("doc_id").alias("name"))
+    name = F.when(F.col("label").isNull(), F.col("doc_id")).otherwise(F.col("name")).alias("component_id")
+    return labelled.join(names, "label", "left").select(F.col("doc_id").alias(key), F.col("n").alias("n_shingles"), *more, name)
+
+
 def jaccard_components(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
+    """``doc_id, n_shingles, component_id`` for every row."""
+    return _named(_labelled(docs, text, key, F.lit(0).cast("long")), key)
+
+
+def jaccard_links(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
     """``doc_id, n_shingles, n_links, component_id`` for every row.
 
-    ``n_links`` counts the links kept by the join that touch the row's set,
-    enough to connect its component.
+    ``n_links`` is the exact number of other rows that reach the threshold
+    with the row, exact copies among them; rows without words have none.
     """
-    labelled = _labelled(docs, text, key, F.lit(0).cast("long"))
-    names = labelled.filter("label is not null").groupBy("label").agg(F.min("doc_id").alias("name"))
-    out = labelled.join(names, "label", "left")
-    return out.select(
-        F.col("doc_id").alias(key),
-        F.col("n").alias("n_shingles"),
-        F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"),
-        F.when(F.col("label").isNull(), F.col("doc_id")).otherwise(F.col("name")).alias("component_id"),
-    )
+    labelled = _labelled(docs, text, key, F.lit(0).cast("long"), True)
+    return _named(labelled, key, F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
 
 
 def _row_mark(docs: DataFrame) -> Column:

@@ -178,6 +178,28 @@ FROM d LEFT JOIN n ON n.doc_id = d.doc_id LEFT JOIN c ON c.doc_id = d.doc_id GRO
 """
 
 
+def op9_links(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard_join.jaccard_links(table(spark, sf_dir, "documents"))
+
+
+OP9_LINKS_SQL = r"""
+WITH RECURSIVE d AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'),
+         '[^\x20\x09-\x0D]+') AS w FROM documents),
+s AS (
+  SELECT DISTINCT doc_id, list_aggregate(w[i:i + 4], 'string_agg', ' ') AS g
+  FROM d, unnest(range(1, greatest(len(w) - 4, 1) + 1)) AS r(i) WHERE len(w) > 0),
+n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
+o AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS k FROM s x JOIN s y ON x.g = y.g AND x.doc_id <> y.doc_id GROUP BY 1, 2),
+l AS (SELECT a, b FROM o JOIN n na ON na.doc_id = a JOIN n nb ON nb.doc_id = b WHERE 7 * k >= 3 * (na.n + nb.n)),
+c(doc_id, other) AS (SELECT a, b FROM l UNION SELECT c.doc_id, l.b FROM c JOIN l ON c.other = l.a),
+e AS (SELECT doc_id, min(other) AS other FROM c GROUP BY doc_id),
+k AS (SELECT a AS doc_id, count(*) AS n_links FROM l GROUP BY a)
+SELECT d.doc_id, coalesce(n.n, 0) AS n_shingles, coalesce(k.n_links, 0) AS n_links, least(d.doc_id, coalesce(e.other, d.doc_id)) AS component_id
+FROM d LEFT JOIN n ON n.doc_id = d.doc_id LEFT JOIN e ON e.doc_id = d.doc_id LEFT JOIN k ON k.doc_id = d.doc_id
+"""
+
+
 def op10_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
     own = spark.createDataFrame(
@@ -223,7 +245,8 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op7_licenses": op7_licenses,
     "op8_url_rules": op8_url_rules,
     "op9_jaccard": op9_jaccard,
+    "op9_links": op9_links,
     "op10_chat": op10_chat,
 }
 
-ORACLES: dict[str, str] = {"op3_mix": OP3_SQL, "op5_warc": OP5_SQL, "op4_quality": OP4_SQL, "op8_url_rules": OP8_SQL, "op9_jaccard": OP9_SQL, "op10_chat": OP10_SQL}
+ORACLES: dict[str, str] = {"op3_mix": OP3_SQL, "op5_warc": OP5_SQL, "op4_quality": OP4_SQL, "op8_url_rules": OP8_SQL, "op9_jaccard": OP9_SQL, "op9_links": OP9_LINKS_SQL, "op10_chat": OP10_SQL}
