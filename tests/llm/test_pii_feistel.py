@@ -60,3 +60,14 @@ def test_counts_and_empty(spark):
     df = spark.createDataFrame([(1, "a@b.com 78.1.1.1"), (2, None)], "doc_id long, text string")
     assert [r.n for r in df.select(P.count_finds(F.col("text")).alias("n")).collect()] == [2, 0]
     assert P.pseudonymize(df.filter("false")).count() == 0
+
+
+def test_long_secrets_go_whole(spark):
+    long = "".join("abcDEF0189"[i * i % 10] for i in range(7000))
+    texts = [f'x token = "{long}.{long}-{long}" y', f"x api_key: '{long}' y", f"x password={long}! y", f"x {long}@example.com y", f"x a@{long}.example.com, y", "x a@" + "b." * 3000 + "com. y"]
+    texts += [f"x pwd:{'!' * 9000} y", "secret=" * 3000, "a" * 300_000 + "@", "token='" + "a" * 300_000]
+    got, df = run(spark, texts)
+    for old, new in zip(texts[:6], got):
+        assert len(new) < 80 and new.startswith("x ") and new.endswith(" y") and long[:40] not in new and "b.b." not in new
+    counted = spark.createDataFrame(list(enumerate(texts)), "i long, text string").select("i", P.count_finds(F.col("text")).alias("n")).orderBy("i")
+    assert [r.n for r in counted.collect()][:6] == [1] * 6
