@@ -70,3 +70,11 @@ def test_many_classes_give_the_same_totals(spark, monkeypatch):
 
 def test_empty_table(spark):
     assert M.mix(M.sized(docs(spark, []))).count() == 0 and M.sample(docs(spark, [])).count() == 0
+
+
+def test_many_classes_give_the_same_copies(spark, monkeypatch):
+    rows = rows_of([("a", 500, 20), ("b", 100, 40), (None, 90, 3)])
+    one = lambda: sorted((r.doc_id, r.copies) for r in M.mix(M.sized(docs(spark, rows))).select("doc_id", "copies").collect())
+    whole = one()
+    monkeypatch.setattr(M, "ROWS_PER_CLASS", 50)
+    assert one() == whole and len({n for _, n in whole}) > 1

@@ -6,12 +6,13 @@ added, and a copy is emitted for every integer boundary that the running sum
 crosses. Ordering by size makes every stratum of sizes sampled in proportion,
 so the words taken come near the target and not only the number of documents.
 
-The prefix sum runs over all sources at once in two levels: rows are summed
-inside buckets (source, size class, hash class), the bucket totals, a small
-table, are summed along the order, and the rows add their bucket's start. No
-task holds a source, only a bucket; the number of hash classes follows the
-number of rows, so a bucket stays bounded even when one source or one size
-holds a third of the table. Sums are integers in units of 1e-8 copies, so
+The prefix sum runs over all sources at once in three levels: rows are summed
+inside buckets (source, size, hash range), the bucket totals along each size
+class, and the class totals, a small table, along each source; the rows add
+the starts of both. No task holds a source, only a bucket; the number of hash
+ranges follows the number of rows, so a bucket stays bounded even when one
+source or one size holds a third of the table. The order is (size, digest, id)
+at every number of ranges, so the result does not depend on it. Sums are integers in units of 1e-8 copies, so
 reruns and retries agree exactly.
 
 Defined results: null texts have size 0 and take nothing; the null source
@@ -81,12 +82,16 @@ def emit_copies(docs: DataFrame, expected: Column, group: str, size: str, key: s
             "__m": F.call_function("shiftright", F.col(size), F.greatest(octave - 4, F.lit(0))),
             "__t": tie,
         }
-    ).withColumn("__c", (F.conv(F.substr("__t", F.lit(1), F.lit(8)), 16, 10).cast("long") % classes).cast("int"))
-    bucket = ["__g", "__o", "__m", "__c"]
+    ).withColumns({"__c": F.floor(F.conv(F.substr("__t", F.lit(1), F.lit(8)), 16, 10).cast("long") * classes / (1 << 32)).cast("int"), "__n": F.col(size)})
+    level, bucket = ["__g", "__o", "__m"], ["__g", "__o", "__m", "__n", "__c"]
     totals = rows.groupBy(*bucket).agg(F.sum("__u").alias("__b"))
-    along = W.partitionBy("__g").orderBy("__o", "__m", "__c").rowsBetween(W.unboundedPreceding, -1)
-    starts = totals.select(*bucket, F.coalesce(F.sum("__b").over(along), F.lit(0)).alias("__start"))
-    inside = W.partitionBy(*bucket).orderBy(size, "__t", key).rowsBetween(W.unboundedPreceding, 0)
+    before = W.partitionBy("__g").orderBy("__o", "__m").rowsBetween(W.unboundedPreceding, -1)
+    levels = totals.groupBy(*level).agg(F.sum("__b").alias("__b"))
+    levels = levels.select(*level, F.coalesce(F.sum("__b").over(before), F.lit(0)).alias("__first"))
+    along = W.partitionBy(*level).orderBy("__n", "__c").rowsBetween(W.unboundedPreceding, -1)
+    starts = totals.select(*bucket, F.coalesce(F.sum("__b").over(along), F.lit(0)).alias("__start")).join(levels, level)
+    starts = starts.select(*bucket, (F.col("__first") + F.col("__start")).alias("__start"))
+    inside = W.partitionBy(*bucket).orderBy("__t", key).rowsBetween(W.unboundedPreceding, 0)
     run = rows.withColumn("__run", F.sum("__u").over(inside)).join(starts, bucket)
     offset = F.floor(uniform(F.lit(seed), F.col("__g")) * UNIT).cast("long")
     end = F.col("__run") + F.col("__start") + offset
