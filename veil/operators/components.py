@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from veil.sources.shared import materialize
+from veil.sources.shared import drop_written, materialize
 
 MAX_ROUNDS = 64
 
@@ -25,7 +25,8 @@ def connected_components(edges: DataFrame, max_rounds: int = MAX_ROUNDS) -> Data
     both = materialize(both.distinct(), "cc-edges")
     labels = both.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("m"))
     labels = labels.select("node", F.least("node", "m").alias("component"))
-    labels = materialize(labels, "cc-0")
+    written = labels = materialize(labels, "cc-0")
+    old: list[DataFrame] = []
     for k in range(1, max_rounds + 1):
         near = (
             both.join(labels.withColumnRenamed("node", "v"), "v")
@@ -36,7 +37,9 @@ def connected_components(edges: DataFrame, max_rounds: int = MAX_ROUNDS) -> Data
         stepped = labels.join(up, "component").join(near, "node")
         best = F.least("component", "up", "near")
         nxt = materialize(stepped.select("node", best.alias("component"), (best != F.col("component")).alias("moved")), f"cc-{k}")
-        labels = nxt.select("node", "component")
+        old.append(written)
+        written, labels = nxt, nxt.select("node", "component")
         if nxt.filter("moved").isEmpty():
+            drop_written(both, *old)
             return labels
     raise RuntimeError(f"components did not settle in {max_rounds} rounds")

@@ -6,6 +6,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
+from veil.operators.skew import running
+
 PERCENTS = (90, 80, 70, 60, 50, 40, 30, 20, 10, 0)
 
 
@@ -44,7 +46,7 @@ def stop(leveled: DataFrame, percent: int) -> DataFrame:
 def rank(pairs: DataFrame, order: str, seed: int = 1) -> DataFrame:
     """Add ``rank`` from 1 in the order ``index``, ``random``, ``size`` or ``decile``; ties by bins.
 
-    The table has one row per bin pair, not per record; it is sorted as a whole.
+    One row per bin pair, numbered by ranges of the order: no task sorts the table.
     """
     keys: dict[str, list[Column]] = {
         "index": [],
@@ -54,7 +56,7 @@ def rank(pairs: DataFrame, order: str, seed: int = 1) -> DataFrame:
     }
     if order not in keys or order == "decile" and "percent" not in pairs.columns:
         raise ValueError(f"unknown order {order}")
-    return pairs.withColumn("rank", F.row_number().over(W.orderBy(*keys[order], "a_bin", "b_bin")).cast("long"))
+    return running(pairs, [*keys[order], F.col("a_bin"), F.col("b_bin")], label="ranked")
 
 
 def curve(leveled: DataFrame, found: DataFrame, truth: int | Column, all_pairs: int | Column) -> DataFrame:

@@ -1,8 +1,9 @@
 """Shared storage for intermediate tables.
 
 Everything that must outlive a lost executor goes to the folder that the
-session names in ``spark.checkpoint.dir``; only where that is unset (tests on
-one machine) is a temporary folder chosen.
+session names in ``spark.checkpoint.dir``; where that is unset a temporary
+folder is chosen if the master is local (tests, one machine), and any other
+master is refused, as its executors would not see such a folder.
 """
 
 from __future__ import annotations
@@ -97,6 +98,8 @@ def shared_root(spark: SparkSession) -> str:
     if root:
         return root.rstrip("/")
     app = spark.sparkContext.applicationId
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
     if app not in _FALLBACK:
         _FALLBACK[app] = "file://" + tempfile.mkdtemp(prefix="veil-")
     return _FALLBACK[app]
@@ -134,6 +137,12 @@ def discard(df: DataFrame) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
+def drop_written(*tables: DataFrame) -> None:
+    """Delete tables that ``materialize`` wrote and that no plan reads any more."""
+    for t in tables:
+        drop_path(t.sparkSession, t.written_at)
+
+
 def drop_path(spark: SparkSession, path: str) -> None:
     """Delete a path of the shared folder through Hadoop's file system."""
     jvm = spark.sparkContext._jvm
