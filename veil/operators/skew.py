@@ -13,8 +13,8 @@ HOT = 1000
 
 
 def hot_keys(counts: DataFrame, on: list[str], total: int, n: str = "n") -> DataFrame:
-    """The keys of ``counts`` with more than one part in HOT of ``total`` rows: fewer than HOT keys."""
-    return counts.filter(F.col(n) > max(1, total // HOT)).select(*on)
+    """The keys of ``counts`` with more than one part in HOT of ``total`` rows, written: fewer than HOT keys."""
+    return materialize(counts.filter(F.col(n) > max(1, total // HOT)).select(*on), "hot-keys")
 
 
 def join_hot(left: DataFrame, right: DataFrame, on: list[str], hot: DataFrame, how: str = "inner") -> DataFrame:
