@@ -125,3 +125,44 @@ def test_every_link_is_counted(spark, monkeypatch):
     got = sorted((r.doc_id, r.n_shingles, r.n_links, r.component_id) for r in J.jaccard_links(df).collect())
     assert [r[2] for r in got] == want and max(want) > 200
     assert sorted(((d, n, c) for d, n, _, c in got), key=str) == brute(rows)
+
+
+def test_frequent_shingles_are_passed_on_early(spark, monkeypatch):
+    r = random.Random(9)
+    sets = {i: np.unique(np.array([r.randrange(2**64) for _ in range(3)] + [k << 56 | 5 for k in range(1, 1 + i % 7)], np.uint64)) for i in range(1, 200)}
+    rows = [x for lo in range(1, 200, 10) for x in J._packed({i: sets[i] for i in range(lo, min(lo + 10, 200))}, 1)] + list(J._packed({3: sets[3]}, 1))
+    schema = J.pa.schema([("bucket", "int32"), ("blob", "binary"), *[(n, J.pa.list_(J.pa.int64())) for n in ("docs", "marks", "refs", "sizes")]])
+
+    def run():
+        given = J.pa.schema([("part", "int32"), *list(schema)[1:]])
+        batches = [J._batch([x], given) for x in rows]
+        out = {}
+        for b in J._shared_rows(iter(batches), schema, 1):
+            for blob in b.column("blob").to_pylist():
+                m = len(blob) // 24
+                for k, ref, f in zip(np.frombuffer(blob, np.uint64, m), np.frombuffer(blob, np.int64, m, 8 * m), np.frombuffer(blob, np.uint32, m, 20 * m)):
+                    out.setdefault(int(k), {}).setdefault(int(f), set()).add(int(ref))
+        return out
+
+    whole = run()
+    monkeypatch.setattr(J, "LOOK_AFTER", 100)
+    monkeypatch.setattr(J, "FREQUENT", 60)
+    early = run()
+    assert whole.keys() == early.keys() and len(whole) == 6
+    for k, by in whole.items():
+        ((f, refs),) = by.items()
+        ((g, same),) = early[k].items()
+        assert refs == same and f == len(refs) and g == (f if f < 60 else int(J.LAST))
+
+
+def test_all_bits_of_a_shingle_count():
+    a, b = np.array([1 << 40 | 7], np.uint64), np.array([1 << 40 | 7 | 0xABCD << 16], np.uint64)
+    assert len({x[1][-8:] for s in (a, b) for x in J._packed({1: s}, 64)}) == 2
+
+
+def test_small_ranges_and_frequent_shingles_keep_the_result(spark, monkeypatch):
+    monkeypatch.setattr(J, "RANGE_BYTES", 2000)
+    monkeypatch.setattr(J, "SLICE", 16)
+    rows = near_copies(11, 1, 120, 60) + near_copies(12, 10, 3, 50)
+    rows = [(i, t) for i, (_, t) in enumerate(rows)] + [(500 + i, rows[0][1]) for i in range(40)] + [(700 + i, None) for i in range(30)]
+    assert result(spark, rows) == brute(rows)

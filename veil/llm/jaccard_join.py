@@ -24,9 +24,16 @@
    counts the exact overlaps of all its pairs of sets; links are weighted by the
    rows that have a set. The work is the number of pairs inside components.
 
-Nothing is broadcast by hint and nothing is collected; hot shingles sort last
-and rarely enter a prefix. A shingle is identified by 48 bits plus its range,
-a set by 64 bits and its size.
+Scale: the number of ranges follows the bytes of text, so a task holds one range
+of bounded size; of a shingle that very many sets have, postings are passed on
+as soon as it is known to be that frequent, and all such shingles share the last
+place in the order of frequency, ties by hash. Hot keys (a component, a list of
+one shingle, a set with many copies) are joined in place: only their few rows of
+the other side, fewer than a thousand, are broadcast. Nothing is collected.
+
+Shingles and sets are identified by 64-bit hashes, kept whole. Two of n different
+sets share a hash with a chance of about n * n / 2**65: 3 % at a billion sets; such
+a pair would count as one set. A shared hash of two shingles moves an overlap by one.
 
 Defined results: null, empty and blank texts have an empty set, link with
 nothing and are their own component; texts of fewer than five words have one
@@ -47,7 +54,8 @@ from pyspark.sql import functions as F
 
 from veil.llm.word_hash import BLOCK, mix, segments, word_hashes
 from veil.operators.components import connected_components
-from veil.sources.shared import discard, in_arrow, materialize
+from veil.operators.skew import hot_keys, join_hot
+from veil.sources.shared import discard, drop_written, in_arrow, materialize
 
 WORDS = 5
 #: Threshold as a fraction.
@@ -56,6 +64,12 @@ _C = [np.uint64(pow(0xD6E8FEB86659FD93, k + 1, 1 << 64) | 1) for k in range(WORD
 SHORT_LIST = 16
 HUBS = 3
 HUB_ROUNDS = 2
+#: Bytes of text per range of shingle hashes.
+RANGE_BYTES = 8 << 20
+#: Postings of a range after which frequent shingles are looked for, and postings that make a shingle frequent.
+LOOK_AFTER, FREQUENT = 4_000_000, 1_000_000
+LAST = np.uint32(0xFFFFFFFF)
+
 
 def shingle_set(words: np.ndarray) -> np.ndarray:
     """Distinct shingle hashes, sorted; fewer than five words make one shingle."""
@@ -117,78 +131,86 @@ def _posting_rows(batches: Iterator[pa.RecordBatch], schema: pa.Schema, parts: i
 
 
 def _packed(sets: dict[int, np.ndarray], parts: int) -> Iterator[tuple]:
-    """Per range: number of sets, their ids, sizes and counts, and six bytes per shingle."""
+    """Per range: number of sets, their ids, sizes and counts, and the shingles as eight bytes each."""
     refs = np.array(list(sets), np.int64)
     sizes = np.array([len(s) for s in sets.values()], np.uint32)
     h = np.concatenate(list(sets.values()))
     owner = np.repeat(np.arange(len(refs), dtype=np.int64), [len(s) for s in sets.values()])
-    scaled = (h >> np.uint64(32)) * np.uint64(parts)
-    part = (scaled >> np.uint64(32)).astype(np.int64)
-    rest = ((scaled & np.uint64(0xFFFFFFFF)) << np.uint64(16)) | (h & np.uint64(0xFFFF))
+    part = ((h >> np.uint64(32)) * np.uint64(parts) >> np.uint64(32)).astype(np.int64)
     order = np.argsort(part * len(refs) + owner, kind="stable")
-    part, owner, rest = part[order], owner[order], rest[order]
+    part, owner, h = part[order], owner[order], h[order]
     bounds = np.flatnonzero(np.diff(part)) + 1
     for lo, hi in zip(np.concatenate([[0], bounds]), np.concatenate([bounds, [len(part)]])):
         o = owner[lo:hi]
         first = np.concatenate([[0], np.flatnonzero(np.diff(o)) + 1])
         counts = np.diff(np.concatenate([first, [hi - lo]])).astype(np.uint32)
-        six = np.ascontiguousarray(rest[lo:hi]).view(np.uint8).reshape(-1, 8)[:, :6].tobytes()
-        blob = np.uint32(len(first)).tobytes() + refs[o[first]].tobytes() + sizes[o[first]].tobytes() + counts.tobytes() + six
+        blob = np.uint32(len(first)).tobytes() + refs[o[first]].tobytes() + sizes[o[first]].tobytes() + counts.tobytes() + h[lo:hi].tobytes()
         yield int(part[lo]), blob, None, None, None, None
 
 
-#: Pieces of a range that the census works on one after another, by the top bits of the numbers.
-PIECE_BITS = 3
-
-
-def _tables(blobs: list[bytes]) -> tuple[list[int], np.ndarray, np.ndarray]:
-    """Number of sets of each blob, and all set ids and sizes in one table."""
-    heads = [int(np.frombuffer(x, np.uint32, 1)[0]) for x in blobs]
-    refs = [np.frombuffer(x, np.int64, n, 4) for x, n in zip(blobs, heads)]
-    sizes = [np.frombuffer(x, np.uint32, n, 4 + 8 * n) for x, n in zip(blobs, heads)]
-    return heads, np.concatenate(refs), np.concatenate(sizes)
+class _Range:
+    """Postings of one range of hashes: shingle, set and size of the set, repeats removed."""
 
+    def __init__(self) -> None:
+        self.k, self.ref, self.size = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.uint32)
+        self.new: list[tuple[np.ndarray, ...]] = []
+        self.frequent = np.zeros(0, np.uint64)
+        self.waiting = 0
 
-def _piece(blobs: list[bytes], heads: list[int], piece: int) -> tuple[np.ndarray, np.ndarray]:
-    """The numbers of a piece, and the place of each one's set in the table."""
-    numbers, owners, row = [], [], 0
-    for blob, n in zip(blobs, heads):
+    def add(self, blob: bytes) -> None:
+        n = int(np.frombuffer(blob, np.uint32, 1)[0])
         counts = np.frombuffer(blob, np.uint32, n, 4 + 12 * n)
-        six = np.frombuffer(blob, np.uint8, -1, 4 + 16 * n).reshape(-1, 6)
-        mine = np.flatnonzero(six[:, 5] >> (8 - PIECE_BITS) == piece)
-        eight = np.zeros((len(mine), 8), np.uint8)
-        eight[:, :6] = six[mine]
-        numbers.append(eight.view(np.int64).ravel())
-        owners.append((np.searchsorted(np.cumsum(counts), mine, "right") + row).astype(np.uint32))
-        row += n
-    return np.concatenate(numbers), np.concatenate(owners)
-
-
-def _shared(blobs: list[bytes]) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
-    """Numbers that several sets have, with set, set size and number of sets, piece by piece."""
-    heads, refs, sizes = _tables(blobs)
-    for piece in range(1 << PIECE_BITS):
-        k, owner = _piece(blobs, heads, piece)
-        order = np.argsort(k)
-        k = k[order]
-        same = k[1:] == k[:-1]
-        keep = np.concatenate([same, [False]]) | np.concatenate([[False], same]) if len(k) else np.zeros(0, bool)
-        k, owner = k[keep], owner[order[keep]]
-        ref, size = refs[owner], sizes[owner]
+        refs, sizes = np.repeat(np.frombuffer(blob, np.int64, n, 4), counts), np.repeat(np.frombuffer(blob, np.uint32, n, 4 + 8 * n), counts)
+        self.new.append((np.frombuffer(blob, np.uint64, -1, 4 + 16 * n), refs, sizes))
+        self.waiting += len(refs)
+
+    def merge(self) -> np.ndarray:
+        """Take in what was added, sorted and without repeats; returns how often each posting's shingle occurs."""
+        k, ref, size = map(np.concatenate, zip((self.k, self.ref, self.size), *self.new))
+        self.new, self.waiting = [], 0
         order = np.lexsort((ref, k))
         k, ref, size = k[order], ref[order], size[order]
-        new = np.ones(len(k), bool)
-        new[1:] = (k[1:] != k[:-1]) | (ref[1:] != ref[:-1])
-        k, ref, size = k[new], ref[new], size[new]
-        _, inverse, counts = np.unique(k, return_inverse=True, return_counts=True)
-        freq = counts[inverse].astype(np.uint32)
-        keep = freq > 1
-        yield k[keep], ref[keep], size[keep], freq[keep]
+        keep = np.ones(len(k), bool)
+        keep[1:] = (k[1:] != k[:-1]) | (ref[1:] != ref[:-1])
+        self.k, self.ref, self.size = k[keep], ref[keep], size[keep]
+        starts = np.flatnonzero(np.concatenate([[True], self.k[1:] != self.k[:-1]])) if len(self.k) else np.zeros(0, np.int64)
+        counts = np.diff(np.append(starts, len(self.k)))
+        return np.repeat(counts, counts)
+
+    def _take(self, mine: np.ndarray, freq: np.ndarray) -> tuple[np.ndarray, ...]:
+        out = self.k[mine], self.ref[mine], self.size[mine], freq[mine].astype(np.uint32)
+        self.k, self.ref, self.size = self.k[~mine], self.ref[~mine], self.size[~mine]
+        return out
+
+    def pass_on(self) -> tuple[np.ndarray, ...]:
+        """Postings of shingles known to be frequent, which leave the memory."""
+        freq = self.merge()
+        self.frequent = np.union1d(self.frequent, self.k[freq >= FREQUENT])
+        return self._take(np.isin(self.k, self.frequent), np.full(len(self.k), LAST))
+
+    def shared(self) -> tuple[np.ndarray, ...]:
+        """At the end: the other postings of shingles that several sets have."""
+        freq = self.merge()
+        return self._take(freq > 1, freq)
+
+
+def _by_bucket(postings: tuple[np.ndarray, ...], parts: int, schema: pa.Schema) -> pa.RecordBatch:
+    """Postings packed by buckets of sets."""
+    k, ref, size, freq = postings
+    bucket = (ref.view(np.uint64) % np.uint64(parts)).astype(np.int64)
+    order = np.argsort(bucket, kind="stable")
+    cuts = np.concatenate([[0], np.flatnonzero(np.diff(bucket[order])) + 1, [len(order)]])
+    rows = []
+    for lo, hi in zip(cuts[:-1], cuts[1:]):
+        if hi > lo:
+            i = order[lo:hi]
+            rows.append((int(bucket[i[0]]), k[i].tobytes() + ref[i].tobytes() + size[i].tobytes() + freq[i].tobytes(), None, None, None, None))
+    return _batch(rows, schema)
 
 
 def _shared_rows(batches: Iterator[pa.RecordBatch], schema: pa.Schema, parts: int) -> Iterator[pa.RecordBatch]:
-    """The documents as they come, then per range the shingles that several sets have, packed by buckets of sets."""
-    blobs: dict[int, list[bytes]] = {}
+    """The documents as they come, and the shingles of the task's range that several sets have, packed by buckets of sets."""
+    ranges: dict[int, _Range] = {}  # one per task, as ranges are dealt by their number
     for b in batches:
         whole = np.flatnonzero(b.column("blob").is_null().to_numpy(zero_copy_only=False))
         if len(whole):
@@ -196,19 +218,15 @@ def _shared_rows(batches: Iterator[pa.RecordBatch], schema: pa.Schema, parts: in
             yield pa.RecordBatch.from_arrays([c.cast(f.type) for c, f in zip(kept.columns, schema)], schema=schema)
         for part, blob in zip(b.column("part").to_pylist(), b.column("blob")):
             if blob.is_valid:
-                blobs.setdefault(part, []).append(blob.as_py())
-    for part in sorted(blobs):
-        k, ref, size, freq = map(np.concatenate, zip(*_shared(blobs.pop(part))))
-        k = (np.int64(part) << np.int64(48)) | k
-        bucket = (ref.view(np.uint64) % np.uint64(parts)).astype(np.int64)
-        order = np.argsort(bucket, kind="stable")
-        cuts = np.concatenate([[0], np.flatnonzero(np.diff(bucket[order])) + 1, [len(order)]])
-        rows = []
-        for lo, hi in zip(cuts[:-1], cuts[1:]):
-            if hi > lo:
-                i = order[lo:hi]
-                rows.append((int(bucket[i[0]]), k[i].tobytes() + ref[i].tobytes() + size[i].tobytes() + freq[i].tobytes(), None, None, None, None))
-        yield _batch(rows, schema)
+                r = ranges.setdefault(part, _Range())
+                r.add(blob.as_py())
+                if r.waiting >= LOOK_AFTER:
+                    yield _by_bucket(r.pass_on(), parts, schema)
+    for part in sorted(ranges):
+        r = ranges.pop(part)
+        if len(r.frequent):
+            yield _by_bucket(r.pass_on(), parts, schema)
+        yield _by_bucket(r.shared(), parts, schema)
 
 
 SETS = "ref long, n long, before long, gid long, keys array<long>, items array<long>"
@@ -217,7 +235,7 @@ SETS = "ref long, n long, before long, gid long, keys array<long>, items array<l
 def _prefix_rows(batches: Iterator[pa.RecordBatch], schema: pa.Schema) -> Iterator[pa.RecordBatch]:
     """Sets that have shared shingles in their prefix: those keys and all shared shingles.
 
-    A partition holds whole buckets of sets; a bucket is packed numbers only.
+    A task holds one bucket of sets, as packed numbers only.
     """
     blobs: dict[int, list[bytes]] = {}
     for b in batches:
@@ -232,6 +250,9 @@ def _prefix_rows(batches: Iterator[pa.RecordBatch], schema: pa.Schema) -> Iterat
         k, ref, size, freq = map(np.concatenate, cols)
         order = np.lexsort((k, freq, ref))
         k, ref, size = k[order], ref[order], size[order]
+        once = np.ones(len(k), bool)  # postings passed on early may repeat
+        once[1:] = (k[1:] != k[:-1]) | (ref[1:] != ref[:-1])
+        k, ref, size = k[once], ref[once], size[once]
         cuts = np.concatenate([[0], np.flatnonzero(np.diff(ref)) + 1, [len(ref)]])
         rows, held = [], 0
         for lo, hi in zip(cuts[:-1], cuts[1:]):
@@ -295,9 +316,12 @@ def _ordered(a, b):
     return F.least(a, b).alias("a"), F.greatest(a, b).alias("b")
 
 
+#: Postings of a long list that meet a minority's sets in one task.
+SLICE = 4096
+
+
 def links(sets: DataFrame) -> DataFrame:
     """Links ``a, b`` between sets that have the components of all links."""
-    spark = sets.sparkSession
     groups = materialize(
         sets.groupBy("gid").agg(
             F.min("ref").alias("leader"),
@@ -308,21 +332,28 @@ def links(sets: DataFrame) -> DataFrame:
         ),
         "join-groups",
     )
+    large = hot_keys(groups, ["gid"], sets.count(), "members")
     entries = groups.select("gid", "leader", "n", "before", F.posexplode("keys").alias("k", "h"))
-    entries = entries.select("gid", "leader", "n", (F.col("before") + F.col("k")).alias("pos"), "h")
-    lengths = entries.groupBy("h").agg(F.count("*").alias("len")).filter("len > 1")
-    lists = materialize(entries.join(lengths, "h"), "join-lists")
+    entries = materialize(entries.select("gid", "leader", "n", (F.col("before") + F.col("k")).alias("pos"), "h"), "join-entries")
+    lengths = materialize(entries.groupBy("h").agg(F.count("*").alias("len")).filter("len > 1"), "join-lengths")
+    common = hot_keys(lengths, ["h"], entries.count(), "len")
+    lists = materialize(join_hot(entries, lengths, ["h"], common), "join-lists")
+    drop_written(entries, lengths)
     e1, e2 = lists.filter(F.col("len") <= SHORT_LIST).alias("x"), lists.filter(F.col("len") <= SHORT_LIST).alias("y")
     near = (F.col("x.h") == F.col("y.h")) & (F.col("x.gid") < F.col("y.gid")) & _enough("x", "y", "x.pos", "y.pos")
     short = e1.join(e2, near).select(F.col("x.gid").alias("g1"), F.col("y.gid").alias("g2"), F.col("x.leader").alias("a"), F.col("y.leader").alias("b"))
     short = materialize(short.distinct(), "join-short")
     long_lists = lists.filter(F.col("len") > SHORT_LIST)
-    whole = long_lists.drop("leader").join(sets.select("gid", F.col("ref").alias("leader")), "gid")
+    owned = sets.select("gid", F.col("ref").alias("leader"))
+    in_lists = materialize(long_lists.groupBy("gid").agg(F.collect_list(F.struct("n", "pos", "h", "len")).alias("in")), "join-in-lists")
+    whole = join_hot(owned, in_lists, ["gid"], large).select("gid", "leader", F.inline("in"))
     whole = materialize(whole, "join-long")  # each member of a group stands for itself
-    inside = sets.join(groups.filter("members > 1").select("gid", "leader"), "gid").filter("ref <> leader")
+    several = groups.filter("members > 1").select("gid", "leader")
+    inside = join_hot(sets.select("gid", "ref"), several, ["gid"], large).filter("ref <> leader")
     inside = inside.select(*_ordered(F.col("ref"), F.col("leader")))
     first = short.select(*_ordered(F.col("a"), F.col("b"))).unionByName(inside).unionByName(_hub_pairs(long_lists, 0))
-    found = materialize(_verified(first.distinct(), sets), "join-links-0")
+    first = materialize(first.distinct(), "join-first")
+    found = materialize(_verified(first, sets), "join-links-0")
 
     open_lists = not long_lists.isEmpty()
     labels = None
@@ -337,34 +368,52 @@ def links(sets: DataFrame) -> DataFrame:
         if k < HUB_ROUNDS:
             more = _verified(_hub_pairs(apart, k).distinct(), sets)
             found = materialize(found.unionByName(more).distinct(), f"join-links-{k}")
-    pairs = short.select("g1", "g2")
     if open_lists:
         keyed = apart.join(sets.select(F.col("ref").alias("leader"), "keys"), "leader")
-        x, y = keyed.filter("minor").alias("x"), keyed.alias("y")
-        across = (F.col("x.h") == F.col("y.h")) & (F.col("x.label") != F.col("y.label"))
+        slices = F.ceil(F.col("len") / SLICE).cast("int")
+        x = keyed.filter("minor").withColumn("slice", F.explode(F.sequence(F.lit(0), slices - 1))).alias("x")
+        y = keyed.withColumn("slice", F.pmod(F.xxhash64("leader"), slices).cast("int")).alias("y")
+        across = (F.col("x.h") == F.col("y.h")) & (F.col("x.slice") == F.col("y.slice")) & (F.col("x.label") != F.col("y.label"))
         once = ~F.col("y.minor") | (F.col("x.leader") < F.col("y.leader"))
         rest = x.join(y, across & once & _enough("x", "y", "x.pos", "y.pos") & _enough_keys("x", "y"))
         rest = rest.select(*_ordered(F.col("x.leader"), F.col("y.leader")))
-    own = groups.filter("members > 1").select(F.col("gid").alias("g1"), F.col("gid").alias("g2"))
-    members = sets.join(labels.withColumnRenamed("node", "ref"), "ref", "left")
-    members = members.select("gid", "ref", F.coalesce("component", "ref").alias("c"))
-    m1 = members.select(F.col("gid").alias("g1"), F.col("ref").alias("r1"), F.col("c").alias("c1"))
-    m2 = members.select(F.col("gid").alias("g2"), F.col("ref").alias("r2"), F.col("c").alias("c2"))
-    left = pairs.unionByName(own).join(m1, "g1").join(m2, "g2").filter("c1 <> c2")
-    left = left.select(*_ordered(F.col("r1"), F.col("r2")))
+    left = _between_groups(short.select("g1", "g2"), groups, sets, labels, large)
     left = left.unionByName(rest) if open_lists else left
-    left = materialize(left.distinct().join(first.distinct(), ["a", "b"], "left_anti"), "join-rest")
+    left = materialize(left.distinct().join(first, ["a", "b"], "left_anti"), "join-rest")
+    drop_written(lists, short, in_lists, whole, first)
     if left.isEmpty():
         return found
     return materialize(found.unionByName(_verified(left, sets)).distinct(), "join-links")
 
 
+def _between_groups(pairs: DataFrame, groups: DataFrame, sets: DataFrame, labels: DataFrame, large: DataFrame) -> DataFrame:
+    """Pairs of sets of paired groups, or of one group, that lie in different components.
+
+    Groups that lie in one and the same component are left out before members meet.
+    """
+    members = sets.select("gid", "ref").join(labels.withColumnRenamed("node", "ref"), "ref", "left")
+    members = materialize(members.select("gid", "ref", F.coalesce("component", "ref").alias("c")), "join-group-members")
+    spread = materialize(members.groupBy("gid").agg(F.min("c").alias("lo"), F.max("c").alias("hi")), "join-spread")
+    own = groups.filter("members > 1").select(F.col("gid").alias("g1"), F.col("gid").alias("g2"))
+    s1, s2 = (spread.select(F.col("gid").alias(f"g{i}"), F.col("lo").alias(f"lo{i}"), F.col("hi").alias(f"hi{i}")) for i in (1, 2))
+    one = (F.col("lo1") == F.col("hi1")) & (F.col("lo2") == F.col("hi2")) & (F.col("lo1") == F.col("lo2"))
+    split = materialize(pairs.unionByName(own).join(s1, "g1").join(s2, "g2").filter(~one).select("g1", "g2"), "join-split")
+    named = materialize(split.select(F.explode(F.array("g1", "g2")).alias("gid")).distinct(), "join-named")
+    met = materialize(join_hot(members, named, ["gid"], large), "join-met")
+    m1 = met.select(F.col("gid").alias("g1"), F.col("ref").alias("r1"), F.col("c").alias("c1"))
+    m2 = met.select(F.col("gid").alias("g2"), F.col("ref").alias("r2"), F.col("c").alias("c2"))
+    left = split.join(m1, "g1").join(m2, "g2").filter("c1 <> c2")
+    return left.select(*_ordered(F.col("r1"), F.col("r2")))
+
+
 def _hub_pairs(lists: DataFrame, salt: int) -> DataFrame:
     """Each set of a long list with a few hubs of the list, chosen by hash."""
     hub = F.struct("leader", "n", "pos")
-    picks = [F.min_by(hub, F.xxhash64("leader", F.lit(HUBS * salt + i))).alias(f"hub{i}") for i in range(HUBS)]
-    hubs = lists.groupBy("h").agg(*picks).select("h", F.explode(F.array(*[f"hub{i}" for i in range(HUBS)])).alias("hub"))
-    x = lists.alias("x").join(hubs.select(F.col("h").alias("__h"), "hub.*").alias("y"), F.col("x.h") == F.col("__h"))
+    picks = F.array(*[F.min_by(hub, F.xxhash64("leader", F.lit(HUBS * salt + i))) for i in range(HUBS)]).alias("hubs")
+    hubs = materialize(lists.groupBy("h").agg(picks, F.count("*").alias("listed")), "join-hubs")
+    common = hot_keys(hubs, ["h"], lists.count(), "listed")
+    met = join_hot(lists, hubs.select("h", "hubs"), ["h"], common).select("leader", "n", "pos", F.explode("hubs").alias("y"))
+    x = met.select(F.struct("leader", "n", "pos").alias("x"), "y")
     x = x.filter((F.col("x.leader") != F.col("y.leader")) & _enough("x", "y", "x.pos", "y.pos"))
     return x.select(*_ordered(F.col("x.leader"), F.col("y.leader")))
 
@@ -374,8 +423,10 @@ def _apart(lists: DataFrame, labels: DataFrame) -> DataFrame:
     labelled = lists.join(labels.select(F.col("node").alias("leader"), "component"), "leader", "left")
     labelled = materialize(labelled.withColumn("label", F.coalesce("component", "leader")), "join-labels")
     sizes = labelled.groupBy("h", "label").agg(F.count("*").alias("m"))
-    split = sizes.groupBy("h").agg(F.count("*").alias("parts"), F.max_by("label", F.struct("m", "label")).alias("major"))
-    joined = labelled.join(split.filter("parts > 1"), "h")
+    split = sizes.groupBy("h").agg(F.count("*").alias("parts"), F.sum("m").alias("listed"), F.max_by("label", F.struct("m", "label")).alias("major"))
+    split = materialize(split.filter("parts > 1"), "join-parted")
+    common = hot_keys(split, ["h"], labelled.count(), "listed")
+    joined = join_hot(labelled, split.select("h", "major"), ["h"], common)
     return joined.select("h", "gid", "leader", "n", "pos", "len", "label", (F.col("label") != F.col("major")).alias("minor"))
 
 
@@ -455,35 +506,41 @@ def _labelled(docs: DataFrame, text: str, key: str, mark: Column, count: bool =
     ``count`` adds ``n_links``, the other rows that the row links with.
     """
     spark = docs.sparkSession
-    parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
     narrow = docs.select(F.col(key).alias("doc_id"), mark.alias("mark"), F.col(text).alias("text"))
+    held = narrow.agg(F.sum(F.octet_length("text").cast("long")).alias("n")).first()["n"] or 0
+    parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")), -(-held // RANGE_BYTES))
     posted = in_arrow(narrow, _posting_rows, POSTED, parts)
-    found = materialize(in_arrow(posted.repartition(parts, "part"), _shared_rows, FOUND, parts), "join-found")
+    found = materialize(in_arrow(posted.repartitionById(parts, "part"), _shared_rows, FOUND, parts), "join-found")
     rows = found.filter("blob is null").select(F.explode(F.arrays_zip("docs", "marks", "refs", "sizes")).alias("r"))
     rows = rows.select(F.col("r.docs").alias("doc_id"), F.col("r.marks").alias("mark"), F.col("r.refs").alias("ref"), F.col("r.sizes").alias("n"))
     rows = materialize(rows, "join-members")
-    packed = found.filter("blob is not null").select("bucket", "blob").repartition(parts, "bucket")
+    packed = found.filter("blob is not null").select("bucket", "blob").repartitionById(parts, "bucket")
     sets = materialize(in_arrow(packed, _prefix_rows, SETS), "join-sets")
     discard(found)
     linked = links(sets)
-    labels = connected_components(linked)
-    nodes = labels.withColumnRenamed("node", "ref")
+    nodes = connected_components(linked).withColumnRenamed("node", "ref")
+    solid = rows.filter("ref is not null")
+    copies = materialize(solid.groupBy("ref").agg(F.count("*").alias("copies")), "join-copies")
     if count:
-        copies = materialize(rows.filter("ref is not null").groupBy("ref").agg(F.count("*").alias("copies")), "join-copies")
-        others = _link_counts(sets, labels, copies)
+        others = _link_counts(sets, nodes.withColumnRenamed("ref", "node"), copies)
         n_links = (F.col("copies") - 1 + F.coalesce("others", F.lit(0))).cast("long")
         nodes = copies.join(nodes, "ref", "left").join(others, "ref", "left").select("ref", "component", n_links.alias("n_links"))
-    labelled = rows.join(nodes, "ref", "left").withColumn("label", F.coalesce("component", "ref"))
-    labelled = materialize(labelled, "join-labelled")
+        nodes = materialize(nodes, "join-nodes")
+    many = hot_keys(copies, ["ref"], rows.count(), "copies")
+    named = join_hot(solid, nodes, ["ref"], many, "left").withColumn("label", F.coalesce("component", "ref"))
+    labelled = materialize(named.unionByName(rows.filter("ref is null"), allowMissingColumns=True), "join-labelled")
     discard(sets)
     return labelled
 
 
 def _named(labelled: DataFrame, key: str, *more: Column) -> DataFrame:
     """Rows with the smallest document id of their component."""
-    names = labelled.filter("label is not null").groupBy("label").agg(F.min("doc_id").alias("name"))
-    name = F.when(F.col("label").isNull(), F.col("doc_id")).otherwise(F.col("name")).alias("component_id")
-    return labelled.join(names, "label", "left").select(F.col("doc_id").alias(key), F.col("n").alias("n_shingles"), *more, name)
+    solid = labelled.filter("label is not null")
+    names = materialize(solid.groupBy("label").agg(F.min("doc_id").alias("name"), F.count("*").alias("of")), "join-names")
+    large = hot_keys(names, ["label"], labelled.count(), "of")
+    named = join_hot(solid, names.select("label", F.col("name").alias("component_id")), ["label"], large)
+    empty = labelled.filter("label is null").withColumn("component_id", F.col("doc_id"))
+    return named.unionByName(empty.select(*named.columns)).select(F.col("doc_id").alias(key), F.col("n").alias("n_shingles"), *more, "component_id")
 
 
 def jaccard_components(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
