@@ -1,4 +1,5 @@
 import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
 from veil.llm import learned_partitions as L
@@ -34,7 +35,7 @@ def test_small_tables_are_exact_with_ties_and_invalid_vectors(spark):
     r = np.random.default_rng(1)
     good = [(i, r.normal(size=8)) for i in range(90)] + [(i, np.ones(8)) for i in range(100, 140)]
     bad = [(200, None), (220, [0.0] * 8), (240, [1.0, None] + [0.0] * 6), (260, [float("nan")] * 8), (280, [float("inf")] + [0.0] * 7), (300, [1.0, 2.0])]
-    got = search(spark, good + bad + [good[0], good[100]])
+    got = search(spark, good + bad + [good[0], good[100]], probes=10**6)
     assert got == brute(good, 20)
 
 
@@ -44,6 +45,53 @@ def test_few_candidates_and_empty(spark):
     assert search(spark, rows[:1]) == {} and search(spark, []) == {}
 
 
+def test_repeated_ids_keep_all_their_vectors(spark):
+    r = np.random.default_rng(4)
+    rows = [(i, r.normal(size=4)) for i in range(30)] + [(5, [900.0] * 4), (20, [1.0, 0, 0, 0]), (20, [1.0, 0, 0, 0])]
+    m = np.array([np.array(v, np.float32).astype(np.float64) for _, v in rows[:-1]])
+    ids = np.array([i for i, _ in rows[:-1]])
+    want = []
+    for j in np.flatnonzero(ids % 20 == 0):
+        s = (m * m[j]).sum(1)
+        keep = ids != ids[j]
+        order = np.lexsort((ids[keep], -s[keep]))[:20]
+        want += [(ids[j], n + 1, i, x) for n, (i, x) in enumerate(zip(ids[keep][order], s[keep][order]))]
+    df = frame(spark, rows + [(None, [1.0, 2, 3, 4])])
+    got = [tuple(x) for x in L.search(df, F.col("vec_id") % 20 == 0, 20, probes=10**6).collect()]
+    assert sorted(got) == sorted(want)
+
+
+@pytest.mark.parametrize("sf", ["sf0.01", "sf0.1"])
+def test_recall_on_the_given_vectors(spark, sf):
+    v = spark.read.parquet(f"/root/testdata/{sf}/embeddings.parquet")
+    n = v.count()
+    assert L.levels(n)[0] >= 8
+    wanted, found = L.recall(v, F.col("vec_id") % 20 == 0).first()
+    assert wanted == 20 * v.filter("vec_id % 20 = 0").count() and found >= 0.9 * wanted
+    x = dict(v.select("vec_id", "embedding").collect())
+    exact = brute(list(x.items()), 20)
+    got = {}
+    for r in L.search(v, F.col("vec_id") % 20 == 0).collect():
+        got.setdefault(r.query_id, {})[r.vec_id] = r.score
+    hit = sum(len({i for i, _ in exact[q]} & got[q].keys()) for q in exact)
+    assert hit >= 0.9 * wanted and all(abs(dict(exact[q]).get(i, s) - s) < 1e-12 for q in exact for i, s in got[q].items())
+
+
+def test_two_levels_and_blocks_of_queries(spark, monkeypatch):
+    monkeypatch.setattr(L, "MOST_PARTS", 8)
+    monkeypatch.setattr(L, "PART_ROWS", 100)
+    monkeypatch.setattr(L, "BLOCK_ROWS", 150)
+    monkeypatch.setattr(L, "QUERY_ROWS", 7)
+    r = np.random.default_rng(6)
+    centres = r.normal(size=(20, 12)) * 2
+    rows = [(i, centres[i % 20] + r.normal(size=12)) for i in range(1800)]
+    assert L.levels(1800) == (8, 3)
+    want, got = brute(rows, 20), search(spark, rows)
+    hit = sum(len({i for i, _ in want[q]} & {i for i, _ in got[q]}) for q in want)
+    assert got.keys() == want.keys() and hit >= 0.9 * 20 * len(want)
+    assert search(spark, rows, probes=10**6) == want
+
+
 def test_recall_with_several_parts(spark, monkeypatch):
     monkeypatch.setattr(L, "BLOCK_ROWS", 400)
     r = np.random.default_rng(2)
