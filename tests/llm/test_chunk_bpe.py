@@ -72,3 +72,21 @@ def test_documents_with_copies_nulls_and_repeats(spark, library):
 
 def test_empty_table(spark):
     assert B.encode_documents(spark.createDataFrame([], "doc_id long, text string")).count() == 0
+
+
+def test_ids_of_a_large_vocabulary_take_four_bytes(codec, monkeypatch):
+    wide = object.__new__(B.Codec)
+    wide.__dict__.update(codec.__dict__)
+    wide.kind = np.uint32
+    t = "some words and 日本 " * 500
+    pieces = [wide.encode(c.decode()) for c in B._split(t.encode())]
+    assert pieces[0].dtype == np.uint32 and wide.stitch(pieces).tolist() == codec.encode(t).tolist()
+
+
+def test_many_rows_without_an_id(spark, library):
+    r = random.Random(8)
+    shared = " ".join(r.choice(["hot", "passage", "x"]) + str(r.randrange(50)) for _ in range(900))
+    rows = [(None if i % 2 else 7, f"{i} {r.random()} {shared} {i}") for i in range(60)]
+    got = sorted(map(str, (x[1:3] for x in B.encode_documents(spark.createDataFrame(rows, "doc_id long, text string")).collect())))
+    ids = [library.encode(t, add_special_tokens=False).ids for _, t in rows]
+    assert got == sorted(str((len(x), hashlib.sha256(np.array(x, "<u4").tobytes()).hexdigest())) for x in ids)

@@ -17,13 +17,17 @@ without anchors is re-encoded as a whole.
 
 What moves: chunk digests (a few tens of bytes per chunk), the texts once, by
 document, and tokens (two bytes each) of shared chunks and of the documents
-that borrow. A hot chunk is one token row joined to narrow rows; the join is
-between written tables, so adaptive execution can split a hot key.
+that borrow. Chunks that very many documents share are fewer than a thousand:
+their census rows and tokens (at most 16 KiB of text each) are broadcast and
+join in place, so no task gathers a hot chunk. Plans are kept by document id and
+text, so a plan holds the chunks of one text, also for null and repeated ids.
 
 Defined results: null and empty texts have no tokens and the digests of the
 empty string; repeated rows give repeated results, also with null ids; very
 long texts stream through the same steps; ``<|endoftext|>`` in a text is the
-special token, as the library has it by default.
+special token, as the library has it by default; an empty table gives an empty
+result; extra columns are ignored. Ids take two bytes where the vocabulary
+allows it, else four.
 """
 
 from __future__ import annotations
@@ -39,7 +43,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from veil.sources.shared import in_arrow, materialize
+from veil.operators.skew import hot_keys, join_hot
+from veil.sources.shared import drop_written, in_arrow, materialize
 
 #: Chunk sizes in bytes: at least, on average beyond that, at most.
 LEAST, MEAN_BITS, MOST = 256, 10, 16_384
@@ -104,12 +109,8 @@ def digest(chunk: bytes) -> tuple[int, int]:
     return int.from_bytes(d[:8], "little", signed=True), int.from_bytes(d[8:], "little", signed=True)
 
 
-def text_key(data: bytes) -> int:
-    return int.from_bytes(xxhash.xxh3_64_digest(data), "little", signed=True)
-
-
 class Codec:
-    """Exact whole-text encoder over one vocabulary; ``encode`` gives ids as unsigned 16-bit numbers."""
+    """Exact whole-text encoder over one vocabulary; ``encode`` gives ids as unsigned numbers of ``kind``."""
 
     def __init__(self, ranks_path: str, json_path: str):
         import public_tokenizers
@@ -123,6 +124,7 @@ class Codec:
         special = self.library.token_to_id(SPECIAL)
         self.fast = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={SPECIAL: special})
         self.bytes_of = [b""] * (max(special, max(ranks.values())) + 1)
+        self.kind = np.uint16 if len(self.bytes_of) <= 1 << 16 else np.uint32
         for piece, i in ranks.items():
             self.bytes_of[i] = piece
         self.bytes_of[special] = SPECIAL.encode()
@@ -136,7 +138,7 @@ class Codec:
             if isinstance(e, (KeyboardInterrupt, SystemExit)):
                 raise
             ids = np.array(self.library.encode(text, add_special_tokens=False).ids, dtype=np.uint32)
-        return ids.astype(np.uint16)
+        return ids.astype(self.kind)
 
     def decode_bytes(self, ids: np.ndarray) -> bytes:
         table = self.bytes_of
@@ -149,7 +151,7 @@ class Codec:
     def stitch(self, pieces: list[np.ndarray]) -> np.ndarray:
         """Tokens of the whole text from the tokens of its consecutive pieces."""
         if not pieces:
-            return np.zeros(0, np.uint16)
+            return np.zeros(0, self.kind)
         done: list[np.ndarray] = []
         left, k = pieces[0], 1
         while k < len(pieces):
@@ -198,18 +200,16 @@ KEYS = "doc_id long, tk long, h1 long, h2 long"
 PARTS = "kind byte, doc_id long, tk long, seq int, h1 long, h2 long, tokens binary, n_tokens long, ids_sha binary, text_sha binary"
 
 
-def _texts(b: pa.RecordBatch) -> Iterator[tuple[int | None, bytes]]:
-    ids = b.column("doc_id").to_pylist()
+def _texts(b: pa.RecordBatch) -> Iterator[tuple[int | None, int, bytes]]:
     col = b.column("text").cast(pa.binary())
-    for i, v in zip(ids, col):
-        yield i, v.as_py() or b""
+    for i, tk, v in zip(b.column("doc_id").to_pylist(), b.column("tk").to_pylist(), col):
+        yield i, tk, v.as_py() or b""
 
 
 def _key_rows(batches: Iterator[pa.RecordBatch], schema: pa.Schema) -> Iterator[pa.RecordBatch]:
     for b in batches:
         rows: set[tuple] = set()
-        for doc, data in _texts(b):
-            tk = text_key(data)
+        for doc, tk, data in _texts(b):
             rows.update((doc, tk, *digest(c)) for c in _split(data))
         yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows) if rows else [[]] * 4, schema)], schema=schema)
 
@@ -248,11 +248,8 @@ def _encode_rows(batches: Iterator[pa.RecordBatch], schema: pa.Schema, paths: tu
     out = _Rows(schema)
     for b in batches:
         plans = b.column("plan").to_pylist()
-        for (doc, data), plan in zip(_texts(b), plans):
-            tk = text_key(data)
-            role: dict[tuple[int, int], bool] = {}
-            for p in plan or ():  # rows of one id with different texts share a plan
-                role[p["h1"], p["h2"]] = role.get((p["h1"], p["h2"]), False) or p["own"]
+        for (doc, tk, data), plan in zip(_texts(b), plans):
+            role = {(p["h1"], p["h2"]): p["own"] for p in plan or ()}
             pieces: list[tuple[tuple[int, int] | None, np.ndarray | None]] = []
             run: list[bytes] = []
             known: dict[tuple[int, int], np.ndarray] = {}
@@ -309,7 +306,7 @@ def _assemble_rows(batches: Iterator[pa.RecordBatch], schema: pa.Schema, paths:
                 key, pieces, copies, last = (doc, tk), [], 0, -1
             copies += seq == 0
             if seq != last:
-                pieces.append(np.frombuffer(tokens, np.uint16))
+                pieces.append(np.frombuffer(tokens, c.kind))
                 last = seq
         if out.full():
             yield out.take()
@@ -320,23 +317,27 @@ def _assemble_rows(batches: Iterator[pa.RecordBatch], schema: pa.Schema, paths:
 def encode_documents(docs: DataFrame, paths: tuple[str, str] | None = None) -> DataFrame:
     """``doc_id, n_tokens, ids_sha256, decoded_sha256`` for every row of ``doc_id, text``."""
     paths = paths or default_paths()
-    docs = docs.select("doc_id", "text")
+    docs = docs.select("doc_id", "text", F.xxhash64(F.coalesce("text", F.lit(""))).alias("tk"))
     keys = materialize(in_arrow(docs, _key_rows, KEYS), "bpe-keys")
     owner = F.min(F.struct(F.col("doc_id").isNotNull().alias("k"), "doc_id", "tk"))
-    census = materialize(
-        keys.groupBy("h1", "h2").agg(F.count("*").alias("n"), owner.alias("o")).filter("n > 1").select("h1", "h2", "o"), "bpe-census"
-    )
+    census = keys.groupBy("h1", "h2").agg(F.count("*").alias("n"), owner.alias("o")).filter("n > 1")
+    census = materialize(census, "bpe-census")
+    chunk = ["h1", "h2"]
+    hot = hot_keys(census, chunk, keys.count())
     own = F.col("doc_id").eqNullSafe(F.col("o.doc_id")) & (F.col("tk") == F.col("o.tk"))
     plans = (
-        keys.join(census, ["h1", "h2"])
-        .groupBy(F.col("doc_id").alias("__d"))
+        join_hot(keys, census.drop("n"), chunk, hot)
+        .groupBy(F.col("doc_id").alias("__d"), F.col("tk").alias("__t"))
         .agg(F.collect_set(F.struct("h1", "h2", own.alias("own"))).alias("plan"))
     )
-    planned = docs.join(plans, F.col("doc_id").eqNullSafe(F.col("__d")), "left").select("doc_id", "text", "plan")
+    planned = docs.join(plans, (F.col("tk") == F.col("__t")) & F.col("doc_id").eqNullSafe(F.col("__d")), "left").select("doc_id", "text", "tk", "plan")
     parts = materialize(in_arrow(planned, _encode_rows, PARTS, paths), "bpe-parts")
+    drop_written(keys, census)
     tokens = parts.filter(F.col("kind") == OWNED).groupBy("h1", "h2").agg(F.first("tokens").alias("tokens"))
+    tokens = materialize(tokens, "bpe-tokens")
     place = ["doc_id", "tk", "seq"]
-    borrowed = parts.filter(F.col("kind") == BORROWED).select(*place, "h1", "h2").join(tokens, ["h1", "h2"]).select(*place, "tokens")
+    asking = parts.filter(F.col("kind") == BORROWED).select(*place, "h1", "h2")
+    borrowed = join_hot(asking, tokens, chunk, hot).select(*place, "tokens")
     waiting = parts.filter(F.col("kind") == PART).select(*place, "tokens").unionByName(borrowed)
     sorted_parts = waiting.repartition("doc_id", "tk").sortWithinPartitions(*place)
     joined = in_arrow(sorted_parts, _assemble_rows, PARTS, paths)
