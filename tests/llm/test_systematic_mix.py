@@ -60,12 +60,20 @@ def test_copies_cross_integer_boundaries_and_sums_are_near(spark):
     assert M.sample(df).columns == df.columns and {r.target for r in M.sample(df).collect()} == {"t"}
 
 
-def test_many_classes_give_the_same_totals(spark, monkeypatch):
-    rows = rows_of([("a", 500, 20), ("b", 100, 40)])
-    whole = M.mix(M.sized(docs(spark, rows))).groupBy("source").agg(F.sum("copies").alias("c")).collect()
-    monkeypatch.setattr(M, "ROWS_PER_CLASS", 50)
-    split = M.mix(M.sized(docs(spark, rows))).groupBy("source").agg(F.sum("copies").alias("c")).collect()
-    assert sorted(whole) == sorted(split)
+def test_a_very_long_text_is_counted_whole(spark):
+    rows = rows_of([("a", 20, 9)]) + [(900, "a", "w " * 400_000, "t")]
+    got = {r.doc_id: r["size"] for r in M.mix(M.sized(docs(spark, rows))).collect()}
+    assert got[900] == 400_000
+
+
+def test_many_sources(spark):
+    rows = [(i, f"s{i % 300}", "w " * (1 + i * i % 40), "t") for i in range(900)]
+    sizes = Counter()
+    for _, s, t, _ in rows:
+        sizes[s] += len(t.split())
+    got = {r.source: r.target for r in M.mix(M.sized(docs(spark, rows))).select("source", "target").distinct().collect()}
+    want = plain_targets(dict(sizes))
+    assert got.keys() == want.keys() and all(abs(got[s] - want[s]) < 1e-6 * max(1, want[s]) for s in want)
 
 
 def test_empty_table(spark):
@@ -76,5 +84,7 @@ def test_many_classes_give_the_same_copies(spark, monkeypatch):
     rows = rows_of([("a", 500, 20), ("b", 100, 40), (None, 90, 3)])
     one = lambda: sorted((r.doc_id, r.copies) for r in M.mix(M.sized(docs(spark, rows))).select("doc_id", "copies").collect())
     whole = one()
-    monkeypatch.setattr(M, "ROWS_PER_CLASS", 50)
+    monkeypatch.setattr(M, "LEAST_CLASSES", 1)
+    assert one() == whole
+    monkeypatch.setattr(M, "ROWS_PER_CLASS", 3)
     assert one() == whole and len({n for _, n in whole}) > 1

@@ -9,13 +9,15 @@ so the words taken come near the target and not only the number of documents.
 The prefix sum runs over all sources at once in three levels: rows are summed
 inside buckets (source, size, hash range), the bucket totals along each size
 class, and the class totals, a small table, along each source; the rows add
-the starts of both. No task holds a source, only a bucket; the number of hash
-ranges follows the number of rows, so a bucket stays bounded even when one
+the starts of both. No task holds a source, only a bucket; there are at least 64
+hash ranges, more for more rows, so a bucket stays bounded even when one
 source or one size holds a third of the table. The order is (size, digest, id)
-at every number of ranges, so the result does not depend on it. Sums are integers in units of 1e-8 copies, so
-reruns and retries agree exactly.
+at every number of ranges, so the result does not depend on it. Targets need a
+common level over sources ordered by name and by cap; both orders are numbered
+by ranges, so very many sources are no single task either. Sums are integers in
+units of 1e-8 copies, so reruns and retries agree exactly.
 
-Defined results: null texts have size 0 and take nothing; the null source
+Defined results: texts of any length count as a whole; null texts have size 0 and take nothing; the null source
 comes last; sources whose documents are all empty have target 0; repeated
 rows are separate documents with equal order keys (which of them is emitted
 does not change the multiset); extra columns pass through unless they have one
@@ -31,11 +33,12 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from veil.llm.words import word_count
+from veil.operators.skew import running
 from veil.sources.shared import materialize
 
 UNIT = 100_000_000
 MAX_COPIES = 3
-ROWS_PER_CLASS = 1_000_000
+LEAST_CLASSES, ROWS_PER_CLASS = 64, 1_000_000
 COMPUTED = ("size", "source_size", "target", "copies", "taken")
 
 
@@ -47,18 +50,15 @@ def targets(sizes: DataFrame, max_copies: int = MAX_COPIES) -> DataFrame:
     Sources are sorted by cap per weight; the level is the one at which the
     first uncapped source stays below its cap. One row per source.
     """
-    by_name = W.orderBy(F.col("source").asc_nulls_last())
-    s = sizes.withColumn("weight", ((F.row_number().over(by_name) - 1) % 3 + 1).cast("long"))
+    by_name = running(sizes, [F.col("source").asc_nulls_last()], label="mix-names")
+    s = by_name.withColumn("weight", ((F.col("rank") - 1) % 3 + 1).cast("long")).drop("rank")
     s = s.withColumn("cap", max_copies * F.col("source_size"))
-    every = W.orderBy(F.col("cap") / F.col("weight"), F.col("source").asc_nulls_last())
-    before = every.rowsBetween(W.unboundedPreceding, -1)
-    whole = every.rowsBetween(W.unboundedPreceding, W.unboundedFollowing)
-    level = (F.sum("source_size").over(whole) - F.coalesce(F.sum("cap").over(before), F.lit(0))) / (
-        F.sum("weight").over(whole) - F.coalesce(F.sum("weight").over(before), F.lit(0))
-    )
-    s = s.withColumn("level", level)
-    fits = F.when(F.col("level") * F.col("weight") <= F.col("cap"), F.col("level"))
-    s = s.withColumn("final", F.first(fits, ignorenulls=True).over(whole))
+    whole = s.agg(F.sum("source_size").alias("all_size"), F.sum("weight").alias("all_weight"))
+    by_cap = [F.col("cap") / F.col("weight"), F.col("source").asc_nulls_last()]
+    s = running(s, by_cap, {"cap_before": F.col("cap"), "weight_before": F.col("weight")}, "mix-caps").crossJoin(F.broadcast(whole))
+    s = s.withColumn("level", (F.col("all_size") - F.col("cap_before")) / (F.col("all_weight") - F.col("weight_before")))
+    first = F.min(F.when(F.col("level") * F.col("weight") <= F.col("cap"), F.struct("rank", "level")))["level"]
+    s = s.crossJoin(F.broadcast(s.agg(first.alias("final"))))
     capped = F.coalesce(F.least(F.col("cap").cast("double"), F.col("final") * F.col("weight")), F.col("cap").cast("double"))
     return s.select("source", "source_size", capped.alias("target"))
 
@@ -71,7 +71,7 @@ def uniform(*parts: Column) -> Column:
 
 def emit_copies(docs: DataFrame, expected: Column, group: str, size: str, key: str, seed: str, n_rows: int) -> DataFrame:
     """Add ``copies`` (long): integer boundaries crossed by each row's expected copies within its group."""
-    classes = max(1, math.ceil(n_rows / ROWS_PER_CLASS))
+    classes = max(LEAST_CLASSES, math.ceil(n_rows / ROWS_PER_CLASS))
     tie = F.md5(F.concat_ws("|", F.lit(seed), F.col(key).cast("string")))
     octave = F.length(F.bin(F.col(size)))
     rows = docs.withColumns(
