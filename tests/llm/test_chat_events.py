@@ -37,3 +37,15 @@ def test_rendering_is_reversible_and_masked(spark):
 
 def test_empty_log(spark):
     assert C.format_log(spark.createDataFrame([], E)).count() == 0
+
+
+def test_drafts_fold_to_the_rows_and_the_mask_is_read(spark):
+    rows = [(c, t, role, x) for c in (1, None) for t, x in enumerate(NASTY) for role in ("user", "assistant", None)]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+    plain, drafted = C.format_log(C.events_of_rows(df)), C.format_log(C.drafted_events_of_rows(df.repartition(5)))
+    one = lambda x: sorted(map(str, x.select("conv_id", "formatted", "loss_spans").collect()))
+    assert one(plain) == one(drafted) and set(dict(C.drafted_events_of_rows(df).groupBy("kind").count().collect())) == {"message", "delta", "edit", "regenerate"}
+    want = "".join(x or "" for x in NASTY)
+    assert {r[0] for r in drafted.select(C.loss_text(F.col("formatted"), F.col("loss_spans"))).collect()} == {want}
+    moved = F.transform("loss_spans", lambda p: F.struct((p["start"] + 1).alias("start"), p["length"].alias("length")))
+    assert want not in {r[0] for r in drafted.select(C.loss_text(F.col("formatted"), moved)).collect()}

@@ -10,8 +10,12 @@ Template: ``<turn:role>\\ntext</turn>\\n``. Inside roles and texts ``\\``, ``<``
 and ``>`` become ``\\e``, ``\\l`` and ``\\g``, so no marker can occur there, and
 unescaping restores every string.
 
+Scale: a conversation is one output string, so it is folded and rendered by one
+task; events are partly aggregated per message first. Offsets are code points.
+
 Defined results: null texts count as empty and null roles as the empty role;
-events of a null conversation form one conversation of their own; equal
+conversations of any length up to the engine's limit of 2 GB a string; extra
+columns are ignored; events of a null conversation form one conversation of their own; equal
 sequence numbers are ordered by kind, role and text, so reruns agree; deltas
 before the first ``message`` of their key open it; an empty log renders nothing.
 """
@@ -102,6 +106,12 @@ def parse(formatted: Column) -> Column:
     return F.transform(pieces, turn)
 
 
+def loss_text(formatted: Column, spans: Column) -> Column:
+    """The text under the loss mask, unescaped, nothing between: what the spans cut out of a formatted conversation."""
+    pieces = F.transform(spans, lambda s: F.substr(formatted, (s["start"] + 1).cast("int"), s["length"].cast("int")))
+    return unescape(F.array_join(pieces, ""))
+
+
 def events_of_rows(rows: DataFrame) -> DataFrame:
     """A log with one ``message`` event per row of ``conv_id, turn, role, text``.
 
@@ -109,14 +119,30 @@ def events_of_rows(rows: DataFrame) -> DataFrame:
     rows of one turn stay two messages.
     """
     order = W.partitionBy("conv_id").orderBy("turn", "role", "text")
-    return rows.select(
-        "conv_id",
-        F.row_number().over(order).cast("long").alias("seq"),
-        F.lit("message").alias("kind"),
-        F.row_number().over(order).cast("long").alias("msg"),
-        "role",
-        "text",
-    )
+    numbered = rows.select("conv_id", F.row_number().over(order).cast("long").alias("msg"), "role", "text")
+    return numbered.select("conv_id", F.col("msg").alias("seq"), F.lit("message").alias("kind"), "msg", "role", "text")
+
+
+def drafted_events_of_rows(rows: DataFrame) -> DataFrame:
+    """A log as a chat service leaves it, whose fold is that of ``events_of_rows``.
+
+    Every message is opened, streamed on, replaced (assistants regenerate,
+    others edit) by the first half of its text, and streamed to its end.
+    """
+    whole = events_of_rows(rows)
+    text = F.coalesce("text", F.lit(""))
+    half = F.floor(F.length(text) / 2).cast("int")
+    steps = [
+        ("message", F.lit("draft ")),
+        ("delta", F.concat(F.lit("of "), F.coalesce("role", F.lit("")))),
+        (F.when(F.col("role") == "assistant", "regenerate").otherwise("edit"), F.substr(text, F.lit(1), half)),
+        ("delta", F.substr(text, half + 1)),
+    ]
+    log = [
+        F.struct((4 * F.col("msg") + i).alias("seq"), (F.lit(kind) if isinstance(kind, str) else kind).alias("kind"), "msg", "role", t.alias("text"))
+        for i, (kind, t) in enumerate(steps)
+    ]
+    return whole.select("conv_id", F.inline(F.array(*log)))
 
 
 def format_log(events: DataFrame) -> DataFrame:

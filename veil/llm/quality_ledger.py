@@ -9,7 +9,8 @@ Defined results: null and blank texts have no words, fail the rules on length
 and are rejected by every policy that holds those; repeated rows are judged
 alike; extra columns pass through, and a column of the input whose name equals
 a ledger column is kept out of the ledger's computation (the ledger's wins);
-an empty table gives an empty ledger.
+texts of any length are one row of work each; windows and lines that tie are
+repeats of each other; an empty table gives an empty ledger.
 """
 
 from __future__ import annotations

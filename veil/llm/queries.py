@@ -3,12 +3,13 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from veil.llm import chat_events, chunk_bpe, jaccard_join, learned_partitions, license_scan, pii_feistel, quality_ledger, systematic_mix, url_rules, warc_archive
-from veil.sources.shared import table
+from veil.sources.shared import materialize, table
 
 URL_RULES = [
     ("allow", "com/"),
@@ -70,8 +71,13 @@ SELECT doc_id, source, size, source_size, target, copies, copies * size AS taken
 """
 
 
+def _ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The stored ledger of all documents; policies and ablations read it and never the texts again."""
+    return materialize(quality_ledger.ledger(table(spark, sf_dir, "documents").select("doc_id", "text")).drop("text"), "quality-ledger")
+
+
 def op4_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
-    led = quality_ledger.ledger(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    led = _ledger(spark, sf_dir)
     return led.select(
         "doc_id",
         "n_words",
@@ -115,6 +121,26 @@ FROM f
 """
 
 
+def op4_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Per policy and rule: documents failing it, failing it alone, and kept without it."""
+    led = _ledger(spark, sf_dir)
+    each = [quality_ledger.ablation(led, p).select(F.lit(p).alias("policy"), "*") for p in quality_ledger.POLICIES]
+    return reduce(DataFrame.unionByName, each)
+
+
+OP4_ABLATION_SQL = (
+    OP4_SQL.rpartition("SELECT doc_id, n_words")[0]
+    + """, r(policy, bit, rule) AS (VALUES ('base', 0, 'too_few_words'), ('base', 1, 'repeated_windows'),
+  ('v1', 0, 'too_few_words'), ('v1', 1, 'repeated_windows'), ('v1', 2, 'symbol_heavy'), ('v1', 3, 'duplicate_lines'),
+  ('v2', 0, 'too_few_words'), ('v2', 1, 'repeated_windows'), ('v2', 2, 'symbol_heavy'), ('v2', 3, 'duplicate_lines'), ('v2', 4, 'words_too_long'), ('v2', 5, 'words_too_short')),
+e AS (SELECT row_number() OVER () AS nr, [f0, f1, f2, f3, f4, f5] AS f FROM f),
+x AS (SELECT nr, r.policy, rule, e.f[bit + 1] AS failed, sum(e.f[bit + 1]::INT) OVER (PARTITION BY nr, r.policy) AS total FROM e, r)
+SELECT policy, rule, count(*) FILTER (failed) AS n_failed, count(*) FILTER (failed AND total = 1) AS n_only,
+  count(*) FILTER (total = failed::INT) AS n_kept_without
+FROM x GROUP BY policy, rule"""
+)
+
+
 def op5_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = table(spark, sf_dir, "pages").select("page_id", "url", "html")
     return warc_archive.archive(pages, least=0).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
@@ -217,16 +243,15 @@ def op10_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     own = spark.createDataFrame(
         [(-7, 0, "user", INJECTION), (-7, 1, "assistant", INJECTION)], "conv_id long, turn long, role string, text string"
     )
-    out = chat_events.format_log(chat_events.events_of_rows(rows.unionByName(own)))
-    back = out.select("conv_id", "formatted", chat_events.parse(F.col("formatted")).alias("t"))
+    out = chat_events.format_log(chat_events.drafted_events_of_rows(rows.unionByName(own)))
+    back = out.select("conv_id", "formatted", chat_events.parse(F.col("formatted")).alias("t"), chat_events.loss_text(F.col("formatted"), F.col("loss_spans")).alias("loss"))
     line = F.array_join(F.transform("t", lambda x: F.concat(x["role"], F.lit("\n"), x["text"], F.lit("\n"))), "")
-    loss = F.array_join(F.transform(F.filter("t", lambda x: x["role"] == "assistant"), lambda x: x["text"]), "")
     return back.select(
         "conv_id",
         F.size("t").cast("long").alias("n_turns"),
         F.sha2(line, 256).alias("turns_sha256"),
-        F.length(loss).cast("long").alias("loss_chars"),
-        F.sha2(loss, 256).alias("loss_sha256"),
+        F.length("loss").cast("long").alias("loss_chars"),
+        F.sha2("loss", 256).alias("loss_sha256"),
         F.length("formatted").cast("long").alias("formatted_chars"),
     )
 
@@ -253,6 +278,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_recall": op2_recall,
     "op3_mix": op3_mix,
     "op4_quality": op4_quality,
+    "op4_ablation": op4_ablation,
     "op5_warc": op5_warc,
     "op6_pii": op6_pii,
     "op7_licenses": op7_licenses,
@@ -262,4 +288,4 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op10_chat": op10_chat,
 }
 
-ORACLES: dict[str, str] = {"op2_recall": OP2_RECALL_SQL, "op3_mix": OP3_SQL, "op5_warc": OP5_SQL, "op4_quality": OP4_SQL, "op8_url_rules": OP8_SQL, "op9_jaccard": OP9_SQL, "op9_links": OP9_LINKS_SQL, "op10_chat": OP10_SQL}
+ORACLES: dict[str, str] = {"op2_recall": OP2_RECALL_SQL, "op3_mix": OP3_SQL, "op5_warc": OP5_SQL, "op4_quality": OP4_SQL, "op4_ablation": OP4_ABLATION_SQL, "op8_url_rules": OP8_SQL, "op9_jaccard": OP9_SQL, "op9_links": OP9_LINKS_SQL, "op10_chat": OP10_SQL}

@@ -10,7 +10,10 @@ only below a checked number of rules; above it both sides are shuffled.
 
 Defined results: null URLs and URLs without ``://`` have empty host and path,
 fit no rule and get the default verdict; repeated rows are judged alike; an
-empty rule table leaves every verdict to the default.
+empty rule table leaves every verdict to the default; input columns named as a
+result (``host, path, rule, verdict``) are replaced by it, others pass through;
+a URL of any length is expanded to no more suffixes and prefixes than the rules
+have labels and lengths; an empty table gives an empty result.
 """
 
 from __future__ import annotations
