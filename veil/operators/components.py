@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from veil.operators.skew import hot_keys, join_hot
 from veil.sources.shared import drop_written, materialize
 
 MAX_ROUNDS = 64
@@ -16,7 +17,8 @@ def connected_components(edges: DataFrame, max_rounds: int = MAX_ROUNDS) -> Data
     The component is its smallest node. Each round every node takes the
     smallest label among its neighbours and its own label's label, so chains
     halve; rounds are written to the shared folder. Two shuffles by node a
-    round, with partial minima before them, so a hub costs one row per task.
+    round, with partial minima before them, so a hub costs one row per task;
+    hubs and large components are joined in place.
     Raises if ``max_rounds`` do not suffice; self-loops and repeats are allowed.
     """
     both = edges.select(F.col("a").alias("u"), F.col("b").alias("v")).unionByName(
@@ -27,14 +29,17 @@ def connected_components(edges: DataFrame, max_rounds: int = MAX_ROUNDS) -> Data
     labels = labels.select("node", F.least("node", "m").alias("component"))
     written = labels = materialize(labels, "cc-0")
     old: list[DataFrame] = []
+    hubs = hot_keys(both.groupBy("v").agg(F.count("*").alias("n")), ["v"], both.count())
+    n_nodes = labels.count()
     for k in range(1, max_rounds + 1):
         near = (
-            both.join(labels.withColumnRenamed("node", "v"), "v")
+            join_hot(both, labels.withColumnRenamed("node", "v"), ["v"], hubs)
             .groupBy(F.col("u").alias("node"))
             .agg(F.min("component").alias("near"))
         )
         up = labels.select(F.col("node").alias("component"), F.col("component").alias("up"))
-        stepped = labels.join(up, "component").join(near, "node")
+        large = hot_keys(labels.groupBy("component").agg(F.count("*").alias("n")), ["component"], n_nodes)
+        stepped = join_hot(labels, up, ["component"], large).join(near, "node")
         best = F.least("component", "up", "near")
         nxt = materialize(stepped.select("node", best.alias("component"), (best != F.col("component")).alias("moved")), f"cc-{k}")
         old.append(written)

@@ -8,16 +8,18 @@ from pyspark.sql import Window as W
 
 from veil.sources.shared import materialize
 
-#: A key is hot above one part in HOT of all rows, so there are fewer than HOT hot keys, whatever the data.
-HOT = 1000
+#: A key is hot above one part in HOT of all rows, so there are fewer than HOT hot keys, whatever the data; never below LEAST rows.
+HOT, LEAST = 1000, 64
 
 
-def hot_keys(counts: DataFrame, on: list[str], total: int, n: str = "n") -> DataFrame:
-    """The keys of ``counts`` with more than one part in HOT of ``total`` rows, written: fewer than HOT keys."""
-    return materialize(counts.filter(F.col(n) > max(1, total // HOT)).select(*on), "hot-keys")
+def hot_keys(counts: DataFrame, on: list[str], total: int, n: str = "n") -> DataFrame | None:
+    """The keys of ``counts`` with more than one part in HOT of ``total`` rows: a local table of fewer than HOT keys, or none."""
+    found = counts.filter(F.col(n) > max(LEAST, total // HOT)).select(*on)
+    rows = found.collect()
+    return counts.sparkSession.createDataFrame(rows, found.schema) if rows else None
 
 
-def join_hot(left: DataFrame, right: DataFrame, on: list[str], hot: DataFrame, how: str = "inner") -> DataFrame:
+def join_hot(left: DataFrame, right: DataFrame, on: list[str], hot: DataFrame | None, how: str = "inner") -> DataFrame:
     """Equi-join of ``left`` with a ``right`` of unique keys, where ``hot`` keys of ``left`` stay in place.
 
     ``hot`` has fewer than HOT distinct keys, so the rows of ``right`` that
@@ -25,10 +27,10 @@ def join_hot(left: DataFrame, right: DataFrame, on: list[str], hot: DataFrame, h
     ``right`` should be written tables, as both are read twice. ``how`` is
     ``inner`` or ``left``; null keys match nothing.
     """
-    if hot.isEmpty():
+    if hot is None:
         return left.join(right, on, how)
-    marked = left.join(F.broadcast(hot.select(*on).withColumn("__hot", F.lit(True))), on, "left")
-    few = right.join(F.broadcast(hot.select(*on)), on, "left_semi")
+    marked = left.join(F.broadcast(hot.withColumn("__hot", F.lit(True))), on, "left")
+    few = right.join(F.broadcast(hot), on, "left_semi")
     cold = marked.filter("__hot is null").drop("__hot").join(right, on, how)
     return cold.unionByName(marked.filter("__hot").drop("__hot").join(F.broadcast(few), on, how))
 
