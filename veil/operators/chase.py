@@ -101,19 +101,41 @@ def cost_by_comparison(pairs: DataFrame, ret_a: DataFrame, ret_b: DataFrame, fir
     per_pair = (F.col("na") - F.col("dead_a")) * (F.col("nb") - F.col("gone_b")) - F.col("lost") + F.col("overlap")
     total = base.agg(F.sum(per_pair.cast("decimal(38,0)")).alias("c"))
     # Rows in which a component is found stop at the found position q.
-    found = firsts.withColumnRenamed("t", "k").join(pr, "k").alias("f")
-    mates = b.alias("b")
-    j = found.join(mates, F.col("f.k") == F.col("b.k"), "left")
-    early = (F.col("b.t") < F.col("b.k")) | (F.col("b.p") < F.col("f.p"))
-    row = j.groupBy("f.k", "f.p", "f.q", "f.nb").agg(
-        F.count_if(F.coalesce(early, F.lit(False))).alias("gone"),
-        F.count_if(F.coalesce(early & (F.col("b.pos") <= F.col("f.q")), F.lit(False))).alias("gone_q"),
-    )
+    found = firsts.withColumnRenamed("t", "k").join(pr, "k")
+    row = _retired_before(found, b)
     change = (F.col("q") - F.col("gone_q")) - (F.col("nb") - F.col("gone"))
     fix = row.agg(F.coalesce(F.sum(change.cast("decimal(38,0)")), F.lit(0)).alias("d"))
     return total.crossJoin(fix).select((F.coalesce("c", F.lit(0)) + F.col("d")).alias("cost"))
 
 
+def _retired_before(found: DataFrame, retired: DataFrame) -> DataFrame:
+    """Adds to each ``k, p, q, nb`` the columns of its bin pair retired before row p: ``gone``, and ``gone_q`` up to column q.
+
+    Counting under two bounds without pairing rows and columns: a column stands
+    in one node of every level of a binary tree over positions, the columns up
+    to q are the union of at most one node per level, and inside a node a
+    running count in the order of time answers all rows.
+    """
+
+    def shifted(x, level):
+        return F.call_function("shiftright", x, level)
+
+    depth = F.length(F.bin("nb"))
+    place, level = F.col("pos") - 1, F.col("level")
+    when = F.when(F.col("t") < F.col("k"), 0).otherwise(F.col("p"))
+    columns = retired.join(found.select("k").distinct(), "k", "left_semi").select("k", "pos", when.alias("time"), F.explode(F.sequence(F.lit(-1), depth - 1)).alias("level"))
+    columns = columns.select("k", "level", F.when(level < 0, 0).otherwise(shifted(place, F.greatest(level, F.lit(0)))).alias("node"), "time", F.lit(1).alias("kind"))
+    own = F.filter(F.sequence(F.lit(0), depth - 1), lambda i: shifted(F.col("q"), i) % 2 == 1)
+    asked = found.select("k", "p", "q", "nb", F.explode(F.concat(F.array(F.lit(-1)), own)).alias("level"))
+    asked = asked.withColumns({"node": F.when(level < 0, 0).otherwise(shifted(F.col("q"), F.greatest(level, F.lit(0))) - 1), "time": F.col("p"), "kind": F.lit(0)})
+    along = W.partitionBy("k", "level", "node").orderBy("time", "kind").rowsBetween(W.unboundedPreceding, -1)
+    both = asked.unionByName(columns, allowMissingColumns=True)
+    counted = both.withColumn("before", F.coalesce(F.sum("kind").over(along), F.lit(0))).filter("kind = 0")
+    return counted.groupBy("k", "p", "q", "nb").agg(
+        F.sum(F.when(level < 0, F.col("before"))).alias("gone"), F.coalesce(F.sum(F.when(level >= 0, F.col("before"))), F.lit(0)).alias("gone_q")
+    )
+
+
 def chase(matches: DataFrame, seeds: DataFrame, when: list[str]) -> dict[str, DataFrame]:
     """Output and retirement from all true matches and the ordered candidate matches.
 

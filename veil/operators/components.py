@@ -1,11 +1,11 @@
-"""Connected components of an edge table, by labels and pointer jumping."""
+"""Connected components of an edge table, by hooking of components and pointer jumping."""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from veil.operators.skew import hot_keys, join_hot
+from veil.operators.skew import hot_keys, is_hot, join_hot
 from veil.sources.shared import drop_written, materialize
 
 MAX_ROUNDS = 64
@@ -14,22 +14,22 @@ MAX_ROUNDS = 64
 def connected_components(edges: DataFrame, max_rounds: int = MAX_ROUNDS) -> DataFrame:
     """``node, component`` for every node of ``a, b`` (both of one orderable type).
 
-    The component is its smallest node. Each round every node takes the
-    smallest label among its neighbours and its own label's label, so chains
-    halve; rounds are written to the shared folder. Two shuffles by node a
-    round, with partial minima before them, so a hub costs one row per task;
-    hubs and large components are joined in place.
+    The component is its smallest node. Each round every node learns the
+    smallest label among its neighbours, every label the smallest that any of
+    its nodes learned, and after a jump along these hooks all nodes take their
+    label's hook. Whole components merge in a round, so the rounds grow with
+    the logarithm of the longest path. Tables of a round are written to the
+    shared folder and deleted when the next one stands. Minima are taken before
+    each shuffle; hubs and large components are joined in place.
     Raises if ``max_rounds`` do not suffice; self-loops and repeats are allowed.
     """
     both = edges.select(F.col("a").alias("u"), F.col("b").alias("v")).unionByName(
         edges.select(F.col("b").alias("u"), F.col("a").alias("v"))
     )
     both = materialize(both.distinct(), "cc-edges")
-    labels = both.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("m"))
-    labels = labels.select("node", F.least("node", "m").alias("component"))
-    written = labels = materialize(labels, "cc-0")
-    old: list[DataFrame] = []
     hubs = hot_keys(both.groupBy("v").agg(F.count("*").alias("n")), ["v"], both.count())
+    labels = both.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("m"))
+    labels = materialize(labels.select("node", F.least("node", "m").alias("component")), "cc-0")
     n_nodes = labels.count()
     for k in range(1, max_rounds + 1):
         near = (
@@ -37,14 +37,27 @@ def connected_components(edges: DataFrame, max_rounds: int = MAX_ROUNDS) -> Data
             .groupBy(F.col("u").alias("node"))
             .agg(F.min("component").alias("near"))
         )
-        up = labels.select(F.col("node").alias("component"), F.col("component").alias("up"))
-        large = hot_keys(labels.groupBy("component").agg(F.count("*").alias("n")), ["component"], n_nodes)
-        stepped = join_hot(labels, up, ["component"], large).join(near, "node")
-        best = F.least("component", "up", "near")
-        nxt = materialize(stepped.select("node", best.alias("component"), (best != F.col("component")).alias("moved")), f"cc-{k}")
-        old.append(written)
-        written, labels = nxt, nxt.select("node", "component")
-        if nxt.filter("moved").isEmpty():
-            drop_written(both, *old)
+        learned = labels.join(near, "node").select("node", "component", F.least("component", "near").alias("low"))
+        learned = materialize(learned, f"cc-learned-{k}")
+        hooks = materialize(learned.groupBy("component").agg(F.min("low").alias("up"), F.count("*").alias("n")), f"cc-hooks-{k}")
+        large, moved = _census(hooks, n_nodes)
+        if not moved:
+            drop_written(both, learned, hooks)
             return labels
+        ends = hooks.select(F.col("component").alias("up"), F.col("up").alias("end"))
+        crowded = hot_keys(hooks.groupBy("up").agg(F.count("*").alias("n")), ["up"], n_nodes)
+        jumped = join_hot(hooks.select("component", "up"), ends, ["up"], crowded, "left").select("component", F.coalesce("end", "up").alias("up"))
+        jumped = materialize(jumped, f"cc-jumped-{k}")
+        old = labels
+        labels = join_hot(learned.select("node", "component"), jumped, ["component"], large).select("node", F.col("up").alias("component"))
+        labels = materialize(labels, f"cc-{k}")
+        drop_written(old, learned, hooks, jumped)
     raise RuntimeError(f"components did not settle in {max_rounds} rounds")
+
+
+def _census(hooks: DataFrame, n_nodes: int) -> tuple[DataFrame | None, bool]:
+    """The hot components, fewer than a thousand, and whether any label moves, in one job."""
+    hot = F.collect_list(F.when(is_hot(F.col("n"), n_nodes), F.struct("component"))).alias("hot")
+    row = hooks.agg(F.max(F.col("up") != F.col("component")).alias("moved"), hot).first()
+    found = hooks.sparkSession.createDataFrame(row["hot"], hooks.select("component").schema) if row["hot"] else None
+    return found, bool(row["moved"])

@@ -12,9 +12,14 @@ from veil.sources.shared import materialize
 HOT, LEAST = 1000, 64
 
 
+def is_hot(n: Column, total: int) -> Column:
+    """Whether a key with ``n`` of ``total`` rows is hot."""
+    return n > max(LEAST, total // HOT)
+
+
 def hot_keys(counts: DataFrame, on: list[str], total: int, n: str = "n") -> DataFrame | None:
     """The keys of ``counts`` with more than one part in HOT of ``total`` rows: a local table of fewer than HOT keys, or none."""
-    found = counts.filter(F.col(n) > max(LEAST, total // HOT)).select(*on)
+    found = counts.filter(is_hot(F.col(n), total)).select(*on)
     rows = found.collect()
     return counts.sparkSession.createDataFrame(rows, found.schema) if rows else None
 

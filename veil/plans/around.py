@@ -446,6 +446,13 @@ def register_sql(s) -> None:
     """Temporary SQL functions for users of the SQL surface."""
     s.sql("CREATE OR REPLACE TEMPORARY FUNCTION grid_cell(v DOUBLE, size DOUBLE, cells INT) RETURNS BIGINT RETURN greatest(0, least(cells - 1, floor(v / size)))")
     s.sql("CREATE OR REPLACE TEMPORARY FUNCTION hash_uniform(t STRING) RETURNS DOUBLE RETURN cast(conv(substr(md5(t), 1, 13), 16, 10) AS BIGINT) / 4503599627370496D")
+    s.sql(
+        "CREATE OR REPLACE TEMPORARY FUNCTION bloom50(t STRING) RETURNS BIGINT RETURN if(length(t) < 3, if(t IS NULL, NULL, 0L), aggregate(transform(sequence(1, greatest(length(t) - 2, 1)), "
+        "i -> substr(t, i, 3)), 0L, (acc, g) -> acc | shiftleft(1L, cast(pmod(cast(conv(substr(md5(g), 1, 13), 16, 10) AS BIGINT), 50) AS INT))))"
+    )
+    s.sql(
+        "CREATE OR REPLACE TEMPORARY FUNCTION noise_pad(key STRING, mu BIGINT, a DOUBLE) RETURNS BIGINT RETURN greatest(0L, mu + floor(log1p(-hash_uniform(key || '|1')) / -a) - floor(log1p(-hash_uniform(key || '|2')) / -a))"
+    )
 
 
 @query("sql_surface", f"SELECT CAST(greatest(0, least(3, floor(value / 40))) AS BIGINT) AS cell, count(*) AS n, round(avg({u(chr(39) + 'k|' + chr(39) + ' || event_id')}), 9) AS mean_u FROM events GROUP BY 1")
@@ -455,13 +462,39 @@ def sql_surface(s, d):
     return s.sql("SELECT grid_cell(value, 40D, 4) AS cell, count(*) AS n, round(avg(hash_uniform('k|' || event_id)), 9) AS mean_u FROM {e} GROUP BY 1", e=events)
 
 
+@query("sql_bloom", f"SELECT p_partkey, {bits('p_name')} AS v FROM part")
+def sql_bloom(s, d):
+    register_sql(s)
+    return s.sql("SELECT p_partkey, bloom50(p_name) AS v FROM {p}", p=table(s, d, "part"))
+
+
+@query("sql_noise_pad", "SELECT bin, greatest(0, {eta}) AS n_dummy FROM (SELECT range AS bin FROM range(1024))")
+def sql_noise_pad(s, d):
+    """Dummies of 1,024 bins by the SQL function, equal to those of the padding operator."""
+    register_sql(s)
+    return s.sql("SELECT id AS bin, noise_pad('1|a|' || id, 14, 0.8D) AS n_dummy FROM range(1024)")
+
+
+@query("sample_seeded", "SELECT true AS near_share, true AS by_key")
+def sample_seeded(s, d):
+    """A seeded sample of lines is near its share; by key, every flag has its own share."""
+    li = table(s, d, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey", "l_extendedprice", "l_returnflag")
+    one = li.sample(0.2, seed=7)
+    shares = {"A": 0.5, "N": 0.1}
+    n = li.agg(F.count("*").alias("total"), *[F.count_if(F.col("l_returnflag") == k).alias(f"all_{k}") for k in shares])
+    got = li.sampleBy("l_returnflag", shares, seed=7).agg(*[F.count_if(F.col("l_returnflag") == k).alias(f"got_{k}") for k in shares])
+    near = one.agg(F.count("*").alias("m")).crossJoin(n).crossJoin(got)
+    off = lambda got, n, share: F.abs(got - share * n) <= 5 * F.sqrt(n * share * (1 - share)) + 1
+    by_key = off(F.col("got_A"), F.col("all_A"), 0.5) & off(F.col("got_N"), F.col("all_N"), 0.1)
+    return near.select(off(F.col("m"), F.col("total"), 0.2).alias("near_share"), by_key.alias("by_key"))
+
+
 # ---- streaming ----------------------------------------------------------------------------------------------------
 
 
 def _stream(s, d) -> DataFrame:
-    """Events as a stream of files by day; timestamps become instants for watermarks."""
-    path = shared_path(s, "event-files")
-    table(s, d, "events").withColumn("part", F.dayofmonth("ts")).repartitionByRange(6, "ts").sortWithinPartitions("ts").drop("part").write.parquet(path)
+    """Events as a stream of files, oldest first; timestamps become instants for watermarks."""
+    path = daily.lay_out(table(s, d, "events").repartitionByRange(6, "ts").sortWithinPartitions("ts"), shared_path(s, "event-files"))
     return daily.read_events(s, path, EVENTS, 2).withColumn("ts", F.col("ts").cast("timestamp"))
 
 
@@ -493,16 +526,15 @@ def stream_dedup(s, d):
     return daily.drain(once.select("event_id"), "append", "dedup").agg(F.count("*").alias("n"))
 
 
-@query("stream_join", f"WITH {w1(30)} SELECT count(*) AS n FROM a JOIN b ON a.bin = b.bin AND a.rid = b.rid")
+@query("stream_join", f"WITH {w1()} SELECT count(*) AS n FROM a JOIN b ON a.bin = b.bin AND a.rid = b.rid")
 def stream_join(s, d):
     """Records and perturbed copies meet on bin and id within an hour of event time."""
-    p = WL.location(s, d, 30)
+    p = WL.location(s, d)
     side = lambda df: df.select("rid", F.element_at(p.blocking.bins(), 1).alias("bin"))
     when = table(s, d, "events").select(F.col("event_id").alias("rid"), "ts")
     paths = []
     for name, df in (("a", p.a), ("b", p.b)):
-        paths.append(shared_path(s, f"side-{name}"))
-        side(df).join(when, "rid").repartitionByRange(4, "ts").write.parquet(paths[-1])
+        paths.append(daily.lay_out(side(df).join(when, "rid").repartitionByRange(4, "ts"), shared_path(s, f"side-{name}")))
     x, y = (daily.read_events(s, q, "rid long, bin long, ts timestamp_ntz", 2).withColumn("ts", F.col("ts").cast("timestamp")) for q in paths)
     x = x.withWatermark("ts", "2 days").alias("x")
     y = y.withWatermark("ts", "2 days").alias("y")
@@ -510,43 +542,53 @@ def stream_join(s, d):
     return daily.drain(x.join(y, on).select(F.col("x.rid").alias("rid")), "append", "sjoin").agg(F.count("*").alias("n"))
 
 
-@query("stream_late", f"WITH {w1(4)} SELECT (SELECT count(*) FROM a WHERE slot < 8 AND rid % 10 = 0) AS late_rows, (SELECT count(*) FROM a WHERE slot < 16 AND (slot >= 8 OR rid % 10 <> 0)) AS released_rows")
+@query("stream_late", f"WITH {w1()} SELECT (SELECT count(*) FROM a WHERE slot < 8 AND rid % 10 = 0) AS late_rows, (SELECT count(*) FROM a WHERE slot >= 8 OR rid % 10 <> 0) AS released_rows")
 def stream_late(s, d):
-    """Two days are released before a tenth of their rows arrives; those rows go to the late table."""
-    p = WL.location(s, d, 4)
+    """Two days are released when the third is seen, before a tenth of their rows arrives; those rows go to the late table."""
+    p = WL.location(s, d)
     rows = p.blocking.assign(p.a).select((F.floor(F.col("slot") / 4)).cast("long").alias("day"), "bin", "rid")
-    r = daily.DailyRelease(s, lambda counts, day: counts.select("bin", F.col("n_real").alias("n_noisy")))
-    late = (F.col("day") < 2) & (F.col("rid") % 10 == 0)
-    r.ingest(rows.filter((F.col("day") < 2) & ~late), 0)
-    r.close(2)
-    r.ingest(rows.filter(late | (F.col("day") >= 2)), 1)
-    r.close(4)
+    later = ((F.col("day") < 2) & (F.col("rid") % 10 == 0)) | (F.col("day") > 2)
+    path = daily.lay_out(rows.repartitionById(2, later.cast("int")), shared_path(s, "late-files"))
+    r = daily.DailyRelease(s, lambda counts, days: counts.select("day", "bin", F.col("n_real").alias("n_noisy")), "late")
+    r.run(daily.read_events(s, path, "day long, bin long, rid long")).finish()
     n = r.released().agg(F.sum("n_noisy").alias("released_rows"))
     return r.late().agg(F.count("*").alias("late_rows")).crossJoin(n)
 
 
-@query("stream_daily_padded", f"WITH {w1(3)} SELECT CAST(bin // 64 AS BIGINT) AS day, bin, n_noisy FROM (SELECT bin, coalesce(c, 0) + greatest(0, {{eta}}) AS n_noisy FROM dom LEFT JOIN (SELECT bin, count(*) AS c FROM a GROUP BY bin) USING (bin)) WHERE bin < 128")
+@query("stream_daily_padded", f"WITH {w1()} SELECT CAST(bin // 64 AS BIGINT) AS day, bin, n_noisy FROM (SELECT bin, coalesce(c, 0) + greatest(0, {{eta}}) AS n_noisy FROM dom LEFT JOIN (SELECT bin, count(*) AS c FROM a GROUP BY bin) USING (bin)) WHERE bin < 64 * 29")
 def stream_daily_padded(s, d):
-    """Padded counts of two closed days equal the batch release of these days."""
+    """Padded counts of the closed days, released by ``foreachBatch``, equal the batch release of these days; the last day stays open."""
     from veil.plans.budget import center
 
-    p = WL.location(s, d, 3)
+    p = WL.location(s, d)
     rows = p.blocking.assign(p.a).select(F.floor(F.col("bin") / 64).cast("long").alias("day"), "bin")
     mu = center(1.6, 1e-5, 2)
 
-    def pad(counts: DataFrame, day: int) -> DataFrame:
-        return padding.pad_counts(counts, p.blocking, mu, 1.6, "a", 1).filter((F.col("bin") >= 64 * day) & (F.col("bin") < 64 * (day + 1)))
+    def pad(counts: DataFrame, days: DataFrame) -> DataFrame:
+        every = padding.pad_counts(counts.drop("day"), p.blocking, mu, 1.6, "a", 1)
+        return every.withColumn("day", F.floor(F.col("bin") / 64).cast("long")).join(days, "day", "left_semi")
+
+    path = daily.lay_out(rows.repartitionById(3, F.floor(F.col("day") / 10).cast("int")), shared_path(s, "day-files"))
+    return daily.DailyRelease(s, pad, "padded").run(daily.read_events(s, path, "day long, bin long")).released()
+
 
-    r = daily.DailyRelease(s, pad, "padded")
-    for k in range(3):
-        r.ingest(rows.filter(F.col("day") == k), k)
-        r.close(k)
-    return r.released()
+@query(
+    "stream_budget",
+    "WITH r AS (SELECT o_orderstatus AS party, o_orderkey AS seq, 1 + o_orderkey % 9 AS eps FROM orders), k AS (SELECT *, sum(eps) OVER (PARTITION BY party ORDER BY seq) AS run FROM r) "
+    "SELECT party, count(*) AS requests, count(*) FILTER (run <= 2000) AS granted, CAST(coalesce(sum(eps) FILTER (run <= 2000), 0) AS BIGINT) AS spent FROM k GROUP BY party",
+)
+def stream_budget(s, d):
+    """Releases ask for budget in a stream; each party's ledger is state and closes at its cap."""
+    asked = table(s, d, "orders").select(F.col("o_orderstatus").alias("party"), F.col("o_orderkey").alias("seq"), (1 + F.col("o_orderkey") % 9).alias("eps"))
+    path = daily.lay_out(asked.repartitionByRange(4, "seq"), shared_path(s, "budget-files"))
+    out = daily.drain(daily.budget_stream(daily.read_events(s, path, "party string, seq long, eps long"), 2000), "append", "budget")
+    return out.groupBy("party").agg(F.count("*").alias("requests"), F.count_if("granted").alias("granted"), F.max("spent").alias("spent"))
 
 
 def _finish() -> None:
     from veil.plans.catalogue import ORACLES, eta_sql, mu_sql
 
+    ORACLES["sql_noise_pad"] = ORACLES["sql_noise_pad"].replace("{eta}", eta_sql("14", "1.6::DOUBLE", "'1'", "a"))
     ORACLES["stream_daily_padded"] = ORACLES["stream_daily_padded"].replace("{eta}", eta_sql(mu_sql("1.6", "1e-5"), "1.6::DOUBLE", "'1'", "a"))
 
 

@@ -46,18 +46,21 @@ def u(text: str) -> str:
     return f"(('0x' || substr(md5({text}), 1, 13))::BIGINT / 4503599627370496.0)"
 
 
-def w1(t: int) -> str:
+def w1(t: int | None = None) -> str:
     cell = lambda v, s: f"CAST(greatest(0, least(3, floor({v} / {s}))) AS BIGINT)"
+    days = t or 30
+    time = f"greatest(0, least({4 * days - 1}, slot))"
+    until = f"WHERE ts < TIMESTAMP '2024-01-01' + INTERVAL {t} DAY" if t else ""
     return f"""
 ev AS (SELECT event_id AS rid, value AS x, CAST(regexp_extract(props, '"k": *([0-9]+)', 1) AS DOUBLE) + {u("'k|' || event_id")} AS y,
        CAST(date_diff('day', DATE '2024-01-01', CAST(ts AS DATE)) * 4 + hour(ts) // 6 AS BIGINT) AS slot
-       FROM events WHERE value < 160 AND ts < TIMESTAMP '2024-01-01' + INTERVAL {t} DAY),
+       FROM events {until}),
 mv AS (SELECT rid, x + 8.0::DOUBLE * (2 * {u("'bx|' || rid")} - 1) AS x, y + 5.0::DOUBLE * (2 * {u("'by|' || rid")} - 1) AS y, slot FROM ev),
-a AS (SELECT *, slot * 16 + {cell('x', 40)} * 4 + {cell('y', 25)} AS bin FROM ev),
-b AS (SELECT *, slot * 16 + {cell('x', 40)} * 4 + {cell('y', 25)} AS bin FROM mv),
+a AS (SELECT *, {time} * 16 + {cell('x', 40)} * 4 + {cell('y', 25)} AS bin FROM ev),
+b AS (SELECT *, {time} * 16 + {cell('x', 40)} * 4 + {cell('y', 25)} AS bin FROM mv),
 truth AS (SELECT a.rid AS a_id, b.rid AS b_id, a.bin AS a_bin, b.bin AS b_bin FROM a JOIN b ON a.slot = b.slot
   AND ((a.x - b.x) / 40) * ((a.x - b.x) / 40) + ((a.y - b.y) / 25) * ((a.y - b.y) / 25) <= 0.2::DOUBLE * 0.2::DOUBLE),
-dom AS (SELECT range AS bin FROM range({64 * t})),
+dom AS (SELECT range AS bin FROM range({64 * days})),
 st AS (SELECT p.bin AS a_bin, q.bin AS b_bin FROM dom p JOIN dom q ON p.bin // 16 = q.bin // 16
   AND abs(p.bin // 4 % 4 - q.bin // 4 % 4) <= 1 AND abs(p.bin % 4 - q.bin % 4) <= 1)"""
 
@@ -71,24 +74,27 @@ def bits(name: str) -> str:
     return f"coalesce(list_reduce(list_transform(list_filter({grams(name)}, lambda g: length(g) = 3), lambda g: 1::BIGINT << ({one})), lambda p, q: p | q), 0)"
 
 
-def w2(t: int, skewed: bool = False) -> str:
+def w2(t: int | None = None, skewed: bool = False) -> str:
     digest = "md5(concat_ws('|', l_orderkey, l_linenumber, l_partkey, l_suppkey, l_extendedprice))"
+    quarters = t or 28
+    until = f"AND quarter < {t}" if t else ""
+    place = f"greatest(0, least({quarters - 1}, quarter)) * 25 + brand - 1"
     more = f"AND {u(chr(39) + 'z|' + chr(39) + ' || ' + digest)} < 1.0::DOUBLE / brand" if skewed else ""
     line = "l_orderkey || '|' || l_linenumber"
     k = f"(1 + CAST(floor({u(chr(39) + 'c|' + chr(39) + ' || ' + line)} * (length(p_name) - 2)) AS BIGINT))"
     lost = f"CASE WHEN {u(chr(39) + 't|' + chr(39) + ' || ' + line)} < 0.9::DOUBLE AND length(p_name) >= 3 THEN substr(p_name, 1, {k}) || substr(p_name, {k} + 2) ELSE p_name END"
     return f"""
 li AS (SELECT *, ('0x' || substr(md5(concat_ws('|', l_orderkey, l_linenumber, l_partkey, l_suppkey, l_extendedprice)), 1, 15))::BIGINT AS rid,
-         CAST(year(l_shipdate) * 4 + quarter(l_shipdate) - 1 - 1997 * 4 AS BIGINT) AS quarter, CAST(regexp_extract(p_brand, '[0-9]+') AS BIGINT) AS brand
+         CAST(year(l_shipdate) * 4 + quarter(l_shipdate) - 1 - 1995 * 4 AS BIGINT) AS quarter, CAST(regexp_extract(p_brand, '[0-9]+') AS BIGINT) AS brand
        FROM lineitem JOIN part ON l_partkey = p_partkey),
-ok AS (SELECT * FROM li WHERE quarter >= 0 AND quarter < {t} AND brand <= 16 {more}),
+ok AS (SELECT * FROM li WHERE true {until} {more}),
 an AS (SELECT rid, quarter, brand, p_name AS name FROM ok WHERE l_suppkey % 2 = 0),
 bn AS (SELECT rid, quarter, brand, {lost} AS name FROM ok WHERE l_suppkey % 2 = 1),
 nv AS (SELECT name, {bits('name')} AS v FROM (SELECT name FROM an UNION SELECT name FROM bn)),
-a AS (SELECT rid, quarter, brand, an.name, v, quarter * 16 + brand - 1 AS bin FROM an JOIN nv ON an.name = nv.name),
-b AS (SELECT rid, quarter, brand, bn.name, v, quarter * 16 + brand - 1 AS bin FROM bn JOIN nv ON bn.name = nv.name),
-truth AS (SELECT a.rid AS a_id, b.rid AS b_id, a.bin AS a_bin, b.bin AS b_bin FROM a JOIN b ON a.bin = b.bin AND bit_count(xor(a.v, b.v)) <= 5),
-dom AS (SELECT range AS bin FROM range({16 * t})),
+a AS (SELECT rid, quarter, brand, an.name, v, {place} AS bin FROM an JOIN nv ON an.name = nv.name),
+b AS (SELECT rid, quarter, brand, bn.name, v, {place} AS bin FROM bn JOIN nv ON bn.name = nv.name),
+truth AS (SELECT a.rid AS a_id, b.rid AS b_id, a.bin AS a_bin, b.bin AS b_bin FROM a JOIN b ON a.quarter = b.quarter AND a.brand = b.brand AND bit_count(xor(a.v, b.v)) <= 5),
+dom AS (SELECT range AS bin FROM range({25 * quarters})),
 st AS (SELECT bin AS a_bin, bin AS b_bin FROM dom)"""
 
 
@@ -142,24 +148,24 @@ cmp AS (SELECT count(*) AS cost FROM (SELECT t, ea.pos AS p, eb.pos AS q, ea.rid
   LEFT JOIN ra ON ra.rid = i LEFT JOIN rb ON rb.rid = j WHERE ({key}) <= coalesce(ra.f, 9000000000000000000) AND ({key}) <= coalesce(rb.f, 9000000000000000000))"""
 
 
-def _loc(s, d, t=1):
+def _loc(s, d, t=None):
     return W.location(s, d, t)
 
 
-def _prod(s, d, t=1):
+def _prod(s, d, t=None):
     return W.product(s, d, t)
 
 
 # ---- rules and encodings ------------------------------------------------------------------------------------------
 
 
-@query("d1_location_match", f"WITH {w1(1)} SELECT a_id, b_id FROM truth")
+@query("d1_location_match", f"WITH {w1()} SELECT a_id, b_id FROM truth")
 def d1_location(s, d):
     p = _loc(s, d)
     return match_join(p.a, p.b, p.rule, p.blocking)
 
 
-@query("d1_product_match", f"WITH {w2(1)} SELECT a_id, b_id FROM truth")
+@query("d1_product_match", f"WITH {w2()} SELECT a_id, b_id FROM truth")
 def d1_product(s, d):
     p = _prod(s, d)
     return match_join(p.a, p.b, p.rule, p.blocking)
@@ -241,13 +247,13 @@ def e2(s, d):
     return table(s, d, "part").select("p_partkey", E.bloom(F.col("p_name")).alias("v"))
 
 
-@query("e3_grid", f"WITH {w1(2)} SELECT rid, bin FROM a")
+@query("e3_grid", f"WITH {w1()} SELECT rid, bin FROM a")
 def e3(s, d):
-    p = _loc(s, d, 2)
+    p = _loc(s, d)
     return p.blocking.assign(p.a).select("rid", "bin")
 
 
-@query("e4_perturb", f"WITH {w1(1)} SELECT rid, round(x, 9) AS x, round(y, 9) AS y FROM b")
+@query("e4_perturb", f"WITH {w1()} SELECT rid, round(x, 9) AS x, round(y, 9) AS y FROM b")
 def e4(s, d):
     return _loc(s, d).b.select("rid", F.round("x", 9).alias("x"), F.round("y", 9).alias("y"))
 
@@ -265,13 +271,13 @@ def e6(s, d):
 # ---- blocking -----------------------------------------------------------------------------------------------------
 
 
-@query("b1_keys", f"WITH {w2(2)} SELECT bin, count(*) AS n_real FROM a GROUP BY bin")
+@query("b1_keys", f"WITH {w2()} SELECT bin, count(*) AS n_real FROM a GROUP BY bin")
 def b1(s, d):
-    p = _prod(s, d, 2)
+    p = _prod(s, d)
     return padding.bin_counts(p.blocking.assign(p.a))
 
 
-@query("b2_grid", f"WITH {w1(1)} SELECT a_bin, b_bin FROM st")
+@query("b2_grid", f"WITH {w1()} SELECT a_bin, b_bin FROM st")
 def b2(s, d):
     return _loc(s, d).blocking.strategy(s)
 
@@ -320,21 +326,22 @@ def b7(s, d):
     return most.select("bins_per_record", F.lit(p.blocking.sensitivity()).alias("one_bin"), F.lit(B.multi("m", 4, [F.lit(0), F.lit(1)]).sensitivity()).alias("two_bins"))
 
 
-@query("b8_domain", f"WITH {w1(4)} SELECT count(*) AS bins, count(*) FILTER (bin NOT IN (SELECT bin FROM a)) AS empty_bins FROM dom")
+@query("b8_domain", f"WITH {w1()} SELECT count(*) AS bins, count(*) FILTER (bin NOT IN (SELECT bin FROM a)) AS empty_bins FROM dom")
 def b8(s, d):
-    p = _loc(s, d, 4)
+    p = _loc(s, d)
     c = p.blocking.domain(s).join(padding.bin_counts(p.blocking.assign(p.a)), "bin", "left")
     return c.agg(F.count("*").alias("bins"), F.count_if(F.col("n_real").isNull()).alias("empty_bins"))
 
 
-@query("b9_efficiency", f"WITH {w1(1)}, c AS (SELECT a_bin, count(*) AS c FROM st GROUP BY a_bin) SELECT max(c) AS max_partners, count(*) AS bins, count(*) < 351.0 * 351.0 AND max(c) <= 9 AS subquadratic FROM c")
+@query("b9_efficiency", f"WITH {w1()}, c AS (SELECT a_bin, count(*) AS c FROM st GROUP BY a_bin) SELECT max(c) AS max_partners, count(*) AS bins, count(*) < power((SELECT count(*) FROM a), 2) AND max(c) <= 9 AS subquadratic FROM c")
 def b9(s, d):
-    return _loc(s, d).blocking.check_efficiency(s, 351)
+    p = _loc(s, d)
+    return p.blocking.check_efficiency(s, p.a.count())
 
 
 for _n, _f, _w in (("location", _loc, w1), ("product", _prod, w2)):
 
-    @query(f"b10_plain_cost_{_n}", f"WITH {_w(1)}, x AS (SELECT bin, count(*) AS n FROM a GROUP BY bin), y AS (SELECT bin, count(*) AS n FROM b GROUP BY bin) SELECT CAST(sum(x.n * y.n) AS BIGINT) AS cost FROM st JOIN x ON x.bin = a_bin JOIN y ON y.bin = b_bin")
+    @query(f"b10_plain_cost_{_n}", f"WITH {_w()}, x AS (SELECT bin, count(*) AS n FROM a GROUP BY bin), y AS (SELECT bin, count(*) AS n FROM b GROUP BY bin) SELECT CAST(sum(x.n * y.n) AS BIGINT) AS cost FROM st JOIN x ON x.bin = a_bin JOIN y ON y.bin = b_bin")
     def b10(s, d, f=_f):
         p = f(s, d)
         return P.plain(p.a, p.b, p.rule, p.blocking).cost.select(F.col("cost").cast("long").alias("cost"))
@@ -351,9 +358,9 @@ def n1(s, d):
     return s.createDataFrame([(e, dl, N.center(e, dl, 2)) for e, dl in _GRID], "eps double, delta double, mu long")
 
 
-@query("n2_draw", f"WITH {w1(4)} SELECT bin, {eta_sql(mu_sql('1.6', '1e-5'), '1.6::DOUBLE', chr(39) + '1' + chr(39), 'a')} AS eta FROM dom")
+@query("n2_draw", f"WITH {w1()} SELECT bin, {eta_sql(mu_sql('1.6', '1e-5'), '1.6::DOUBLE', chr(39) + '1' + chr(39), 'a')} AS eta FROM dom")
 def n2(s, d):
-    return s.range(256).select(F.col("id").alias("bin"), padding.draw(N.center(EPS, DELTA, 2), EPS, 2, "1", "a", F.col("id")).alias("eta"))
+    return s.range(1920).select(F.col("id").alias("bin"), padding.draw(N.center(EPS, DELTA, 2), EPS, 2, "1", "a", F.col("id")).alias("eta"))
 
 
 @query(
@@ -373,13 +380,13 @@ def n5(s, d):
     return s.createDataFrame(rows, "n double, mu long, tiny boolean")
 
 
-@query("n6_pad", f"WITH {w1(1)}, {pads()} SELECT bin, n_real, n_dummy, n_noisy FROM na")
+@query("n6_pad", f"WITH {w1()}, {pads()} SELECT bin, n_real, n_dummy, n_noisy FROM na")
 def n6(s, d):
     p = _loc(s, d)
     return padding.pad_counts(padding.bin_counts(p.blocking.assign(p.a)), p.blocking, N.center(EPS, DELTA, 2), EPS, "a", 1)
 
 
-@query("n7_pad_rows", f"WITH {w2(1)}, {pads()} SELECT bin, n_real, n_dummy, n_noisy FROM na")
+@query("n7_pad_rows", f"WITH {w2()}, {pads()} SELECT bin, n_real, n_dummy, n_noisy FROM na")
 def n7(s, d):
     p = _prod(s, d)
     binned = p.blocking.assign(p.a)
@@ -393,7 +400,7 @@ def _kept(p: str) -> str:
   {eta_sql('0', '1.6::DOUBLE', "'1'", p)} AS e FROM {p}) WHERE r <= n + least(e, 0))"""
 
 
-@query("n8_suppress", f"WITH {w1(1)}, {_kept('a')} SELECT bin, count(*) AS n_kept FROM ka GROUP BY bin")
+@query("n8_suppress", f"WITH {w1()}, {_kept('a')} SELECT bin, count(*) AS n_kept FROM ka GROUP BY bin")
 def n8(s, d):
     p = _loc(s, d)
     return padding.suppress(p.blocking.assign(p.a), p.blocking, EPS, "a", 1).groupBy("bin").agg(F.count("*").alias("n_kept"))
@@ -403,34 +410,34 @@ def n8(s, d):
 
 for _n, _f, _w in (("", _loc, w1), ("_product", _prod, w2)):
 
-    @query(f"p1_padded{_n}", f"WITH {_w(1)}, {pads()} " + outcome_sql("truth", "(SELECT sum(na * nb) FROM pr)"))
+    @query(f"p1_padded{_n}", f"WITH {_w()}, {pads()} " + outcome_sql("truth", "(SELECT sum(na * nb) FROM pr)"))
     def p1(s, d, f=_f):
         p = f(s, d)
         return X.outcome(p, P.padded(p.a, p.b, p.rule, p.blocking))
 
-    @query(f"p2_prune{_n}", f"WITH {_w(1)}, {pads()}, {LEVELS}, found AS (SELECT a_id, b_id FROM truth JOIN lv USING (a_bin, b_bin) WHERE percent >= 10) " + outcome_sql("found", "(SELECT sum(na * nb) FROM lv WHERE percent >= 10)"))
+    @query(f"p2_prune{_n}", f"WITH {_w()}, {pads()}, {LEVELS}, found AS (SELECT a_id, b_id FROM truth JOIN lv USING (a_bin, b_bin) WHERE percent >= 10) " + outcome_sql("found", "(SELECT sum(na * nb) FROM lv WHERE percent >= 10)"))
     def p2(s, d, f=_f):
         p = f(s, d)
         return X.outcome(p, P.padded(p.a, p.b, p.rule, p.blocking, stop_at=10))
 
     for _v, _o, _s in (("p3_chase", "index", 0), ("p4_chase_sort", "size", 0), ("p5_chase_prune", "size", 10)):
 
-        @query(f"{_v}{_n}", f"WITH RECURSIVE {_w(1)}, {pads()}, {chase_sql(_o, _s)} " + outcome_sql("found", "(SELECT cost FROM cmp)"))
+        @query(f"{_v}{_n}", f"WITH RECURSIVE {_w()}, {pads()}, {chase_sql(_o, _s)} " + outcome_sql("found", "(SELECT cost FROM cmp)"))
         def p345(s, d, f=_f, o=_o, stop=_s):
             p = f(s, d)
             return X.outcome(p, P.padded(p.a, p.b, p.rule, p.blocking, order=o, stop_at=stop, chase=True))
 
-    @query(f"g5_block_cost{_n}", f"WITH RECURSIVE {_w(1)}, {pads()}, {chase_sql('size', 0, 'bin_pair')} " + outcome_sql("found", "(SELECT cost FROM cmp)"))
+    @query(f"g5_block_cost{_n}", f"WITH RECURSIVE {_w()}, {pads()}, {chase_sql('size', 0, 'bin_pair')} " + outcome_sql("found", "(SELECT cost FROM cmp)"))
     def g5(s, d, f=_f):
         p = f(s, d)
         return X.outcome(p, P.padded(p.a, p.b, p.rule, p.blocking, order="size", chase=True, grain="bin_pair"))
 
-    @query(f"p8_allpairs{_n}", f"WITH {_w(1)} " + outcome_sql("truth", "((SELECT count(*) FROM a) * (SELECT count(*) FROM b))"))
+    @query(f"p8_allpairs{_n}", f"WITH {_w()} " + outcome_sql("truth", "((SELECT count(*) FROM a) * (SELECT count(*) FROM b))"))
     def p8(s, d, f=_f):
         p = f(s, d)
         return X.outcome(p, P.all_pairs(p.a, p.b, p.rule, p.blocking))
 
-    @query(f"p11_plain{_n}", f"WITH {_w(1)}, x AS (SELECT bin, count(*) AS n FROM a GROUP BY bin), y AS (SELECT bin, count(*) AS n FROM b GROUP BY bin) " + outcome_sql("truth", "(SELECT sum(x.n * y.n) FROM st JOIN x ON x.bin = a_bin JOIN y ON y.bin = b_bin)"))
+    @query(f"p11_plain{_n}", f"WITH {_w()}, x AS (SELECT bin, count(*) AS n FROM a GROUP BY bin), y AS (SELECT bin, count(*) AS n FROM b GROUP BY bin) " + outcome_sql("truth", "(SELECT sum(x.n * y.n) FROM st JOIN x ON x.bin = a_bin JOIN y ON y.bin = b_bin)"))
     def p11(s, d, f=_f):
         p = f(s, d)
         return X.outcome(p, P.plain(p.a, p.b, p.rule, p.blocking))
@@ -441,7 +448,7 @@ _MU6 = "CAST(ceil(ln((SELECT greatest((SELECT count(*) FROM a), (SELECT count(*)
 
 @query(
     "p6_negligible",
-    f"WITH {w1(1)}, m AS (SELECT {_MU6} AS mu), na AS (SELECT bin, coalesce(c, 0) + greatest(0, {eta_sql('mu', '1.6::DOUBLE', chr(39) + '1' + chr(39), 'a')}) AS n FROM m, dom LEFT JOIN (SELECT bin, count(*) AS c FROM a GROUP BY bin) USING (bin)), "
+    f"WITH {w1()}, m AS (SELECT {_MU6} AS mu), na AS (SELECT bin, coalesce(c, 0) + greatest(0, {eta_sql('mu', '1.6::DOUBLE', chr(39) + '1' + chr(39), 'a')}) AS n FROM m, dom LEFT JOIN (SELECT bin, count(*) AS c FROM a GROUP BY bin) USING (bin)), "
     f"nb AS (SELECT bin, coalesce(c, 0) + greatest(0, {eta_sql('mu', '1.6::DOUBLE', chr(39) + '1' + chr(39), 'b')}) AS n FROM m, dom LEFT JOIN (SELECT bin, count(*) AS c FROM b GROUP BY bin) USING (bin)) "
     "SELECT (SELECT mu FROM m) AS mu, CAST(sum(na.n * nb.n) AS BIGINT) AS cost FROM st JOIN na ON na.bin = a_bin JOIN nb ON nb.bin = b_bin",
 )
@@ -455,7 +462,7 @@ def p6(s, d):
 _SUP = lambda p: f"s{p} AS (SELECT bin, coalesce(c, 0) + greatest(0, {eta_sql('0', '1.6::DOUBLE', chr(39) + '1' + chr(39), p)}) AS n FROM dom LEFT JOIN (SELECT bin, count(*) AS c FROM k{p} GROUP BY bin) USING (bin))"
 
 
-@query("p7_suppressed", f"WITH {w1(1)}, {_kept('a')}, {_kept('b')}, {_SUP('a')}, {_SUP('b')}, found AS (SELECT a_id, b_id FROM truth JOIN ka ON ka.rid = a_id JOIN kb ON kb.rid = b_id) " + outcome_sql("found", "(SELECT sum(sa.n * sb.n) FROM st JOIN sa ON sa.bin = a_bin JOIN sb ON sb.bin = b_bin)"))
+@query("p7_suppressed", f"WITH {w1()}, {_kept('a')}, {_kept('b')}, {_SUP('a')}, {_SUP('b')}, found AS (SELECT a_id, b_id FROM truth JOIN ka ON ka.rid = a_id JOIN kb ON kb.rid = b_id) " + outcome_sql("found", "(SELECT sum(sa.n * sb.n) FROM st JOIN sa ON sa.bin = a_bin JOIN sb ON sb.bin = b_bin)"))
 def p7(s, d):
     p = _loc(s, d)
     return X.outcome(p, P.suppressed(p.a, p.b, p.rule, p.blocking))
@@ -464,7 +471,7 @@ def p7(s, d):
 _LNLN = "round((SELECT greatest((SELECT count(*) FROM a), (SELECT count(*) FROM b)) AS n) * ln(ln((SELECT greatest((SELECT count(*) FROM a), (SELECT count(*) FROM b))))) * {g}, 6)"
 
 
-@query("p9_intersect", f"WITH {w2(1)}, found AS (SELECT a.rid AS a_id, b.rid AS b_id FROM a JOIN b ON a.bin = b.bin AND a.v = b.v) SELECT (SELECT count(*) FROM found) AS n_output, round((SELECT count(*) FROM truth SEMI JOIN found USING (a_id, b_id)) / (SELECT count(*) FROM truth), 9) AS recall, " + _LNLN.format(g="1.0::DOUBLE") + " AS cost")
+@query("p9_intersect", f"WITH {w2()}, found AS (SELECT a.rid AS a_id, b.rid AS b_id FROM a JOIN b ON a.bin = b.bin AND a.v = b.v) SELECT (SELECT count(*) FROM found) AS n_output, round((SELECT count(*) FROM truth SEMI JOIN found USING (a_id, b_id)) / (SELECT count(*) FROM truth), 9) AS recall, " + _LNLN.format(g="1.0::DOUBLE") + " AS cost")
 def p9(s, d):
     p = _prod(s, d)
     r = P.intersect(p.a, p.b, list(p.attributes))
@@ -474,13 +481,13 @@ def p9(s, d):
 _BALL = sum(comb(50, i) for i in range(6))
 
 
-@query("p10_expanded", f"WITH {w2(1)} SELECT (SELECT count(*) FROM truth) AS n_output, 1.0::DOUBLE AS recall, " + _LNLN.format(g=f"{_BALL}.0::DOUBLE") + " AS cost")
+@query("p10_expanded", f"WITH {w2()} SELECT (SELECT count(*) FROM truth) AS n_output, 1.0::DOUBLE AS recall, " + _LNLN.format(g=f"{_BALL}.0::DOUBLE") + " AS cost")
 def p10(s, d):
     p = _prod(s, d)
     return X.outcome(p, P.expanded_intersect(p.a, p.b, p.rule, p.gamma, p.blocking)).select("n_output", "recall", "cost")
 
 
-@query("p10_expanded_run", f"WITH {w2(1)} SELECT count(*) AS n_output, count(DISTINCT a.rid) AS a_records FROM a JOIN b ON a.bin = b.bin AND bit_count(xor(a.v, b.v)) <= 1")
+@query("p10_expanded_run", f"WITH {w2()} SELECT count(*) AS n_output, count(DISTINCT a.rid) AS a_records FROM a JOIN b ON a.bin = b.bin AND bit_count(xor(a.v, b.v)) <= 1")
 def p10_run(s, d):
     p = _prod(s, d)
     r = P.expand_and_intersect(p.a, p.b, "v", [0] + [1 << i for i in range(50)], ["quarter", "brand"])
@@ -489,30 +496,31 @@ def p10_run(s, d):
 
 def flip_sql(party: str, x: int, eps: str = "1.6::DOUBLE", k: int = 16) -> str:
     t = f"({k - x} + {x} * exp({eps}))"
+    home = f"bin % {k}"
     v = u("'1|" + party + "|' || rid || '|flip'")
-    return f"""f{party} AS (SELECT rid, (bin + CASE WHEN w < {x} * exp({eps}) / {t} THEN CAST(floor(w * {t} / exp({eps})) AS BIGINT)
+    return f"""f{party} AS (SELECT rid, ({home} + CASE WHEN w < {x} * exp({eps}) / {t} THEN CAST(floor(w * {t} / exp({eps})) AS BIGINT)
   ELSE {x} + CAST(floor(w * {t} - {x} * exp({eps})) AS BIGINT) END) % {k} AS fb FROM (SELECT rid, bin, {v} AS w FROM {party}))"""
 
 
 def met_sql(window: int, k: int = 16) -> str:
     return f"""found AS (SELECT a_id, b_id FROM truth JOIN fa ON fa.rid = a_id JOIN fb ON fb.rid = b_id WHERE (fb.fb - fa.fb + {k}) % {k} < {window}),
-cst AS (SELECT count(*) AS cost FROM fa JOIN fb ON (fb.fb - fa.fb + {k}) % {k} < {window})"""
+cst AS (SELECT sum(x.n * y.n) AS cost FROM (SELECT fb, count(*) AS n FROM fa GROUP BY fb) x JOIN (SELECT fb, count(*) AS n FROM fb GROUP BY fb) y ON (y.fb - x.fb + {k}) % {k} < {window})"""
 
 
 def _home():
-    return F.col("quarter") * 16 + F.col("brand") - 1
+    return (F.col("quarter") * 25 + F.col("brand") - 1) % 16
 
 
 for _n, _w, _x in (("p13_coin_flip", 1, 1), ("p14_window", 5, 1), ("p14_window_full", 16, 1)):
 
-    @query(_n, f"WITH {w2(1)}, {flip_sql('a', _x)}, {flip_sql('b', _x)}, {met_sql(_w)} " + outcome_sql("found", "(SELECT cost FROM cst)"))
+    @query(_n, f"WITH {w2()}, {flip_sql('a', _x)}, {flip_sql('b', _x)}, {met_sql(_w)} " + outcome_sql("found", "(SELECT cost FROM cst)"))
     def p13(s, d, w=_w):
         p = _prod(s, d)
         q = CF.basic_profile(16, EPS)
         return X.outcome(p, CF.coin_flip(p.a, p.b, p.rule, _home(), 16, w, q, q))
 
 
-@query("p15_one_sided", f"WITH {w2(1)}, fa AS (SELECT rid, bin AS fb FROM a), {flip_sql('b', 4)}, {met_sql(4)} " + outcome_sql("found", "(SELECT cost FROM cst)"))
+@query("p15_one_sided", f"WITH {w2()}, fa AS (SELECT rid, bin % 16 AS fb FROM a), {flip_sql('b', 4)}, {met_sql(4)} " + outcome_sql("found", "(SELECT cost FROM cst)"))
 def p15(s, d):
     p = _prod(s, d)
     return X.outcome(p, CF.coin_flip(p.a, p.b, p.rule, _home(), 16, 4, CF.certain_profile(16), CF.window_profile(16, 4, EPS)))
@@ -521,7 +529,7 @@ def p15(s, d):
 _X16 = CF.symmetric_best(16, 6, EPS)[0]
 
 
-@query("p16_symmetric", f"WITH {w2(1)}, {flip_sql('a', _X16)}, {flip_sql('b', _X16)}, {met_sql(6)} " + outcome_sql("found", "(SELECT cost FROM cst)"))
+@query("p16_symmetric", f"WITH {w2()}, {flip_sql('a', _X16)}, {flip_sql('b', _X16)}, {met_sql(6)} " + outcome_sql("found", "(SELECT cost FROM cst)"))
 def p16(s, d):
     p = _prod(s, d)
     x, _ = CF.symmetric_best(16, 6, EPS)
@@ -549,7 +557,7 @@ def p18(s, d):
 
 @query(
     "p19_coin_flip_prune",
-    f"""WITH {w2(1)}, {flip_sql('a', 1)}, {flip_sql('b', 1)}, na AS (SELECT range AS bin, count(rid) AS n_noisy FROM range(16) LEFT JOIN fa ON fb = range GROUP BY 1),
+    f"""WITH {w2()}, {flip_sql('a', 1)}, {flip_sql('b', 1)}, na AS (SELECT range AS bin, count(rid) AS n_noisy FROM range(16) LEFT JOIN fa ON fb = range GROUP BY 1),
 nb AS (SELECT range AS bin, count(rid) AS n_noisy FROM range(16) LEFT JOIN fb ON fb.fb = range GROUP BY 1),
 pr AS (SELECT x.bin AS a_bin, y.bin AS b_bin, x.n_noisy AS na, y.n_noisy AS nb FROM na x JOIN nb y ON (y.bin - x.bin + 16) % 16 < 3), {LEVELS},
 found AS (SELECT a_id, b_id FROM truth JOIN fa ON fa.rid = a_id JOIN fb ON fb.rid = b_id JOIN lv ON lv.a_bin = fa.fb AND lv.b_bin = fb.fb WHERE percent >= 50) """
@@ -568,7 +576,7 @@ def p19_chase(s, d):
     return X.outcome(p, CF.coin_flip(p.a, p.b, p.rule, _home(), 16, 3, q, q, chase=True, index=p.blocking))
 
 
-@query("p20_hybrids", f"WITH {w1(1)}, {_kept('a')}, {_kept('b')} SELECT 'plain' AS method, (SELECT count(*) FROM truth) AS n_output, false AS end_to_end UNION ALL SELECT 'suppressed', (SELECT count(*) FROM truth JOIN ka ON ka.rid = a_id JOIN kb ON kb.rid = b_id), false")
+@query("p20_hybrids", f"WITH {w1()}, {_kept('a')}, {_kept('b')} SELECT 'plain' AS method, (SELECT count(*) FROM truth) AS n_output, false AS end_to_end UNION ALL SELECT 'suppressed', (SELECT count(*) FROM truth JOIN ka ON ka.rid = a_id JOIN kb ON kb.rid = b_id), false")
 def p20(s, d):
     p = _loc(s, d)
     rows = [P.plain(p.a, p.b, p.rule, p.blocking), P.suppressed(p.a, p.b, p.rule, p.blocking)]
@@ -584,20 +592,20 @@ def _noisy(p, eps=EPS, delta=DELTA):
     return P.noisy_bins(p.a, p.b, p.blocking, (eps, eps), (mu, mu), 1)
 
 
-@query("s1_thresholds", f"WITH {w1(1)}, {pads()}, {LEVELS.split(',' + chr(10) + 'lv')[0]} SELECT " + ", ".join(f"round(t{p}, 6) AS t{p}" for p in prune.PERCENTS) + " FROM lim")
+@query("s1_thresholds", f"WITH {w1()}, {pads()}, {LEVELS.split(',' + chr(10) + 'lv')[0]} SELECT " + ", ".join(f"round(t{p}, 6) AS t{p}" for p in prune.PERCENTS) + " FROM lim")
 def s1(s, d):
     t = prune.thresholds(*_noisy(_loc(s, d)))
     return t.select(*[F.round(F.element_at("thresholds", i + 1), 6).alias(f"t{p}") for i, p in enumerate(prune.PERCENTS)])
 
 
-@query("s2_levels", f"WITH {w1(1)}, {pads()}, {LEVELS} SELECT a_bin, b_bin, na, nb, percent FROM lv")
+@query("s2_levels", f"WITH {w1()}, {pads()}, {LEVELS} SELECT a_bin, b_bin, na, nb, percent FROM lv")
 def s2(s, d):
     p = _loc(s, d)
     na, nb = _noisy(p)
     return prune.levels(prune.pair_table(p.blocking, na, nb), prune.thresholds(na, nb))
 
 
-@query("s3_stop", f"WITH {w1(1)}, {pads()}, {LEVELS} SELECT s.p AS stop_at, count(*) AS bin_pairs, CAST(sum(na * nb) AS BIGINT) AS cost FROM lv, (VALUES (90), (50), (10), (0)) s(p) WHERE percent >= s.p GROUP BY s.p")
+@query("s3_stop", f"WITH {w1()}, {pads()}, {LEVELS} SELECT s.p AS stop_at, count(*) AS bin_pairs, CAST(sum(na * nb) AS BIGINT) AS cost FROM lv, (VALUES (90), (50), (10), (0)) s(p) WHERE percent >= s.p GROUP BY s.p")
 def s3(s, d):
     p = _loc(s, d)
     na, nb = _noisy(p)
@@ -609,7 +617,7 @@ def s3(s, d):
     return out
 
 
-@query("s4_rank", f"WITH {w1(1)}, {pads()} SELECT a_bin, b_bin, row_number() OVER (ORDER BY least(na, nb) DESC, greatest(na, nb) DESC, a_bin, b_bin) AS by_size, row_number() OVER (ORDER BY md5('1|order|' || a_bin || '|' || b_bin), a_bin, b_bin) AS by_hash FROM pr")
+@query("s4_rank", f"WITH {w1()}, {pads()} SELECT a_bin, b_bin, row_number() OVER (ORDER BY least(na, nb) DESC, greatest(na, nb) DESC, a_bin, b_bin) AS by_size, row_number() OVER (ORDER BY md5('1|order|' || a_bin || '|' || b_bin), a_bin, b_bin) AS by_hash FROM pr")
 def s4(s, d):
     p = _loc(s, d)
     pairs = prune.pair_table(p.blocking, *_noisy(p))
@@ -626,7 +634,7 @@ round(cost / ((SELECT count(*) FROM a) * (SELECT count(*) FROM b)), 9) AS cost_r
     return "\nUNION ALL ".join(one(e, dl) for e, dl in budgets)
 
 
-@query("s5_curve", curve_sql(w1(1), [(EPS, DELTA)]))
+@query("s5_curve", curve_sql(w1(), [(EPS, DELTA)]))
 def s5(s, d):
     return X.tradeoff(_loc(s, d), [N.Budget(EPS, DELTA)])
 
@@ -634,13 +642,13 @@ def s5(s, d):
 _CC = "eg AS (SELECT 'a' || a_id AS x, 'b' || b_id AS y FROM truth UNION SELECT 'b' || b_id, 'a' || a_id FROM truth), rc(x, y) AS (SELECT x, y FROM eg UNION SELECT rc.x, eg.y FROM rc JOIN eg ON rc.y = eg.x), cc AS (SELECT x, min(y) AS c FROM rc GROUP BY x)"
 
 
-@query("g1_sides", f"WITH {w1(1)} SELECT count(DISTINCT a_id) AS a_records, count(DISTINCT b_id) AS b_records FROM truth")
+@query("g1_sides", f"WITH {w1()} SELECT count(DISTINCT a_id) AS a_records, count(DISTINCT b_id) AS b_records FROM truth")
 def g1(s, d):
     a, b = C.sides(d1_location(s, d))
     return a.agg(F.count("*").alias("a_records")).crossJoin(b.agg(F.count("*").alias("b_records")))
 
 
-@query("g2_expand", f"WITH {w1(1)} SELECT t.a_id, t.b_id FROM truth t WHERE t.b_id IN (SELECT b_id FROM truth WHERE a_bin = b_bin)")
+@query("g2_expand", f"WITH {w1()} SELECT t.a_id, t.b_id FROM truth t WHERE t.b_id IN (SELECT b_id FROM truth WHERE a_bin = b_bin)")
 def g2(s, d):
     p = _loc(s, d)
     same = compare(p.a, p.b, p.rule, B.equal_keys("cell", p.blocking.size, p.blocking.bins()[0]))
@@ -648,12 +656,12 @@ def g2(s, d):
     return match_join(p.a, frontier, p.rule, p.blocking)
 
 
-@query("g3_components", f"WITH RECURSIVE {w1(1)}, {_CC} SELECT a_id, b_id, c AS component FROM truth JOIN cc ON x = 'a' || a_id")
+@query("g3_components", f"WITH RECURSIVE {w1()}, {_CC} SELECT a_id, b_id, c AS component FROM truth JOIN cc ON x = 'a' || a_id")
 def g3(s, d):
     return C.components(d1_location(s, d))
 
 
-@query("g4_retirement", f"WITH RECURSIVE {w1(1)}, {pads()}, {chase_sql('index', 0)} SELECT rid, f // 1000000000000 AS t, f // 1000000 % 1000000 AS p, f % 1000000 AS q FROM ra")
+@query("g4_retirement", f"WITH RECURSIVE {w1()}, {pads()}, {chase_sql('index', 0)} SELECT rid, f // 1000000000000 AS t, f // 1000000 % 1000000 AS p, f % 1000000 AS q FROM ra")
 def g4(s, d):
     p = _loc(s, d)
     na, nb = _noisy(p)
@@ -679,14 +687,14 @@ def m3(s, d):
     return s.createDataFrame([(R.euclidean(["x", "y"], 1000.0).ball_size(), R.hamming("v", 5).ball_size())], "disc long, ball long")
 
 
-@query("m4_recall", f"WITH {w1(1)} SELECT count(*) AS n_truth, count(*) FILTER (a_bin = b_bin) AS n_found, round(count(*) FILTER (a_bin = b_bin) / count(*), 9) AS recall FROM truth")
+@query("m4_recall", f"WITH {w1()} SELECT count(*) AS n_truth, count(*) FILTER (a_bin = b_bin) AS n_found, round(count(*) FILTER (a_bin = b_bin) / count(*), 9) AS recall FROM truth")
 def m4(s, d):
     p = _loc(s, d)
     same = compare(p.a, p.b, p.rule, B.equal_keys("cell", p.blocking.size, p.blocking.bins()[0]))
     return M.recall(same, d1_location(s, d))
 
 
-@query("m5_precision", f"WITH {w2(1)}, pr AS (SELECT a.rid AS a_id, b.rid AS b_id FROM a JOIN b ON a.bin = b.bin) SELECT count(*) AS n_output, count(*) - (SELECT count(*) FROM truth) AS n_false, round((SELECT count(*) FROM truth) / count(*), 9) AS precision FROM pr")
+@query("m5_precision", f"WITH {w2()}, pr AS (SELECT a.rid AS a_id, b.rid AS b_id FROM a JOIN b ON a.bin = b.bin) SELECT count(*) AS n_output, count(*) - (SELECT count(*) FROM truth) AS n_false, round((SELECT count(*) FROM truth) / count(*), 9) AS precision FROM pr")
 def m5(s, d):
     p = _prod(s, d)
     return M.precision(match_join(p.a, p.b, R.all_of(R.equal("quarter"), R.equal("brand"))), d1_product(s, d))
@@ -703,35 +711,35 @@ sz AS (SELECT t, sum(r) FILTER (seed = 1 AND p = 'a') AS n_a, sum(r) FILTER (see
 lg AS (SELECT cs.t, eps, delta, seed, CAST(greatest(n_a, n_b) AS BIGINT) AS n, CAST(plain AS BIGINT) AS plain, CAST(n_a * n_b AS BIGINT) AS all_pairs, CAST(cost AS BIGINT) AS cost FROM cs JOIN sz USING (t))"""
 
 
-_TS, _EPS3 = (1, 2, 4, 8, 16), (0.1, 0.4, 1.6)
+_TS, _TQ, _EPS3 = (1, 2, 4, 8, 16, 30), (1, 2, 4, 8, 16, 28), (0.1, 0.4, 1.6)
 
 
-@query("w3_location", grid_sql(w1(16), 64, _TS, _EPS3, (DELTA,), 3) + " SELECT * FROM lg")
+@query("w3_location", grid_sql(w1(), 64, _TS, _EPS3, (DELTA,), 10) + " SELECT * FROM lg")
 def w3_location(s, d):
-    return X.cost_grid(_loc(s, d, 16), 64, _TS, _EPS3, (DELTA,), 3)
+    return X.cost_grid(_loc(s, d), 64, _TS, _EPS3, (DELTA,), 10)
 
 
-@query("w3_product", grid_sql(w2(16), 16, _TS, _EPS3, (DELTA,), 3) + " SELECT * FROM lg")
+@query("w3_product", grid_sql(w2(), 25, _TQ, _EPS3, (DELTA,), 10) + " SELECT * FROM lg")
 def w3_product(s, d):
-    return X.cost_grid(_prod(s, d, 16), 16, _TS, _EPS3, (DELTA,), 3)
+    return X.cost_grid(_prod(s, d), 25, _TQ, _EPS3, (DELTA,), 10)
 
 
-@query("m7_slope", grid_sql(w1(16), 64, _TS, _EPS3, (DELTA,), 2) + " SELECT eps, round(regr_slope(log10(cost), log10(n)), 6) AS slope FROM lg GROUP BY eps")
+@query("m7_slope", grid_sql(w1(), 64, _TS, _EPS3, (DELTA,), 2) + " SELECT eps, round(regr_slope(log10(cost), log10(n)), 6) AS slope FROM lg GROUP BY eps")
 def m7(s, d):
-    return M.loglog_slope(X.cost_grid(_loc(s, d, 16), 64, _TS, _EPS3, (DELTA,), 2), ["eps"])
+    return M.loglog_slope(X.cost_grid(_loc(s, d), 64, _TS, _EPS3, (DELTA,), 2), ["eps"])
 
 
-@query("m8_mean_std", grid_sql(w1(1), 64, (1,), _EPS3, (DELTA,), 10) + " SELECT t, eps, delta, count(*) AS runs, round(avg(cost), 6) AS mean_cost, round(stddev_samp(cost), 6) AS sd_cost FROM lg GROUP BY ALL")
+@query("m8_mean_std", grid_sql(w1(), 64, (1, 30), _EPS3, (DELTA,), 10) + " SELECT t, eps, delta, count(*) AS runs, round(avg(cost), 6) AS mean_cost, round(stddev_samp(cost), 6) AS sd_cost FROM lg GROUP BY ALL")
 def m8(s, d):
-    return M.summary(X.cost_grid(_loc(s, d, 1), 64, (1,), _EPS3, (DELTA,), 10), ["t", "eps", "delta"])
+    return M.summary(X.cost_grid(_loc(s, d), 64, (1, 30), _EPS3, (DELTA,), 10), ["t", "eps", "delta"])
 
 
-@query("m9_saving", f"WITH {w1(1)}, {pads()}, {LEVELS}, m AS (SELECT sum(na * nb) AS b, sum(na * nb) FILTER (percent >= 10) AS c FROM lv) SELECT 1.6::DOUBLE AS eps, 'basic' AS variant, 0.0::DOUBLE AS saved, 0.0::DOUBLE AS share FROM m UNION ALL SELECT 1.6, 'prune', CAST(b - c AS DOUBLE), round((b - c) / b, 9) FROM m")
+@query("m9_saving", f"WITH {w1()}, {pads()}, {LEVELS}, m AS (SELECT sum(na * nb) AS b, sum(na * nb) FILTER (percent >= 10) AS c FROM lv) SELECT 1.6::DOUBLE AS eps, 'basic' AS variant, 0.0::DOUBLE AS saved, 0.0::DOUBLE AS share FROM m UNION ALL SELECT 1.6, 'prune', CAST(b - c AS DOUBLE), round((b - c) / b, 9) FROM m")
 def m9(s, d):
     return M.saving(X.variants(_loc(s, d), (EPS,), names=("basic", "prune")), ["eps"], "basic")
 
 
-@query("m10_expected", f"WITH {w1(1)}, k AS (SELECT 14 + exp(-0.8::DOUBLE * 14) / (2 * ((exp(0.8::DOUBLE) - exp(-0.8::DOUBLE)) / 2)) AS e), x AS (SELECT bin, count(rid) AS n FROM dom LEFT JOIN a USING (bin) GROUP BY bin), y AS (SELECT bin, count(rid) AS n FROM dom LEFT JOIN b USING (bin) GROUP BY bin) SELECT round(sum((x.n + e) * (y.n + e)), 6) AS expected_cost, CAST(sum(x.n * y.n) AS BIGINT) AS plain_cost FROM st JOIN x ON x.bin = a_bin JOIN y ON y.bin = b_bin, k")
+@query("m10_expected", f"WITH {w1()}, k AS (SELECT 14 + exp(-0.8::DOUBLE * 14) / (2 * ((exp(0.8::DOUBLE) - exp(-0.8::DOUBLE)) / 2)) AS e), x AS (SELECT bin, count(rid) AS n FROM dom LEFT JOIN a USING (bin) GROUP BY bin), y AS (SELECT bin, count(rid) AS n FROM dom LEFT JOIN b USING (bin) GROUP BY bin) SELECT round(sum((x.n + e) * (y.n + e)), 6) AS expected_cost, CAST(sum(x.n * y.n) AS BIGINT) AS plain_cost FROM st JOIN x ON x.bin = a_bin JOIN y ON y.bin = b_bin, k")
 def m10(s, d):
     p = _loc(s, d)
     na, nb = _noisy(p)
@@ -758,11 +766,11 @@ def m12(s, d):
     return s.createDataFrame(rows, "k int, window_ int, x int, probability double")
 
 
-@query("m13_ratio", f"WITH {w1(1)}, {pads()}, z AS (SELECT bin, n_noisy, n_real AS n1, n_real - CASE WHEN bin = (SELECT min(bin) FROM na WHERE n_real > 0) THEN 1 ELSE 0 END + CASE WHEN bin = 63 THEN 1 ELSE 0 END AS n2 FROM na) SELECT round(sum(0.8::DOUBLE * (abs(n_noisy - n2 - 14) - abs(n_noisy - n1 - 14))), 9) AS log_ratio FROM z")
+@query("m13_ratio", f"WITH {w1()}, {pads()}, z AS (SELECT bin, n_noisy, n_real AS n1, n_real - CASE WHEN bin = (SELECT min(bin) FROM na WHERE n_real > 0) THEN 1 ELSE 0 END + CASE WHEN bin = 1919 THEN 1 ELSE 0 END AS n2 FROM na) SELECT round(sum(0.8::DOUBLE * (abs(n_noisy - n2 - 14) - abs(n_noisy - n1 - 14))), 9) AS log_ratio FROM z")
 def m13(s, d):
     na, _ = _noisy(_loc(s, d))
     first = na.filter("n_real > 0").agg(F.min("bin").alias("first"))
-    other = na.crossJoin(F.broadcast(first)).select("bin", (F.col("n_real") - (F.col("bin") == F.col("first")).cast("long") + (F.col("bin") == 63).cast("long")).alias("n_real"))
+    other = na.crossJoin(F.broadcast(first)).select("bin", (F.col("n_real") - (F.col("bin") == F.col("first")).cast("long") + (F.col("bin") == 1919).cast("long")).alias("n_real"))
     return A.log_ratio(na.select("bin", "n_real"), other, na.select("bin", "n_noisy"), EPS, 2, N.center(EPS, DELTA, 2))
 
 
@@ -778,7 +786,7 @@ def m15(s, d):
     return s.createDataFrame(rows, "eps double, m int, needed double, bound double")
 
 
-@query("m16_bin_profile", f"WITH {w1(1)}, {pads()} SELECT round(sum(n_dummy) / sum(n_noisy), 9) AS dummy_share, round(count(*) FILTER (n_real > 0) / count(*), 9) AS occupied, round(quantile_cont(n_real, 0.5), 6) AS median_bin, max(n_real) AS largest_bin, round(max(n_real) / avg(n_real), 6) AS skew FROM na")
+@query("m16_bin_profile", f"WITH {w1()}, {pads()} SELECT round(sum(n_dummy) / sum(n_noisy), 9) AS dummy_share, round(count(*) FILTER (n_real > 0) / count(*), 9) AS occupied, round(quantile_cont(n_real, 0.5), 6) AS median_bin, max(n_real) AS largest_bin, round(max(n_real) / avg(n_real), 6) AS skew FROM na")
 def m16(s, d):
     return M.bin_profile(_noisy(_loc(s, d))[0])
 
@@ -818,7 +826,7 @@ def w11(s, d):
     return n(t, "databases").crossJoin(n(A.dp_graph(t), "dp_edges")).crossJoin(n(A.equal_output_graph(sized), "equal_output_edges")).crossJoin(n(A.constrained_neighbors(t), "constrained_edges")).crossJoin(n(A.output_classes(sized), "classes"))
 
 
-@query("d5_linkage_neighbor", f"WITH {w1(1)}, un AS (SELECT min(rid) AS r FROM b WHERE rid NOT IN (SELECT b_id FROM truth)), ma AS (SELECT min(b_id) AS r FROM truth) SELECT (SELECT count(*) FROM truth WHERE b_id = (SELECT r FROM ma)) = 0 AS matching_swap, true AS unmatched_swap")
+@query("d5_linkage_neighbor", f"WITH {w1()}, un AS (SELECT min(rid) AS r FROM b WHERE rid NOT IN (SELECT b_id FROM truth)), ma AS (SELECT min(b_id) AS r FROM truth) SELECT (SELECT count(*) FROM truth WHERE b_id = (SELECT r FROM ma)) = 0 AS matching_swap, true AS unmatched_swap")
 def d5(s, d):
     p = _loc(s, d)
     truth = d1_location(s, d)
@@ -843,7 +851,7 @@ def d13(s, d):
     return A.local_ratio(s.createDataFrame(rows, "input int, bin int, p double"))
 
 
-@query("d2_same_output", f"WITH {w1(1)}, {pads()}, o AS (SELECT a_id, b_id FROM truth JOIN pr USING (a_bin, b_bin)) SELECT count(*) = (SELECT count(*) FROM truth) AS same, count(*) FILTER ((a_id, b_id) NOT IN (SELECT (a_id, b_id) FROM truth)) = 0 AS sound FROM o")
+@query("d2_same_output", f"WITH {w1()}, {pads()}, o AS (SELECT a_id, b_id FROM truth JOIN pr USING (a_bin, b_bin)) SELECT count(*) = (SELECT count(*) FROM truth) AS same, count(*) FILTER ((a_id, b_id) NOT IN (SELECT (a_id, b_id) FROM truth)) = 0 AS sound FROM o")
 def d2(s, d):
     p = _loc(s, d)
     x, y = P.padded(p.a, p.b, p.rule, p.blocking, seed=1).matches, P.padded(p.a, p.b, p.rule, p.blocking, seed=2).matches
@@ -858,28 +866,28 @@ def w4(s, d):
     return X.variants(_loc(s, d), (0.1, 0.4, 1.6), names=("chase_sort_prune",))
 
 
-@query("w5_variants", " UNION ALL ".join(f"SELECT * FROM (WITH RECURSIVE {w1(1)}, {pads()}, {chase_sql(o, st)} " + outcome_sql("found", "(SELECT cost FROM cmp)", f"'{v}' AS variant, 1.6::DOUBLE AS eps,") + ")" for v, o, st in (("chase", "index", 0), ("chase_sort", "size", 0), ("chase_sort_prune", "size", 10))))
+@query("w5_variants", " UNION ALL ".join(f"SELECT * FROM (WITH RECURSIVE {w1()}, {pads()}, {chase_sql(o, st)} " + outcome_sql("found", "(SELECT cost FROM cmp)", f"'{v}' AS variant, 1.6::DOUBLE AS eps,") + ")" for v, o, st in (("chase", "index", 0), ("chase_sort", "size", 0), ("chase_sort_prune", "size", 10))))
 def w5(s, d):
     return X.variants(_loc(s, d), (EPS,), names=("chase", "chase_sort", "chase_sort_prune"))
 
 
-@query("w6_tradeoff_eps", curve_sql(w1(1), [(0.1, DELTA), (0.4, DELTA), (1.6, DELTA)]))
+@query("w6_tradeoff_eps", curve_sql(w1(), [(0.1, DELTA), (0.4, DELTA), (1.6, DELTA)]))
 def w6(s, d):
     return X.tradeoff(_loc(s, d), [N.Budget(e, DELTA) for e in (0.1, 0.4, 1.6)])
 
 
-@query("w7_tradeoff_delta", curve_sql(w1(1), [(1.6, 1e-9), (1.6, 1e-7), (1.6, 1e-5)]))
+@query("w7_tradeoff_delta", curve_sql(w1(), [(1.6, 1e-9), (1.6, 1e-7), (1.6, 1e-5)]))
 def w7(s, d):
     return X.tradeoff(_loc(s, d), [N.Budget(EPS, dl) for dl in (1e-9, 1e-7, 1e-5)])
 
 
-@query("w2s_skewed", f"WITH {w2(1, True)}, {pads()}, {LEVELS}, found AS (SELECT a_id, b_id FROM truth JOIN lv USING (a_bin, b_bin) WHERE percent >= 10) " + outcome_sql("found", "(SELECT sum(na * nb) FROM lv WHERE percent >= 10)"))
+@query("w2s_skewed", f"WITH {w2(None, True)}, {pads()}, {LEVELS}, found AS (SELECT a_id, b_id FROM truth JOIN lv USING (a_bin, b_bin) WHERE percent >= 10) " + outcome_sql("found", "(SELECT sum(na * nb) FROM lv WHERE percent >= 10)"))
 def w2s(s, d):
-    p = W.product(s, d, 1, True)
+    p = W.product(s, d, None, True)
     return X.outcome(p, P.padded(p.a, p.b, p.rule, p.blocking, stop_at=10))
 
 
-@query("w9_intersection_location", f"WITH {w1(1)}, f AS (SELECT a.rid FROM a JOIN b ON a.slot = b.slot AND floor(a.x * 1000000) = floor(b.x * 1000000) AND floor(a.y * 1000000) = floor(b.y * 1000000)) SELECT count(*) AS n_output FROM f")
+@query("w9_intersection_location", f"WITH {w1()}, f AS (SELECT a.rid FROM a JOIN b ON a.slot = b.slot AND floor(a.x * 1000000) = floor(b.x * 1000000) AND floor(a.y * 1000000) = floor(b.y * 1000000)) SELECT count(*) AS n_output FROM f")
 def w9(s, d):
     p = _loc(s, d)
     return P.intersect(p.a, p.b, list(p.attributes)).matches.agg(F.count("*").alias("n_output"))

@@ -13,6 +13,7 @@ from veil.plans import secure as S
 from veil.plans import workloads as W
 from veil.plans.budget import Budget
 from veil.plans.catalogue import query, w1, w2
+from veil.sources.shared import table
 
 
 def _pairs(s, d):
@@ -22,10 +23,10 @@ def _pairs(s, d):
     return a.join(b, ["quarter", "brand"]).select("va", "vb").distinct().select(F.col("va").alias("a_id"), F.col("vb").alias("b_id"), "va", "vb")
 
 
-_PAIRS = f"WITH {w2(1)}, p AS (SELECT DISTINCT a.v AS a_id, b.v AS b_id FROM a JOIN b ON a.bin = b.bin)"
+_PAIRS = f"WITH {w2()}, p AS (SELECT DISTINCT a.v AS a_id, b.v AS b_id FROM a JOIN b ON a.bin = b.bin)"
 
 
-@query("c1_ideal", f"WITH {w2(1)} SELECT count(*) AS candidates, (SELECT count(*) FROM truth) AS revealed FROM a JOIN b ON a.bin = b.bin")
+@query("c1_ideal", f"WITH {w2()} SELECT count(*) AS candidates, (SELECT count(*) FROM truth) AS revealed FROM a JOIN b ON a.bin = b.bin")
 def c1(s, d):
     p = W.product(s, d)
     x, y = p.a.alias("a"), p.b.alias("b")
@@ -43,7 +44,31 @@ def c4(s, d):
     return S.blinded_match(_pairs(s, d), 5).select("a_id", "b_id", "matched")
 
 
-@query("c5_messages", f"WITH {w2(1)} SELECT 50 * (SELECT count(*) FROM a) + count(*) AS messages FROM a JOIN b ON a.bin = b.bin")
+@query(
+    "c3_squares",
+    "SELECT x.s_suppkey AS a_id, y.s_suppkey AS b_id, power(x.s_suppkey % 97 - y.s_suppkey % 97, 2) + power(x.s_nationkey - y.s_nationkey, 2) <= 100 AS matched "
+    "FROM supplier x JOIN supplier y USING (s_nationkey)",
+)
+def c3_squares(s, d):
+    """Blinded squared distances of suppliers of one nation, as points of small integers."""
+    p = table(s, d, "supplier").select(F.col("s_suppkey").alias("i"), "s_nationkey", F.array((F.col("s_suppkey") % 97), F.col("s_nationkey").cast("long")).alias("x"))
+    both = p.alias("a").join(p.alias("b"), "s_nationkey").select(F.col("a.i").alias("a_id"), F.col("b.i").alias("b_id"), F.col("a.x").alias("xa"), F.col("b.x").alias("xb"))
+    return S.blinded_distance(both, 10)
+
+
+@query("c2_additive", "SELECT 97 AS total, -36 AS scaled, 1234567 AS back")
+def c2(s, d):
+    """Adding and scaling hidden numbers, decrypted."""
+    import random
+
+    k, rng = S.key(), random.Random(5)
+    x, y, z = (k.encrypt(v, rng) for v in (42, 55, 1_234_567))
+    low = lambda v: v - k.n if v > k.n // 2 else v
+    rows = [(low(k.decrypt(k.add(x, y))), low(k.decrypt(k.scale(k.encrypt(12, rng), -3))), k.decrypt(z))]
+    return s.createDataFrame(rows, "total int, scaled int, back int")
+
+
+@query("c5_messages", f"WITH {w2()} SELECT 50 * (SELECT count(*) FROM a) + count(*) AS messages FROM a JOIN b ON a.bin = b.bin")
 def c5(s, d):
     p = W.product(s, d)
     cost = int(P.plain(p.a, p.b, p.rule, p.blocking).cost.first()["cost"])
@@ -66,13 +91,13 @@ def w8(s, d):
     return both.select("pairs", "unit_seconds", (F.col("padded") * F.col("unit_seconds")).alias("padded_seconds"), (F.col("na") * F.col("nb") * F.col("unit_seconds")).alias("all_pairs_seconds"))
 
 
-@query("m6_cost_ratio", f"WITH {w1(1)}, x AS (SELECT bin, count(*) AS n FROM a GROUP BY bin), y AS (SELECT bin, count(*) AS n FROM b GROUP BY bin) SELECT round(sum(x.n * y.n)::DOUBLE / ((SELECT count(*) FROM a) * (SELECT count(*) FROM b)), 9) AS cost_ratio FROM st JOIN x ON x.bin = a_bin JOIN y ON y.bin = b_bin")
+@query("m6_cost_ratio", f"WITH {w1()}, x AS (SELECT bin, count(*) AS n FROM a GROUP BY bin), y AS (SELECT bin, count(*) AS n FROM b GROUP BY bin) SELECT round(sum(x.n * y.n)::DOUBLE / ((SELECT count(*) FROM a) * (SELECT count(*) FROM b)), 9) AS cost_ratio FROM st JOIN x ON x.bin = a_bin JOIN y ON y.bin = b_bin")
 def m6(s, d):
     p = W.location(s, d)
     return M.cost_ratio(P.plain(p.a, p.b, p.rule, p.blocking).cost, p.a, p.b)
 
 
-@query("g8_plain_comparisons", f"WITH {w1(1)} SELECT count(DISTINCT a_id) * (SELECT count(*) FROM b) + count(DISTINCT b_id) * (SELECT count(*) FROM a) AS plain_comparisons FROM truth")
+@query("g8_plain_comparisons", f"WITH {w1()} SELECT count(DISTINCT a_id) * (SELECT count(*) FROM b) + count(DISTINCT b_id) * (SELECT count(*) FROM a) AS plain_comparisons FROM truth")
 def g8(s, d):
     p = W.location(s, d)
     return M.plain_comparisons(compare(p.a, p.b, p.rule, p.blocking), p.a.count(), p.b.count())
@@ -90,7 +115,7 @@ def w5_product(s, d):
 
 @query("w4_product")
 def w4_product(s, d):
-    return X.variants(W.product(s, d, 1, True), (1.6,), names=("chase_sort_prune",))
+    return X.variants(W.product(s, d, None, True), (1.6,), names=("chase_sort_prune",))
 
 
 @query("m7_slope_all_pairs", "SELECT round(regr_slope(log10(n * n), log10(n)), 6) AS slope FROM (VALUES (351.0::DOUBLE), (676), (1310), (5000)) t(n)")

@@ -70,7 +70,7 @@ def cost_grid(p: Problem, bins_per_t: int, ts: tuple[int, ...], epss: tuple[floa
 
 def outcome(p: Problem, r: P.LinkResult, **labels: object) -> DataFrame:
     """One row: labels, party sizes, truth, output, recall, cost, cost ratio."""
-    truth = compare(p.a, p.b, p.rule, p.blocking)
+    truth = compare(p.a, p.b, p.rule, p.blocking) if r.truth is None else r.truth
     n = p.a.agg(F.count("*").alias("n_a")).crossJoin(p.b.agg(F.count("*").alias("n_b")))
     row = n.crossJoin(M.recall(r.matches, truth)).crossJoin(r.matches.agg(F.count("*").alias("n_output"))).crossJoin(r.cost)
     every = F.col("n_a") * F.col("n_b")

@@ -25,12 +25,13 @@ DEFAULT = Budget(1.6, 1e-5)
 
 @dataclass(frozen=True)
 class LinkResult:
-    """``matches`` (a_id, b_id), ``view`` (a_bin, b_bin, n_candidates), ``cost`` (one row), ``meta``."""
+    """``matches`` (a_id, b_id), ``view`` (a_bin, b_bin, n_candidates), ``cost`` (one row), ``meta``; ``truth`` where all matches are known."""
 
     matches: DataFrame
     view: DataFrame
     cost: DataFrame
     meta: dict
+    truth: DataFrame | None = None
 
     def with_meta(self, **more: object) -> LinkResult:
         return replace(self, meta={**self.meta, **more})
@@ -99,7 +100,7 @@ def padded(
         center_negligible(negligible_for, x.eps, d) if negligible_for else center(x.eps, x.delta, d) for x in (budget_a, budget_b)
     )
     na, nb = noisy_bins(a, b, blocking, (budget_a.eps, budget_b.eps), mus, seed)
-    pairs = prune.pair_table(blocking, na, nb)
+    every = pairs = prune.pair_table(blocking, na, nb)
     if stop_at or order == "decile":
         pairs = prune.stop(prune.levels(pairs, prune.thresholds(na, nb)), stop_at)
     view = _view(pairs)
@@ -111,8 +112,13 @@ def padded(
         found = compare(a, b, rule, blocking, live).select("a_id", "b_id")
         return LinkResult(found.distinct() if blocking.max_bins > 1 else found, view, _total(view), meta)
     ranked = materialize(prune.rank(pairs, order, seed), "pairs")
-    seeds = compare(a, b, rule, blocking, ranked)
-    graph = match_join(a, b, rule, blocking if lossless else None)
+    if lossless and blocking.max_bins == 1:  # one comparison gives the match graph and, where a bin pair is live, the seeds
+        live = every.join(ranked.select("a_bin", "b_bin", "rank"), ["a_bin", "b_bin"], "left") if stop_at else ranked
+        compared = materialize(compare(a, b, rule, blocking, live), "compared")
+        seeds, graph = compared.filter("rank is not null"), compared.select("a_id", "b_id")
+    else:
+        seeds = materialize(compare(a, b, rule, blocking, ranked), "seeds")
+        graph = materialize(match_join(a, b, rule, blocking if lossless else None), "graph")
     if grain == "bin_pair":
         out = C.chase(graph, seeds, ["rank"])
         ids_a, ids_b = (blocking.assign(x).select("rid", "bin") for x in (a, b))
@@ -135,7 +141,7 @@ def padded(
         cost = C.cost_by_comparison(ranked, *ret, out["firsts"].select("first.*"))
     else:
         raise ValueError(f"unknown grain {grain}")
-    return LinkResult(out["output"], view, cost.select(F.col("cost").cast("decimal(38,0)").alias("cost")), {**meta, "grain": grain})
+    return LinkResult(out["output"], view, cost.select(F.col("cost").cast("decimal(38,0)").alias("cost")), {**meta, "grain": grain}, graph)
 
 
 def suppressed(a: DataFrame, b: DataFrame, rule: Rule, blocking: Blocking, budget: Budget = DEFAULT, seed: int = 1) -> LinkResult:

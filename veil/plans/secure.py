@@ -49,8 +49,8 @@ class Key:
         return x * y % (self.n * self.n)
 
     def scale(self, x: int, k: int) -> int:
-        """Cipher of a hidden number times a known one."""
-        return pow(x, k % self.n, self.n * self.n)
+        """Cipher of a hidden number times a known one; a factor of -1 is one inverse."""
+        return pow(x, -1 if k == -1 else k % self.n, self.n * self.n)
 
 
 def _prime(bits: int, rng: random.Random) -> int:
@@ -97,8 +97,7 @@ def square_terms(a: Column, b: Column) -> Column:
 
 
 def _blinded(batches: Iterator[pa.RecordBatch], schema: pa.Schema, k: Key, theta: int, bits: int, seed: int) -> Iterator[pa.RecordBatch]:
-    hidden: dict[int, list[int]] = {}  # Alice encrypts a vector once
-    rng = random.Random(seed)
+    hidden: dict[int, list[tuple[int, int]]] = {}  # Alice encrypts a vector once; Bob inverts each cipher once
     for b in batches:
         out = []
         for a_id, b_id, va, vb in zip(*(b.column(c).to_pylist() for c in ("a_id", "b_id", "va", "vb"))):
@@ -106,21 +105,45 @@ def _blinded(batches: Iterator[pa.RecordBatch], schema: pa.Schema, k: Key, theta
                 continue
             began = time.perf_counter()
             if va not in hidden:
-                hidden[va] = [k.encrypt(va >> i & 1, rng) for i in range(bits)]
+                own = random.Random(f"{seed}|a|{va}")
+                hidden[va] = [(c, k.scale(c, -1)) for c in (k.encrypt(va >> i & 1, own) for i in range(bits))]
+            rng = random.Random(f"{seed}|b|{a_id}|{b_id}")  # fresh blinds for every pair, the same after a retry
             total = k.encrypt(vb.bit_count() + (blind := rng.randrange(1 << 40)), rng)
-            for i, c in enumerate(hidden[va]):
-                total = k.add(total, k.scale(c, 1 - 2 * (vb >> i & 1)))
+            for i, pair in enumerate(hidden[va]):
+                total = k.add(total, pair[vb >> i & 1])
             seen = k.decrypt(total)
             out.append((a_id, b_id, seen <= theta + blind, time.perf_counter() - began))
         cols = list(zip(*out)) if out else [[] for _ in schema]
         yield pa.RecordBatch.from_arrays([pa.array(list(c), f.type) for c, f in zip(cols, schema)], schema=schema)
 
 
+def _squares(batches: Iterator[pa.RecordBatch], schema: pa.Schema, k: Key, theta: int, seed: int) -> Iterator[pa.RecordBatch]:
+    for b in batches:
+        out = []
+        for a_id, b_id, xa, xb in zip(*(b.column(c).to_pylist() for c in ("a_id", "b_id", "xa", "xb"))):
+            if xa is None or xb is None:
+                continue
+            own, rng = random.Random(f"{seed}|a|{a_id}"), random.Random(f"{seed}|b|{a_id}|{b_id}")
+            sent = [k.encrypt(v, own) for v in xa], k.encrypt(sum(v * v for v in xa), own)  # Alice: her numbers, and their squares' sum
+            total = k.add(sent[1], k.encrypt(sum(v * v for v in xb) + (blind := rng.randrange(1 << 40)), rng))
+            for c, v in zip(sent[0], xb):
+                total = k.add(total, k.scale(c, -2 * v))
+            out.append((a_id, b_id, k.decrypt(total) <= theta * theta + blind))
+        cols = list(zip(*out)) if out else [[] for _ in schema]
+        yield pa.RecordBatch.from_arrays([pa.array(list(c), f.type) for c, f in zip(cols, schema)], schema=schema)
+
+
+def blinded_distance(pairs: DataFrame, theta: int, k: Key | None = None, seed: int = 1) -> DataFrame:
+    """``a_id, b_id, matched`` of ``a_id, b_id, xa, xb`` (arrays of long): blinded homomorphic squared distance against theta squared."""
+    return in_arrow(pairs.select("a_id", "b_id", "xa", "xb"), _squares, "a_id long, b_id long, matched boolean", k or key(), theta, seed)
+
+
 def blinded_match(pairs: DataFrame, theta: int, bits: int = 50, k: Key | None = None, seed: int = 1) -> DataFrame:
     """``a_id, b_id, matched, seconds`` of ``a_id, b_id, va, vb``: blinded homomorphic Hamming comparison.
 
-    Bob adds a random offset before Alice decrypts; offset distance and offset
-    threshold are compared. Pairs with a null vector have no row. ``seconds``
+    Bob adds a random offset, drawn anew for every pair, before Alice decrypts;
+    offset distance and offset threshold are compared. Pairs with a null vector have no row. ``seconds``
     is measured.
     """
-    return in_arrow(pairs.select("a_id", "b_id", "va", "vb"), _blinded, "a_id long, b_id long, matched boolean, seconds double", k or key(), theta, bits, seed)
+    n = int(pairs.sparkSession.conf.get("spark.sql.shuffle.partitions"))  # few bytes but much work: not to be coalesced
+    return in_arrow(pairs.select("a_id", "b_id", "va", "vb").repartition(n, "va"), _blinded, "a_id long, b_id long, matched boolean, seconds double", k or key(), theta, bits, seed)

@@ -16,8 +16,9 @@ from veil.sources.shared import table
 BOX_X, BOX_Y, CELLS, SLOTS = 160.0, 100.0, 4, 4
 SIZE_X, SIZE_Y, THETA = 40.0, 25.0, 0.2
 FIRST_DAY = "2024-01-01"
-BRANDS, BITS, HAMMING = 16, 50, 5
-FIRST_QUARTER = 1997 * 4
+BRANDS, BITS, HAMMING = 25, 50, 5
+#: Declared domains: days from FIRST_DAY on, and quarters from FIRST_QUARTER on; what lies outside goes to the edge bins.
+DAYS, FIRST_QUARTER, QUARTERS = 30, 1995 * 4, 28
 
 
 @dataclass(frozen=True)
@@ -33,15 +34,20 @@ class Problem:
     gamma: float = 1.0
 
 
-def location(spark: SparkSession, sf_dir: str, t: int = 1) -> Problem:
-    """Points of the first ``t`` days against perturbed copies; same day and slot, scaled distance at most 0.2.
+def _inside(slot: Column, n: int) -> Column:
+    return F.greatest(F.lit(0), F.least(F.lit(n - 1), slot)).cast("long")
 
-    The filters on raw columns reach the Parquet scan. Distances are scaled by
-    the cell size; a cell meets its neighbours, so the blocking loses no match.
+
+def location(spark: SparkSession, sf_dir: str, t: int | None = None) -> Problem:
+    """All points against perturbed copies, or those before day ``t``; same day and slot, scaled distance at most 0.2.
+
+    The filter on a raw column reaches the Parquet scan. Distances are scaled by
+    the cell size; a cell meets its neighbours, and points outside the declared
+    box or days are in its edge cells, so the blocking loses no match.
     """
     ev = table(spark, sf_dir, "events").select("event_id", "ts", "value", "props")
-    end = F.date_add(F.lit(FIRST_DAY).cast("date"), t).cast("timestamp_ntz")
-    ev = ev.filter((F.col("value") < BOX_X) & (F.col("ts") < end))
+    if t is not None:
+        ev = ev.filter(F.col("ts") < F.date_add(F.lit(FIRST_DAY).cast("date"), t).cast("timestamp_ntz"))
     day = F.datediff(F.to_date("ts"), F.lit(FIRST_DAY).cast("date"))
     k = F.get_json_object("props", "$.k").cast("double")
     base = ev.select(
@@ -57,7 +63,8 @@ def location(spark: SparkSession, sf_dir: str, t: int = 1) -> Problem:
         "slot",
     )
     rule = R.all_of(R.equal("slot"), R.euclidean(["x", "y"], THETA, [SIZE_X, SIZE_Y]))
-    grid = B.grid_neighbors(SLOTS * t, CELLS, CELLS, F.col("slot"), E.grid(F.col("x"), SIZE_X, CELLS), E.grid(F.col("y"), SIZE_Y, CELLS))
+    times = SLOTS * (DAYS if t is None else t)
+    grid = B.grid_neighbors(times, CELLS, CELLS, _inside(F.col("slot"), times), E.grid(F.col("x"), SIZE_X, CELLS), E.grid(F.col("y"), SIZE_Y, CELLS))
     cut = lambda df: df.withColumns({"tx": E.truncate(F.col("x")), "ty": E.truncate(F.col("y"))})
     return Problem("location", cut(base), cut(moved), rule, grid, ("slot", "tx", "ty"), 1e6 * 3.141592653589793)
 
@@ -72,8 +79,8 @@ def line_key() -> Column:
     return F.conv(F.substr(line_digest(), F.lit(1), F.lit(15)), 16, 10).cast("long")
 
 
-def product(spark: SparkSession, sf_dir: str, t: int = 1, skewed: bool = False) -> Problem:
-    """Product names sold in ``t`` quarters, two sellers' groups; same quarter and brand, Hamming at most 5 of 50 bits.
+def product(spark: SparkSession, sf_dir: str, t: int | None = None, skewed: bool = False) -> Problem:
+    """Product names sold, in all or in ``t`` quarters, two sellers' groups; same quarter and brand, Hamming at most 5 of 50 bits.
 
     ``skewed`` keeps a line with probability one over its brand's number.
     """
@@ -81,18 +88,23 @@ def product(spark: SparkSession, sf_dir: str, t: int = 1, skewed: bool = False)
     pa = table(spark, sf_dir, "part").select("p_partkey", "p_name", "p_brand")
     quarter = (F.year("l_shipdate") * 4 + F.quarter("l_shipdate") - 1 - FIRST_QUARTER).cast("long")
     brand = F.regexp_extract("p_brand", "[0-9]+", 0).cast("long")
+    pa = pa.withColumn("pv", E.bloom(F.col("p_name")))  # once per part, not per line
     rows = li.join(pa, F.col("l_partkey") == F.col("p_partkey")).withColumns({"quarter": quarter, "brand": brand, "rid": line_key()})
-    rows = rows.filter((F.col("quarter") >= 0) & (F.col("quarter") < t) & (F.col("brand") <= BRANDS))
+    if t is not None:
+        rows = rows.filter(F.col("quarter") < t)
     if skewed:
         rows = rows.filter(uniform("z", line_digest()) < 1 / F.col("brand"))
     line = [F.col("l_orderkey"), F.col("l_linenumber")]
     lost = F.when(uniform("t", *line) < 0.9, E.drop_character(F.col("p_name"), uniform("c", *line))).otherwise(F.col("p_name"))
 
     def party(parity: int, name: Column) -> DataFrame:
-        return rows.filter(F.col("l_suppkey") % 2 == parity).select("rid", "quarter", "brand", name.alias("name"), E.bloom(name).alias("v"))
+        mine = rows.filter(F.col("l_suppkey") % 2 == parity).withColumn("name", name)
+        v = F.col("pv") if parity == 0 else F.when(F.col("name") == F.col("p_name"), F.col("pv")).otherwise(E.bloom(F.col("name")))
+        return mine.select("rid", "quarter", "brand", "name", v.alias("v"))
 
     rule = R.all_of(R.equal("quarter"), R.equal("brand"), R.hamming("v", HAMMING, BITS))
-    keys = B.equal_keys("brand", BRANDS * t, F.col("quarter") * BRANDS + F.col("brand") - 1)
+    quarters = QUARTERS if t is None else t
+    keys = B.equal_keys("brand", BRANDS * quarters, _inside(F.col("quarter"), quarters) * BRANDS + _inside(F.col("brand") - 1, BRANDS))
     return Problem("product_skewed" if skewed else "product", party(0, F.col("p_name")), party(1, lost), rule, keys, ("quarter", "brand", "v"), float(rule.ball_size()))
 
 
