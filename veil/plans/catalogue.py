@@ -202,7 +202,17 @@ def r3(s, d):
     return match_join(n, n, R.qgram("g", 0.4))
 
 
-@query("r4_phonetic")
+def soundex(name: str) -> str:
+    """Four-character sound code: first letter, then codes of later consonants, equal neighbours once."""
+    code = "CASE WHEN c BETWEEN 'A' AND 'Z' THEN substr('01230127022455012623017202', ascii(c) - 64, 1) ELSE 'x' END"
+    keep, last = "acc[1:len(acc) - 1]", "acc[len(acc)]"
+    step = f"CASE {code} WHEN 'x' THEN {keep} || '0' WHEN '7' THEN acc WHEN '0' THEN {keep} || '0' ELSE CASE WHEN {code} <> {last} THEN {keep} || {code} || {code} ELSE acc END END"
+    first = f"substr('01230127022455012623017202', ascii(upper({name})) - 64, 1)"
+    folded = f"list_reduce(string_split(upper(substr({name}, 2)), ''), lambda acc, c: {step}, {first})"
+    return f"CASE WHEN upper({name}[1]) BETWEEN 'A' AND 'Z' THEN upper({name}[1]) || rpad({folded}[1:len({folded}) - 1], 3, '0')[1:3] ELSE {name} END"
+
+
+@query("r4_phonetic", f"WITH n AS (SELECT name, {soundex('name')} AS k FROM (SELECT DISTINCT p_name AS name FROM part)) SELECT x.name AS a_id, y.name AS b_id FROM n x JOIN n y USING (k)")
 def r4(s, d):
     n = _parts(s, d)
     return match_join(n, n, R.phonetic("name"))
@@ -494,10 +504,13 @@ def p10_run(s, d):
     return r.matches.agg(F.count("*").alias("n_output"), F.countDistinct("a_id").alias("a_records"))
 
 
-def flip_sql(party: str, x: int, eps: str = "1.6::DOUBLE", k: int = 16) -> str:
+_CC = "eg AS (SELECT 'a' || a_id AS x, 'b' || b_id AS y FROM truth UNION SELECT 'b' || b_id, 'a' || a_id FROM truth), rc(x, y) AS (SELECT x, y FROM eg UNION SELECT rc.x, eg.y FROM rc JOIN eg ON rc.y = eg.x), cc AS (SELECT x, min(y) AS c FROM rc GROUP BY x)"
+
+
+def flip_sql(party: str, x: int, eps: str = "1.6::DOUBLE", k: int = 16, seed: int = 1) -> str:
     t = f"({k - x} + {x} * exp({eps}))"
     home = f"bin % {k}"
-    v = u("'1|" + party + "|' || rid || '|flip'")
+    v = u(f"'{seed}|" + party + "|' || rid || '|flip'")
     return f"""f{party} AS (SELECT rid, ({home} + CASE WHEN w < {x} * exp({eps}) / {t} THEN CAST(floor(w * {t} / exp({eps})) AS BIGINT)
   ELSE {x} + CAST(floor(w * {t} - {x} * exp({eps})) AS BIGINT) END) % {k} AS fb FROM (SELECT rid, bin, {v} AS w FROM {party}))"""
 
@@ -537,10 +550,21 @@ def p16(s, d):
     return X.outcome(p, CF.coin_flip(p.a, p.b, p.rule, _home(), 16, 6, q, q))
 
 
-@query("p17_profile_search")
+_SHAPES = ((5, 2), (6, 2), (6, 3), (7, 3))
+
+
+@query(
+    "p17_profile_search",
+    f"""WITH c(k, w) AS (VALUES {", ".join(map(str, _SHAPES))}), z AS (SELECT k, w, s.s, bit_count(s.s) AS x FROM c, unnest(range(1, (1 << k)::BIGINT)) s(s)),
+p AS (SELECT k, w, s, list_transform(range(0, k), lambda i: CASE WHEN (s >> i::INT) & 1 = 1 THEN exp(1.6) ELSE 1 END / (k - x + x * exp(1.6))) AS q FROM z),
+r AS (SELECT k, w, s, list_transform(range(0, k), lambda i: list_sum(list_transform(range(0, w), lambda j: q[(i + j) % k + 1]))) AS q FROM p),
+v AS (SELECT a.k, a.w, a.s AS sa, r.s AS sb, list_inner_product(a.q, r.q) AS v FROM p a JOIN r ON a.k = r.k AND a.w = r.w)
+SELECT k, w AS window, round(max(v), 9) AS probability, round(max(v) FILTER (sa = sb AND sa < (1 << w) AND (sa & (sa + 1)) = 0), 9) AS symmetric, round(1.6::DOUBLE, 9) AS local_eps FROM v GROUP BY k, w""",
+)
 def p17(s, d):
+    """Alternating search against the best pair of profiles with any sets of likely bins."""
     rows = []
-    for k, w in ((6, 2), (10, 3), (16, 4)):
+    for k, w in _SHAPES:
         pa, pb, v = CF.profile_search(k, w, EPS, EPS)
         rows.append((k, w, round(v, 9), round(CF.symmetric_best(k, w, EPS)[1], 9), round(max(A.local_eps_of(pa), A.local_eps_of(pb)), 9)))
     return s.createDataFrame(rows, "k int, window int, probability double, symmetric double, local_eps double")
@@ -569,7 +593,17 @@ def p19(s, d):
     return X.outcome(p, CF.coin_flip(p.a, p.b, p.rule, _home(), 16, 3, q, q, prune_at=50))
 
 
-@query("p19_coin_flip_chase")
+@query(
+    "p19_coin_flip_chase",
+    f"""WITH RECURSIVE {w2()}, {flip_sql('a', 1)}, {flip_sql('b', 1)}, na AS (SELECT range AS bin, count(rid) AS n FROM range(16) LEFT JOIN fa ON fb = range GROUP BY 1),
+nb AS (SELECT range AS bin, count(rid) AS n FROM range(16) LEFT JOIN fb ON fb.fb = range GROUP BY 1),
+rk AS (SELECT x.bin AS a_bin, y.bin AS b_bin, x.n AS na, y.n AS nb, row_number() OVER (ORDER BY least(x.n, y.n) DESC, greatest(x.n, y.n) DESC, x.bin, y.bin) AS t FROM na x JOIN nb y ON (y.bin - x.bin + 16) % 16 < 3),
+{_CC}, fs AS (SELECT c, min(t) AS f FROM truth JOIN fa ON fa.rid = a_id JOIN fb ON fb.rid = b_id JOIN rk ON rk.a_bin = fa.fb AND rk.b_bin = fb.fb JOIN cc ON x = 'a' || a_id GROUP BY c),
+ra AS (SELECT fa.fb AS bin, f, count(*) AS m FROM fa JOIN cc ON x = 'a' || rid JOIN fs USING (c) GROUP BY ALL), rb AS (SELECT fb.fb AS bin, f, count(*) AS m FROM fb JOIN cc ON x = 'b' || rid JOIN fs USING (c) GROUP BY ALL),
+found AS (SELECT a_id, b_id FROM truth JOIN cc ON x = 'a' || a_id JOIN fs USING (c)),
+cst AS (SELECT sum((na - coalesce((SELECT sum(m) FROM ra WHERE ra.bin = a_bin AND f < t), 0)) * (nb - coalesce((SELECT sum(m) FROM rb WHERE rb.bin = b_bin AND f < t), 0))) AS cost FROM rk) """
+    + outcome_sql("found", "(SELECT cost FROM cst)"),
+)
 def p19_chase(s, d):
     p = _prod(s, d)
     q = CF.basic_profile(16, EPS)
@@ -639,7 +673,6 @@ def s5(s, d):
     return X.tradeoff(_loc(s, d), [N.Budget(EPS, DELTA)])
 
 
-_CC = "eg AS (SELECT 'a' || a_id AS x, 'b' || b_id AS y FROM truth UNION SELECT 'b' || b_id, 'a' || a_id FROM truth), rc(x, y) AS (SELECT x, y FROM eg UNION SELECT rc.x, eg.y FROM rc JOIN eg ON rc.y = eg.x), cc AS (SELECT x, min(y) AS c FROM rc GROUP BY x)"
 
 
 @query("g1_sides", f"WITH {w1()} SELECT count(DISTINCT a_id) AS a_records, count(DISTINCT b_id) AS b_records FROM truth")
@@ -700,7 +733,7 @@ def m5(s, d):
     return M.precision(match_join(p.a, p.b, R.all_of(R.equal("quarter"), R.equal("brand"))), d1_product(s, d))
 
 
-def grid_sql(w: str, bins_per_t: int, ts, epss, deltas, seeds: int) -> str:
+def grid_sql(w: str, bins_per_t: int, ts, epss, deltas, seeds: int, gamma: str = "1") -> str:
     vals = ", ".join(f"({t}, {e}::DOUBLE, {dl}::DOUBLE, {k})" for t in ts for e in epss for dl in deltas for k in range(1, seeds + 1))
     side = lambda p: f"""n{p} AS (SELECT t, eps, delta, seed, bin, coalesce(c, 0) AS r, coalesce(c, 0) + greatest(0, {eta_sql('mu', 'eps', 'seed', p)}) AS n
   FROM gr JOIN dom ON bin < t * {bins_per_t} LEFT JOIN (SELECT bin, count(*) AS c FROM {p} GROUP BY bin) USING (bin))"""
@@ -708,18 +741,34 @@ def grid_sql(w: str, bins_per_t: int, ts, epss, deltas, seeds: int) -> str:
 cs AS (SELECT x.t, x.eps, x.delta, x.seed, sum(x.n * y.n) AS cost, sum(x.r * y.r) AS plain FROM na x JOIN st ON x.bin = a_bin JOIN nb y ON y.bin = b_bin AND (x.t, x.eps, x.delta, x.seed) = (y.t, y.eps, y.delta, y.seed) GROUP BY ALL),
 sz AS (SELECT t, sum(r) FILTER (seed = 1 AND p = 'a') AS n_a, sum(r) FILTER (seed = 1 AND p = 'b') AS n_b FROM
   (SELECT DISTINCT t, seed, bin, r, 'a' AS p FROM na UNION ALL SELECT DISTINCT t, seed, bin, r, 'b' FROM nb) GROUP BY t),
-lg AS (SELECT cs.t, eps, delta, seed, CAST(greatest(n_a, n_b) AS BIGINT) AS n, CAST(plain AS BIGINT) AS plain, CAST(n_a * n_b AS BIGINT) AS all_pairs, CAST(cost AS BIGINT) AS cost FROM cs JOIN sz USING (t))"""
+lg AS (SELECT cs.t, eps, delta, seed, CAST(greatest(n_a, n_b) AS BIGINT) AS n, CAST(plain AS BIGINT) AS plain, CAST(n_a * n_b AS BIGINT) AS all_pairs,
+  round(greatest(n_a, n_b) * ln(ln(greatest(n_a, n_b))) * {gamma}, 3) AS expanded, CAST(cost AS BIGINT) AS cost FROM cs JOIN sz USING (t))"""
+
+
+def prune_sql(w: str, bins_per_t: int, ts, epss, deltas, seeds: int) -> str:
+    """Trials of pruning: levels per trial, cumulated cost and matches."""
+    key = "t, eps, delta, seed"
+    cuts = ", ".join(f"quantile_cont(n, {q / 100}) AS q{q}" for q in prune.PERCENTS)
+    level = "CASE " + " ".join(f"WHEN least(na, nb) > q{q} THEN {q}" for q in prune.PERCENTS if q) + " ELSE 0 END"
+    return f"""{grid_sql(w, bins_per_t, ts, epss, deltas, seeds)},
+qs AS (SELECT {key}, {cuts} FROM (SELECT {key}, n FROM na UNION ALL SELECT {key}, n FROM nb) GROUP BY {key}),
+hi AS (SELECT a_bin, b_bin, count(*) AS m FROM truth GROUP BY ALL),
+pq AS (SELECT x.t, x.eps, x.delta, x.seed, a_bin, b_bin, x.n AS na, y.n AS nb FROM na x JOIN st ON x.bin = a_bin JOIN nb y ON y.bin = b_bin AND (x.t, x.eps, x.delta, x.seed) = (y.t, y.eps, y.delta, y.seed)),
+pl AS (SELECT {key}, {level} AS percent, sum(na * nb) AS c, sum(coalesce(m, 0)) AS m FROM pq JOIN qs USING ({key}) LEFT JOIN hi USING (a_bin, b_bin) GROUP BY ALL),
+tr AS (SELECT {key}, percent, sum(c) OVER (PARTITION BY {key} ORDER BY percent DESC) / (n_a * n_b) AS cost_ratio,
+  sum(m) OVER (PARTITION BY {key} ORDER BY percent DESC) / sum(m) OVER (PARTITION BY {key}) AS recall FROM pl JOIN sz USING (t)),
+av AS (SELECT t, eps, delta, percent, count(*) AS runs, round(avg(cost_ratio), 6) AS cost_ratio, round(stddev_samp(cost_ratio), 6) AS cost_ratio_sd, round(avg(recall), 6) AS recall, round(stddev_samp(recall), 6) AS recall_sd FROM tr GROUP BY ALL)"""
 
 
 _TS, _TQ, _EPS3 = (1, 2, 4, 8, 16, 30), (1, 2, 4, 8, 16, 28), (0.1, 0.4, 1.6)
 
 
-@query("w3_location", grid_sql(w1(), 64, _TS, _EPS3, (DELTA,), 10) + " SELECT * FROM lg")
+@query("w3_location", grid_sql(w1(), 64, _TS, _EPS3, (DELTA,), 10, "3141592.653589793::DOUBLE") + " SELECT * FROM lg")
 def w3_location(s, d):
     return X.cost_grid(_loc(s, d), 64, _TS, _EPS3, (DELTA,), 10)
 
 
-@query("w3_product", grid_sql(w2(), 25, _TQ, _EPS3, (DELTA,), 10) + " SELECT * FROM lg")
+@query("w3_product", grid_sql(w2(), 25, _TQ, _EPS3, (DELTA,), 10, "2369936.0::DOUBLE") + " SELECT * FROM lg")
 def w3_product(s, d):
     return X.cost_grid(_prod(s, d), 25, _TQ, _EPS3, (DELTA,), 10)
 
@@ -861,14 +910,38 @@ def d2(s, d):
 # ---- workloads ----------------------------------------------------------------------------------------------------
 
 
-@query("w4_location")
-def w4(s, d):
-    return X.variants(_loc(s, d), (0.1, 0.4, 1.6), names=("chase_sort_prune",))
+_DELTAS3 = (1e-9, 1e-7, 1e-5)
+for _n, _f, _w, _per, _sweep in (("location", _loc, w1, 64, _TS), ("product", _prod, w2, 25, _TQ), ("skewed", lambda s, d: W.product(s, d, None, True), lambda: w2(None, True), 25, _TQ)):
 
+    @query(f"w4_{_n}", prune_sql(_w(), _per, _sweep, _EPS3, (DELTA,), 10) + " SELECT * FROM av WHERE percent = 10")
+    def w4(s, d, f=_f, per=_per, sweep=_sweep):
+        """Cost and recall against size when comparison stops at ten per cent, ten runs a point."""
+        return X.averaged(X.prune_grid(f(s, d), per, sweep, _EPS3, (DELTA,), 10).filter("percent = 10"), ["t", "eps", "delta", "percent"])
 
-@query("w5_variants", " UNION ALL ".join(f"SELECT * FROM (WITH RECURSIVE {w1()}, {pads()}, {chase_sql(o, st)} " + outcome_sql("found", "(SELECT cost FROM cmp)", f"'{v}' AS variant, 1.6::DOUBLE AS eps,") + ")" for v, o, st in (("chase", "index", 0), ("chase_sort", "size", 0), ("chase_sort_prune", "size", 10))))
-def w5(s, d):
-    return X.variants(_loc(s, d), (EPS,), names=("chase", "chase_sort", "chase_sort_prune"))
+    @query(f"w6_{_n}", prune_sql(_w(), _per, _sweep[-1:], _EPS3, (DELTA,), 10) + " SELECT * FROM av")
+    def w6(s, d, f=_f, per=_per, sweep=_sweep):
+        """Trade-off curves by eps, ten runs a point."""
+        return X.averaged(X.prune_grid(f(s, d), per, sweep[-1:], _EPS3, (DELTA,), 10), ["t", "eps", "delta", "percent"])
+
+    @query(f"w7_{_n}", prune_sql(_w(), _per, _sweep[-1:], (EPS,), _DELTAS3, 10) + " SELECT * FROM av")
+    def w7(s, d, f=_f, per=_per, sweep=_sweep):
+        """Trade-off curves by delta, ten runs a point."""
+        return X.averaged(X.prune_grid(f(s, d), per, sweep[-1:], (EPS,), _DELTAS3, 10), ["t", "eps", "delta", "percent"])
+
+
+def variants_sql(w: str, epss) -> str:
+    prunes = "found AS (SELECT a_id, b_id FROM truth JOIN lv USING (a_bin, b_bin) WHERE percent >= {0}), cmp AS (SELECT sum(na * nb) AS cost FROM lv WHERE percent >= {0})"
+    steps = {"basic": LEVELS + ", " + prunes.format(0), "prune": LEVELS + ", " + prunes.format(10), "chase": chase_sql("index", 0), "chase_sort": chase_sql("size", 0), "chase_sort_prune": chase_sql("size", 10)}
+    one = lambda e, v: f"SELECT * FROM (WITH RECURSIVE {w}, {pads(e)}, {steps[v]} " + outcome_sql("found", "(SELECT cost FROM cmp)", f"'{v}' AS variant, {e}::DOUBLE AS eps,") + ")"
+    return " UNION ALL ".join(one(e, v) for e in epss for v in steps)
+
+
+for _n, _f, _w, _es in (("location", _loc, w1, (0.4, EPS)), ("product", _prod, w2, (EPS,))):
+
+    @query(f"w5_{_n}", variants_sql(_w(), _es))
+    def w5(s, d, f=_f, es=_es):
+        """The five optimisation settings on the whole table."""
+        return X.variants(f(s, d), es)
 
 
 @query("w6_tradeoff_eps", curve_sql(w1(), [(0.1, DELTA), (0.4, DELTA), (1.6, DELTA)]))
@@ -893,10 +966,23 @@ def w9(s, d):
     return P.intersect(p.a, p.b, list(p.attributes)).matches.agg(F.count("*").alias("n_output"))
 
 
-@query("w10_flip_law")
-def w10(s, d):
-    q = CF.basic_profile(16, EPS)
-    return X.flip_law(_prod(s, d), _home(), 16, (1, 5), EPS, lambda w: (q, q), 2)
+def law_sql(xa: int, xb: int, windows, seeds: int) -> str:
+    """Recall and cost of coin flips for windows and seeds, with the circular double sum of both profiles."""
+    e, k = "exp(1.6::DOUBLE)", 16
+    pro = lambda x, i: f"CASE WHEN {i} < {x} THEN {e} ELSE 1 END / ({k - x} + {x} * {e})" if x else f"CASE WHEN {i} = 0 THEN 1.0::DOUBLE ELSE 0 END"
+    law = lambda w: f"(SELECT round(sum({pro(xa, 'i.range')} * {pro(xb, f'((i.range + j.range) % {k})')}), 9) FROM range({k}) i, range({w}) j)"
+    move = lambda p, x, s: flip_sql(p, x, seed=s) if x else f"f{p} AS (SELECT rid, bin % {k} AS fb FROM {p})"
+    one = lambda w, s: f"SELECT * FROM (WITH {w2()}, {move('a', xa, s)}, {move('b', xb, s)}, {met_sql(w)} SELECT {w} AS window, {s} AS seed, {law(w)} AS law, round((SELECT count(*) FROM found) / (SELECT count(*) FROM truth), 9) AS recall, (SELECT CAST(cost AS BIGINT) FROM cst) AS cost)"
+    return " UNION ALL ".join(one(w, s) for w in windows for s in range(1, seeds + 1))
+
+
+for _n, _xa, _xb, _ws in (("flip_law", 1, 1, (1, 5)), ("one_sided_law", 0, 4, (4,)), ("symmetric_law", _X16, _X16, (6,))):
+
+    @query(f"w10_{_n}", law_sql(_xa, _xb, _ws, 3))
+    def w10(s, d, xa=_xa, xb=_xb, ws=_ws):
+        """Measured recall of coin flips against the law, three seeds a window."""
+        pa, pb = (CF.window_profile(16, x, EPS) if x else CF.certain_profile(16) for x in (xa, xb))
+        return X.flip_law(_prod(s, d), _home(), 16, ws, EPS, lambda w: (pa, pb), 3)
 
 
 @query("w12_names", f"WITH {_W12}, a AS (SELECT * FROM c), b AS (SELECT * FROM s), truth AS (SELECT i AS a_id, j AS b_id FROM c JOIN s USING (n) WHERE levenshtein(x, y) <= 2 AND {_DIG}) " + outcome_sql("truth", "(SELECT count(*) FROM c JOIN s USING (n))"))
@@ -905,7 +991,16 @@ def w12(s, d):
     return X.outcome(p, P.plain(p.a, p.b, p.rule, p.blocking))
 
 
-@query("w13_vectors")
+_MOVED = f"list_transform(v, lambda x, i: x + 0.02::DOUBLE * (2 * {u(chr(39) + 'v|' + chr(39) + ' || rid || ' + chr(39) + '|' + chr(39) + ' || (i - 1)')} - 1))"
+
+
+@query(
+    "w13_vectors",
+    f"""WITH v0 AS (SELECT vec_id AS rid, list_transform(embedding, lambda x: x::DOUBLE) AS v FROM embeddings), v1 AS (SELECT rid, {_MOVED} AS v FROM v0),
+a AS (SELECT rid, v, CAST({_SIGN} AS BIGINT) AS bin FROM v0), b AS (SELECT rid, v, CAST({_SIGN} AS BIGINT) AS bin FROM v1),
+truth AS (SELECT a.rid AS a_id, b.rid AS b_id FROM a JOIN b ON list_distance(a.v, b.v) <= 0.2), {flip_sql('a', 3)}, {flip_sql('b', 3)}, {met_sql(3)}
+SELECT (SELECT count(*) FROM truth) AS n_truth, (SELECT count(*) FROM found) AS n_found, round((SELECT count(*) FROM found) / (SELECT count(*) FROM truth), 9) AS recall, CAST((SELECT cost FROM cst) AS BIGINT) AS cost""",
+)
 def w13(s, d):
     p = W.vectors(s, d)
     q = CF.window_profile(16, 3, EPS)

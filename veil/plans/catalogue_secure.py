@@ -12,7 +12,7 @@ from veil.plans import protocols as P
 from veil.plans import secure as S
 from veil.plans import workloads as W
 from veil.plans.budget import Budget
-from veil.plans.catalogue import query, w1, w2
+from veil.plans.catalogue import _DIG, _W12, query, soundex, w1, w2
 from veil.sources.shared import table
 
 
@@ -108,16 +108,6 @@ def d12(s, d):
     return s.createDataFrame([(e, Budget.from_symmetric(e).eps, Budget.cryptographic().eps) for e in (0.05, 0.2, 0.8)], "eps double, linkage_eps double, secure_eps double")
 
 
-@query("w5_product_variants")
-def w5_product(s, d):
-    return X.variants(W.product(s, d), (0.1, 1.6))
-
-
-@query("w4_product")
-def w4_product(s, d):
-    return X.variants(W.product(s, d, None, True), (1.6,), names=("chase_sort_prune",))
-
-
 @query("m7_slope_all_pairs", "SELECT round(regr_slope(log10(n * n), log10(n)), 6) AS slope FROM (VALUES (351.0::DOUBLE), (676), (1310), (5000)) t(n)")
 def m7_all(s, d):
     """All-pairs cost grows with the square of the party size, whatever the data."""
@@ -125,7 +115,10 @@ def m7_all(s, d):
     return M.loglog_slope(n, ["m"]).select("slope")
 
 
-@query("r_all_rules")
+_NEAR = {"edit": "levenshtein(x, y) <= 2", "digits": _DIG, "phonetic": f"{soundex('x')} = {soundex('y')}", "equal": "x = y"}
+
+
+@query("r_all_rules", f"WITH {_W12} " + " UNION ALL ".join(f"SELECT '{k}' AS rule, count(*) AS n FROM c JOIN s USING (n) WHERE {v}" for k, v in _NEAR.items()))
 def r_all(s, d):
     """Every rule over one pair of parties: accepted pairs per rule."""
     p = W.names(s, d)

@@ -6,6 +6,7 @@ from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import Window as W
 
 from veil.functions.hashing import uniform
 from veil.operators import padding, prune
@@ -14,6 +15,7 @@ from veil.plans import measure as M
 from veil.plans import protocols as P
 from veil.plans.budget import Budget, center
 from veil.plans.workloads import Problem
+from veil.sources.shared import materialize
 
 VARIANTS = {
     "basic": {},
@@ -24,12 +26,14 @@ VARIANTS = {
 }
 
 
-def cost_grid(p: Problem, bins_per_t: int, ts: tuple[int, ...], epss: tuple[float, ...], deltas: tuple[float, ...], seeds: int) -> DataFrame:
-    """Trial log of basic padded cost for every (t, eps, delta, seed), in one plan.
+KEY = ["t", "eps", "delta", "seed"]
+
+
+def noisy_grid(p: Problem, bins_per_t: int, ts: tuple[int, ...], epss: tuple[float, ...], deltas: tuple[float, ...], seeds: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Noisy bins of both parties for every (t, eps, delta, seed), and the sizes ``t, n_a, n_b``.
 
     ``p`` is the problem at the largest t; a smaller t is a prefix of its bins.
-    Costs come from bin counts: rows = bins x partners x grid, whatever the data.
-    Columns: t, eps, delta, seed, n, plain, all_pairs, cost.
+    Rows = bins x grid, whatever the data.
     """
     spark = p.a.sparkSession
     d = p.blocking.sensitivity()
@@ -39,7 +43,7 @@ def cost_grid(p: Problem, bins_per_t: int, ts: tuple[int, ...], epss: tuple[floa
 
     def counts(party: DataFrame) -> DataFrame:
         c = padding.bin_counts(p.blocking.assign(party))
-        return dom.join(c, "bin", "left").select("bin", F.coalesce("n_real", F.lit(0)).alias("n_real"))
+        return materialize(dom.join(c, "bin", "left").select("bin", F.coalesce("n_real", F.lit(0)).alias("n_real")), "grid-counts")
 
     ca, cb = counts(p.a), counts(p.b)
     limit = F.col("bin") < F.col("t") * bins_per_t
@@ -48,26 +52,71 @@ def cost_grid(p: Problem, bins_per_t: int, ts: tuple[int, ...], epss: tuple[floa
         a = F.col("eps") / d
         g = lambda tag: F.floor(F.log1p(-uniform(F.col("seed"), F.lit(party), F.col("bin"), tag)) / -a)
         pad = F.greatest(F.col("mu") + g("1") - g("2"), F.lit(0)).cast("long")
-        return c.join(F.broadcast(grid), limit).withColumn("n_noisy", F.col("n_real") + pad)
+        return c.join(F.broadcast(grid), limit).select(*KEY, "bin", "n_real", (F.col("n_real") + pad).alias("n_noisy"))
+
+    size = lambda c, name: c.join(F.broadcast(grid.select("t").distinct()), limit).groupBy("t").agg(F.sum("n_real").alias(name))
+    return noisy(ca, "a"), noisy(cb, "b"), size(ca, "n_a").join(size(cb, "n_b"), "t")
 
-    key = ["t", "eps", "delta", "seed"]
-    na = noisy(ca, "a").select(*key, F.col("bin").alias("a_bin"), F.col("n_real").alias("ra"), F.col("n_noisy").alias("na"))
-    nb = noisy(cb, "b").select(*key, F.col("bin").alias("b_bin"), F.col("n_real").alias("rb"), F.col("n_noisy").alias("nb"))
-    pairs = na.withColumn("b_bin", F.explode(p.blocking.partners(F.col("a_bin")))).join(nb, [*key, "b_bin"])
-    cost = pairs.groupBy(*key).agg(
+
+def _met(p: Problem, na: DataFrame, nb: DataFrame) -> DataFrame:
+    """The bin pairs of every trial with both sizes."""
+    x = na.select(*KEY, F.col("bin").alias("a_bin"), F.col("n_real").alias("ra"), F.col("n_noisy").alias("na"))
+    y = nb.select(*KEY, F.col("bin").alias("b_bin"), F.col("n_real").alias("rb"), F.col("n_noisy").alias("nb"))
+    return x.withColumn("b_bin", F.explode(p.blocking.partners(F.col("a_bin")))).join(y, [*KEY, "b_bin"])
+
+
+def cost_grid(p: Problem, bins_per_t: int, ts: tuple[int, ...], epss: tuple[float, ...], deltas: tuple[float, ...], seeds: int) -> DataFrame:
+    """Trial log of basic padded cost for every (t, eps, delta, seed), in one plan.
+
+    Columns: t, eps, delta, seed, n, plain, all_pairs, expanded (cost of the
+    intersection with one side expanded by its match ball), cost.
+    """
+    na, nb, sizes = noisy_grid(p, bins_per_t, ts, epss, deltas, seeds)
+    cost = _met(p, na, nb).groupBy(*KEY).agg(
         F.sum((F.col("na") * F.col("nb")).cast("decimal(38,0)")).alias("cost"), F.sum((F.col("ra") * F.col("rb")).cast("decimal(38,0)")).alias("plain")
     )
-    size = lambda c, name: c.join(F.broadcast(grid.select("t").distinct()), limit).groupBy("t").agg(F.sum("n_real").alias(name))
-    sizes = size(ca, "n_a").join(size(cb, "n_b"), "t")
+    n = F.greatest("n_a", "n_b")
     return cost.join(sizes, "t").select(
-        *key,
-        F.greatest("n_a", "n_b").alias("n"),
+        *KEY,
+        n.alias("n"),
         F.col("plain").cast("long").alias("plain"),
         (F.col("n_a") * F.col("n_b")).alias("all_pairs"),
+        F.round(P.intersection_cost(n, p.gamma), 3).alias("expanded"),
         F.col("cost").cast("long").alias("cost"),
     )
 
 
+def prune_grid(p: Problem, bins_per_t: int, ts: tuple[int, ...], epss: tuple[float, ...], deltas: tuple[float, ...], seeds: int) -> DataFrame:
+    """Trade-off of size-ordered pruning for every (t, eps, delta, seed) and percentile, in one plan.
+
+    Matches per bin pair do not depend on the noise, so they are counted once
+    and joined to the levels of every trial. Columns: t, eps, delta, seed,
+    percent, cost, cost_ratio, recall.
+    """
+    na, nb, sizes = noisy_grid(p, bins_per_t, ts, epss, deltas, seeds)
+    pooled = na.unionByName(nb).groupBy(*KEY).agg(F.percentile("n_noisy", F.array(*[F.lit(x / 100) for x in prune.PERCENTS])).alias("thresholds"))
+    level = F.lit(0)
+    for i in range(len(prune.PERCENTS) - 1, -1, -1):
+        if prune.PERCENTS[i] > 0:
+            level = F.when(F.least("na", "nb") > F.element_at("thresholds", i + 1), prune.PERCENTS[i]).otherwise(level)
+    met = _met(p, na, nb).join(F.broadcast(pooled), KEY).withColumn("percent", level.cast("int"))  # one row per trial
+    live = p.blocking.strategy(p.a.sparkSession).withColumn("rank", F.lit(0).cast("long"))
+    hits = materialize(compare(p.a, p.b, p.rule, p.blocking, live).groupBy("a_bin", "b_bin").agg(F.count("*").alias("m")), "grid-hits")
+    per = met.join(hits, ["a_bin", "b_bin"], "left").groupBy(*KEY, "percent").agg(F.sum((F.col("na") * F.col("nb")).cast("decimal(38,0)")).alias("c"), F.sum(F.coalesce("m", F.lit(0))).alias("m"))
+    along = W.partitionBy(*KEY).orderBy(F.col("percent").desc()).rowsBetween(W.unboundedPreceding, 0)
+    whole = W.partitionBy(*KEY)
+    run = per.select(*KEY, "percent", F.sum("c").over(along).cast("long").alias("cost"), F.sum("m").over(along).alias("found"), F.sum("m").over(whole).alias("truth"))
+    return run.join(sizes, "t").select(
+        *KEY, "percent", "cost", (F.col("cost") / (F.col("n_a") * F.col("n_b"))).alias("cost_ratio"), (F.col("found") / F.col("truth")).alias("recall")
+    )
+
+
+def averaged(log: DataFrame, by: list[str], values: tuple[str, ...] = ("cost_ratio", "recall")) -> DataFrame:
+    """Number of runs, and mean and deviation of each value over the seeds."""
+    each = [f(F.col(v)) for v in values for f in (lambda c, v=v: F.round(F.avg(c), 6).alias(f"{v}"), lambda c, v=v: F.round(F.stddev_samp(c), 6).alias(f"{v}_sd"))]
+    return log.groupBy(*by).agg(F.count("*").alias("runs"), *each)
+
+
 def outcome(p: Problem, r: P.LinkResult, **labels: object) -> DataFrame:
     """One row: labels, party sizes, truth, output, recall, cost, cost ratio."""
     truth = compare(p.a, p.b, p.rule, p.blocking) if r.truth is None else r.truth
