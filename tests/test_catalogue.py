@@ -9,6 +9,7 @@ QUICK = [
     "p19_coin_flip_prune", "s1_thresholds", "s5_curve", "g4_retirement", "g5_block_cost", "w3_product", "m7_slope", "m10_expected", "m12_colocation", "m13_ratio", "m15_witness", "d6_constrained",
     "w12_names", "w14_texts", "w15_passages", "w17_talks", "join_asof", "join_interval", "join_range_bucketed", "join_skew_salted", "agg_cube", "win_range", "nearest_match", "udtf_ball",
     "stream_tumbling", "stream_session", "stream_dedup", "stream_join", "stream_late", "stream_daily_padded", "c3_hamming_terms", "sql_surface",
+    "r4_phonetic", "p17_profile_search", "w10_one_sided_law", "w4_location", "sql_bloom", "sql_noise_pad", "stream_budget", "c3_squares", "agg_approx_distinct",
 ]
 
 

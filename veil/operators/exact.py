@@ -15,17 +15,30 @@ def _sides(a: DataFrame, b: DataFrame, rule: Rule, *extra: str) -> tuple[DataFra
     return a.select(*cols).alias("a"), b.select(*cols).alias("b")
 
 
+#: Pairs up to which a rule without any index is compared in full.
+MOST_PAIRS = 100_000_000
+
+
 def match_join(a: DataFrame, b: DataFrame, rule: Rule, index: Blocking | None = None) -> DataFrame:
     """All pairs ``a_id, b_id`` that the rule accepts.
 
-    Equality parts of the rule become join keys. ``index`` names a blocking
-    that loses no match, which turns the rest into an equi-join on bins; with
-    neither, the join compares every pair and is for small inputs.
+    ``index`` names a blocking that loses no match; without one, the rule's own
+    index gives join keys. A rule with neither compares every pair, and raises
+    beyond ``MOST_PAIRS`` pairs.
     """
     if index is not None:
         return compare(a, b, rule, index)
     x, y = _sides(a, b, rule)
-    return x.join(y, rule.condition()).select(F.col("a.rid").alias("a_id"), F.col("b.rid").alias("b_id"))
+    keys = rule.lossless_index()
+    if keys is None:
+        if a.count() * b.count() > MOST_PAIRS:
+            raise ValueError("the rule has no index and the parties are too large to compare every pair; give a blocking")
+        return x.join(y, rule.condition()).select(F.col("a.rid").alias("a_id"), F.col("b.rid").alias("b_id"))
+    i = x.select(F.col("rid").alias("a_id"), F.explode(keys[0]).alias("meet"))
+    j = y.select(F.col("rid").alias("b_id"), F.explode(keys[1]).alias("meet"))
+    met = i.join(j, "meet").select("a_id", "b_id").distinct()  # a pair that shares many keys is checked once
+    near = met.join(x, F.col("a_id") == F.col("a.rid")).join(y, F.col("b_id") == F.col("b.rid")).filter(rule.condition())
+    return near.select("a_id", "b_id").distinct()
 
 
 def compare(a: DataFrame, b: DataFrame, rule: Rule, blocking: Blocking, live: DataFrame | None = None) -> DataFrame:

@@ -570,7 +570,25 @@ def p17(s, d):
     return s.createDataFrame(rows, "k int, window int, probability double, symmetric double, local_eps double")
 
 
-@query("p18_projection")
+def planes_sql(dim_in: int, dim_out: int, seed: int) -> str:
+    from random import Random
+
+    rng = Random(seed)
+    axes = [[rng.gauss(0, 1) for _ in range(dim_in)] for _ in range(dim_out)]
+    return " + ".join(f"CASE WHEN list_inner_product(v, [{', '.join(map(repr, x))}]::DOUBLE[]) >= 0 THEN {1 << i} ELSE 0 END" for i, x in enumerate(axes))
+
+
+_MOVED = f"list_transform(v, lambda x, i: x + 0.02::DOUBLE * (2 * {u(chr(39) + 'v|' + chr(39) + ' || rid || ' + chr(39) + '|' + chr(39) + ' || (i - 1)')} - 1))"
+
+
+def vectors_sql(home: str) -> str:
+    return f"""WITH v0 AS (SELECT vec_id AS rid, list_transform(embedding, lambda x: x::DOUBLE) AS v FROM embeddings), v1 AS (SELECT rid, {_MOVED} AS v FROM v0),
+a AS (SELECT rid, v, CAST({home} AS BIGINT) AS bin FROM v0), b AS (SELECT rid, v, CAST({home} AS BIGINT) AS bin FROM v1),
+truth AS (SELECT a.rid AS a_id, b.rid AS b_id FROM a JOIN b ON list_distance(a.v, b.v) <= 0.2), {flip_sql('a', 3)}, {flip_sql('b', 3)}, {met_sql(3)}
+SELECT (SELECT count(*) FROM truth) AS n_truth, (SELECT count(*) FROM found) AS n_found, round((SELECT count(*) FROM found) / (SELECT count(*) FROM truth), 9) AS recall, CAST((SELECT cost FROM cst) AS BIGINT) AS cost"""
+
+
+@query("p18_projection", vectors_sql(planes_sql(64, 4, 7)))
 def p18(s, d):
     p = W.vectors(s, d)
     q = CF.window_profile(16, 3, EPS)
@@ -991,16 +1009,7 @@ def w12(s, d):
     return X.outcome(p, P.plain(p.a, p.b, p.rule, p.blocking))
 
 
-_MOVED = f"list_transform(v, lambda x, i: x + 0.02::DOUBLE * (2 * {u(chr(39) + 'v|' + chr(39) + ' || rid || ' + chr(39) + '|' + chr(39) + ' || (i - 1)')} - 1))"
-
-
-@query(
-    "w13_vectors",
-    f"""WITH v0 AS (SELECT vec_id AS rid, list_transform(embedding, lambda x: x::DOUBLE) AS v FROM embeddings), v1 AS (SELECT rid, {_MOVED} AS v FROM v0),
-a AS (SELECT rid, v, CAST({_SIGN} AS BIGINT) AS bin FROM v0), b AS (SELECT rid, v, CAST({_SIGN} AS BIGINT) AS bin FROM v1),
-truth AS (SELECT a.rid AS a_id, b.rid AS b_id FROM a JOIN b ON list_distance(a.v, b.v) <= 0.2), {flip_sql('a', 3)}, {flip_sql('b', 3)}, {met_sql(3)}
-SELECT (SELECT count(*) FROM truth) AS n_truth, (SELECT count(*) FROM found) AS n_found, round((SELECT count(*) FROM found) / (SELECT count(*) FROM truth), 9) AS recall, CAST((SELECT cost FROM cst) AS BIGINT) AS cost""",
-)
+@query("w13_vectors", vectors_sql(_SIGN))
 def w13(s, d):
     p = W.vectors(s, d)
     q = CF.window_profile(16, 3, EPS)
@@ -1008,40 +1017,20 @@ def w13(s, d):
     return M.recall(r.matches, compare(p.a, p.b, p.rule, B.cyclic_window(16, 16, F.col("home")))).crossJoin(r.cost.select(F.col("cost").cast("long").alias("cost")))
 
 
-@query("w14_texts", "WITH d AS (SELECT doc_id, lang, translate(lower(substr(text, 1, 60)), 'äöüßéèêçñóíáú', '0123456789@~^') AS h FROM documents) SELECT x.doc_id AS a_id, y.doc_id AS b_id FROM d x JOIN d y ON x.lang = y.lang AND x.doc_id % 2 = 0 AND y.doc_id % 2 = 1 AND abs(length(x.h) - length(y.h)) <= 6 AND levenshtein(x.h, y.h) <= 6")
-def w14(s, d):
-    """Equal heads are collapsed first; distinct heads meet on shared pieces.
+def similar_sql(rows: str) -> str:
+    """Pairs of whole texts whose sets of word triples have a similarity of three quarters; ``rows`` gives r, side, k, text."""
+    return f"""WITH d AS ({rows}), w AS (SELECT r, side, k, list_filter(regexp_split_to_array(lower(text), '\\s+'), lambda x: x <> '') AS w FROM d),
+g AS (SELECT DISTINCT r, side, k, array_to_string(w[i:i + 2], ' ') AS g FROM w, unnest(range(1, greatest(len(w) - 2, 1) + 1)) AS u(i) WHERE len(w) > 0),
+n AS (SELECT r, count(*) AS n FROM g GROUP BY r),
+o AS (SELECT x.r AS a, y.r AS b, count(*) AS m FROM g x JOIN g y ON x.g = y.g AND x.k = y.k AND x.side = 0 AND y.side = 1 GROUP BY ALL)
+SELECT a AS a_id, b AS b_id FROM o JOIN n na ON na.r = a JOIN n nb ON nb.r = b WHERE m >= greatest(1, 0.75::DOUBLE * (na.n + nb.n - m))"""
+
 
-    At most six edits leave at least one of seven pieces of a head intact
-    within a shift of six, so pieces and shifted windows are join keys.
-    """
+@query("w14_texts", similar_sql("SELECT doc_id AS r, doc_id % 2 AS side, lang AS k, text FROM documents"))
+def w14(s, d):
+    """Near copies between two holders of whole documents, by prefixes of their word triples."""
     p = W.texts(s, d)
-    return head_join(p.a, p.b, "lang", 6)
-
-
-def head_join(a: DataFrame, b: DataFrame, key: str, most: int, length: int = 60) -> DataFrame:
-    """Pairs with equal ``key`` and at most ``most`` edits between ``head``s, by pieces as join keys (pigeonhole).
-
-    A's heads are cut into ``most + 1`` pieces; an untouched piece occurs in B's
-    head at most ``most`` places away. Heads shorter than ``4 * (most + 1)``
-    meet by key and length instead.
-    """
-    step, short = length // (most + 1), 4 * (most + 1)
-    x = a.select(F.col(key).alias("k"), "head").distinct()
-    y = b.select(F.col(key).alias("k"), F.col("head").alias("other")).distinct()
-    long_x = x.filter(F.length("head") >= short)
-    size = F.floor(F.length("head") / (most + 1)).cast("int")
-    pieces = F.transform(F.sequence(F.lit(0), F.lit(most)), lambda i: F.struct((i * size + 1).alias("at"), F.substr("head", i * size + 1, size).alias("w")))
-    px = long_x.select("k", "head", F.explode(pieces).alias("p")).select("k", "head", F.col("p.at").alias("at"), F.col("p.w").alias("w"))
-    lens = list(range(short // (most + 1), step + 2))
-    spots = F.sequence(F.lit(1), F.length("other"))
-    py = y.select("k", "other", F.explode(spots).alias("spot")).select("k", "other", "spot", F.explode(F.array(*map(F.lit, lens))).alias("n"))
-    py = py.filter(F.col("spot") + F.col("n") - 1 <= F.length("other")).select("k", "other", "spot", F.substr("other", F.col("spot"), F.col("n")).alias("w"))
-    cand = px.join(py, ["k", "w"]).filter(F.abs(F.col("at") - F.col("spot")) <= most).select("k", "head", "other").distinct()
-    tiny = x.filter(F.length("head") < short).alias("x").join(y.filter(F.length("other") < short + most).alias("y"), F.col("x.k") == F.col("y.k")).select("x.k", "head", "other")
-    near = cand.unionByName(tiny).filter(F.levenshtein("head", "other", most) >= 0).withColumnRenamed("head", "h1").withColumnRenamed("other", "h2")
-    one = near.join(a.select(F.col("rid").alias("a_id"), F.col(key).alias("k"), F.col("head").alias("h1")), ["k", "h1"])
-    return one.join(b.select(F.col("rid").alias("b_id"), F.col(key).alias("k"), F.col("head").alias("h2")), ["k", "h2"]).select("a_id", "b_id")
+    return match_join(p.a, p.b, p.rule)
 
 
 _G5 = "list_distinct(list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' ')))"
@@ -1066,7 +1055,7 @@ def w16_hosts(s, d):
     return P.intersect(h.filter("rid % 2 = 0"), h.filter("rid % 2 = 1"), ["h"]).matches
 
 
-@query("w17_talks", "WITH c AS (SELECT conv_id || ':' || turn AS r, conv_id, role, substr(text, 1, 30) AS h FROM conversations) SELECT x.r AS a_id, y.r AS b_id FROM c x JOIN c y ON x.role = y.role AND x.conv_id % 2 = 0 AND y.conv_id % 2 = 1 AND levenshtein(x.h, y.h) <= 5")
+@query("w17_talks", similar_sql("SELECT conv_id || ':' || turn AS r, conv_id % 2 AS side, role AS k, text FROM conversations"))
 def w17(s, d):
     p = W.talks(s, d)
-    return head_join(p.a, p.b, "role", 5, 30)
+    return match_join(p.a, p.b, p.rule)

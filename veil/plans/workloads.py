@@ -11,7 +11,7 @@ from veil.functions import encode as E
 from veil.functions import rules as R
 from veil.functions.hashing import hash_int, uniform
 from veil.operators import blocking as B
-from veil.sources.shared import table
+from veil.sources.shared import materialize, table
 
 BOX_X, BOX_Y, CELLS, SLOTS = 160.0, 100.0, 4, 4
 SIZE_X, SIZE_Y, THETA = 40.0, 25.0, 0.2
@@ -132,44 +132,67 @@ def vectors(spark: SparkSession, sf_dir: str, window: int = 3) -> Problem:
 LANGS = ("de", "en", "es", "fr")
 
 
+def word_grams(text: Column, n: int = 3) -> Column:
+    """Hashes of the distinct runs of ``n`` lower-cased words of a whole text; shorter texts are one run, blank ones none."""
+    w = F.transform(F.filter(F.split(F.lower(text), r"\s+"), lambda x: x != ""), lambda x: F.xxhash64(x))
+    k = F.greatest(F.size(w) - (n - 1), F.lit(1))
+    g = F.slice(w, F.lit(1), k)
+    for i in range(2, n + 1):
+        g = F.zip_with(g, F.slice(w, F.lit(i), k), lambda a, b: F.xxhash64(a, F.coalesce(b, F.lit(0))))
+    return F.when(F.size(w) > 0, F.array_distinct(g)).otherwise(F.array().cast("array<bigint>"))
+
+
+SIMILAR = 0.75
+
+
 def texts(spark: SparkSession, sf_dir: str) -> Problem:
-    """Heads of documents of even against odd ids in one language, at most 6 edits."""
-    d = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("rid"), "lang", F.lower(F.substring("text", 1, 60)).alias("head"))
-    rule = R.all_of(R.equal("lang"), R.edit("head", 6))
+    """Whole documents of even against odd ids in one language, similar in three quarters of their word triples."""
+    d = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("rid"), "lang", word_grams(F.col("text")).alias("g"))
+    rule = R.all_of(R.equal("lang"), R.qgram("g", SIMILAR))
     number = F.array_position(F.array(*map(F.lit, LANGS)), F.col("lang")).cast("long")
-    return Problem("texts", d.filter("rid % 2 = 0"), d.filter("rid % 2 = 1"), rule, B.equal_keys("lang", len(LANGS) + 1, F.coalesce(number, F.lit(0).cast("long"))), ("lang", "head"))
+    return Problem("texts", d.filter("rid % 2 = 0"), d.filter("rid % 2 = 1"), rule, B.equal_keys("lang", len(LANGS) + 1, F.coalesce(number, F.lit(0).cast("long"))), ("lang", "g"))
 
 
 ROLES = ("system", "user", "assistant")
 
 
 def talks(spark: SparkSession, sf_dir: str) -> Problem:
-    """Heads of turns of even against odd conversations with one role, at most 5 edits."""
+    """Whole turns of even against odd conversations with one role, similar in three quarters of their word triples."""
     c = table(spark, sf_dir, "conversations")
     rid = F.concat_ws(":", "conv_id", "turn")
-    c = c.select(rid.alias("rid"), "conv_id", "role", F.substring("text", 1, 30).alias("head"))
-    rule = R.all_of(R.equal("role"), R.edit("head", 5))
+    c = c.select(rid.alias("rid"), "conv_id", "role", word_grams(F.col("text")).alias("g"))
+    rule = R.all_of(R.equal("role"), R.qgram("g", SIMILAR))
     number = F.array_position(F.array(*map(F.lit, ROLES)), F.col("role")).cast("long")
-    return Problem("talks", c.filter("conv_id % 2 = 0"), c.filter("conv_id % 2 = 1"), rule, B.equal_keys("role", len(ROLES) + 1, F.coalesce(number, F.lit(0).cast("long"))), ("role", "head"))
+    return Problem("talks", c.filter("conv_id % 2 = 0"), c.filter("conv_id % 2 = 1"), rule, B.equal_keys("role", len(ROLES) + 1, F.coalesce(number, F.lit(0).cast("long"))), ("role", "g"))
 
 
 def passages(spark: SparkSession, sf_dir: str, least: float = 0.5) -> DataFrame:
     """Documents that hold at least a share of a benchmark passage's word 5-grams: set containment by grams as keys.
 
-    ``doc_id, item_id, shared, total``. Gram hashes of both sides are distinct
-    per record before they meet; the passages' side is a small table.
+    ``doc_id, item_id, shared, total``. Grams are hashed to 64 bits and distinct
+    per record; those of documents that no passage has are dropped before the
+    shuffle while the passages' grams are few enough to be broadcast (checked).
     """
 
     def grams(df: DataFrame, key: str) -> DataFrame:
         w = F.split(F.btrim(F.lower(F.col("text"))), r"\s+")
         rows = df.select(key, w.alias("w")).filter(F.size("w") >= 5)
-        g = F.slice("w", 1, F.size("w") - 4)
+        h = F.transform("w", lambda x: F.xxhash64(x))
+        rows = rows.select(key, h.alias("h"))
+        g = F.slice("h", 1, F.size("h") - 4)
         for k in range(2, 6):  # shifted copies zipped together: linear in the words
-            g = F.zip_with(g, F.slice("w", k, F.size("w") - 4), lambda a, b: F.concat(a, F.lit(" "), b))
+            g = F.zip_with(g, F.slice("h", k, F.size("h") - 4), lambda a, b: F.xxhash64(a, b))
         return rows.select(key, F.explode(F.array_distinct(g)).alias("g"))
 
     d = grams(table(spark, sf_dir, "documents").select("doc_id", "text"), "doc_id")
-    b = grams(table(spark, sf_dir, "benchmark").select("item_id", "text"), "item_id")
+    b = materialize(grams(table(spark, sf_dir, "benchmark").select("item_id", "text"), "item_id"), "passage-grams")
     total = b.groupBy("item_id").agg(F.count("*").alias("total"))
+    names = b.select("g").distinct()
+    if names.count() <= MOST_NAMES:
+        d = d.join(F.broadcast(names), "g", "left_semi")
     shared = d.join(b, "g").groupBy("doc_id", "item_id").agg(F.count("*").alias("shared"))
     return shared.join(total, "item_id").filter(F.col("shared") >= least * F.col("total")).select("doc_id", "item_id", "shared", "total")
+
+
+#: Grams of passages (eight bytes each) up to which they are broadcast to thin out the documents' grams before the shuffle.
+MOST_NAMES = 2_000_000
