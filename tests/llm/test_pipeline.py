@@ -31,8 +31,9 @@ def test_every_stage_against_a_plain_version(spark):
     three = P.personal_data(spark, two, SF)
     left = {r.doc_id: r.text for r in three.collect()}
     assert three.columns == cols and left.keys() == want
-    clean = [i for i in want if not spark.createDataFrame([(rows[i].text,)], "t string").select(pii_feistel.count_finds(F.col("t"))).first()[0]] if len(want) < 20 else []
-    assert all(left[i] == rows[i].text for i in clean)
+    counted = spark.createDataFrame([(i, rows[i].text) for i in want], "i long, t string").select("i", pii_feistel.count_finds(F.col("t")).alias("n")).collect()
+    clean = [r.i for r in counted if r.n == 0]
+    assert len(clean) > len(want) / 2 and all(left[i] == rows[i].text for i in clean)
     assert not any("@mail" in t and ".example.com" in t for t in left.values())
     four = P.mixing(spark, three, SF)
     copies = Counter(r.doc_id for r in four.collect())

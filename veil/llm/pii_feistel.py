@@ -17,7 +17,9 @@ and a scan stays linear on very long texts. Texts without a find are returned as
 
 Defined results: null texts stay null, empty texts empty; finds that fail
 validation are left alone; repeated rows are rewritten alike; extra columns
-pass through.
+pass through; an empty table gives an empty table. Not covered: IBANs, addresses
+of the sixth internet protocol, dates in other layouts than year-month-day,
+numbers of other countries and ten bare digits.
 """
 
 from __future__ import annotations
@@ -209,7 +211,7 @@ def pseudonym(m: Column, key: str) -> Column:
         return m.rlike(f"^(?:{PATTERNS[name]})$")
 
     lower = F.lower(m)
-    mail = F.concat(F.lit("u"), _tag(lower, key, 12), F.lit("@"), F.lit("mail.invalid"))
+    mail = F.concat(F.lit("u"), _tag(lower, key, 24), F.lit("@"), F.lit("mail.invalid"))
     access = F.concat(F.substr(m, F.lit(1), F.lit(4)), F.translate(_tag(m, key, 16), HEX, LETTERS))
     head = F.regexp_extract(m, r"^[^=:]*[=:]", 0)
     secret = F.concat(head, _tag(m, key, 18))
