@@ -6,10 +6,10 @@ added, and a copy is emitted for every integer boundary that the running sum
 crosses. Ordering by size makes every stratum of sizes sampled in proportion,
 so the words taken come near the target and not only the number of documents.
 
-The prefix sum runs over all sources at once in three levels: rows are summed
-inside buckets (source, size, hash range), the bucket totals along each size
-class, and the class totals, a small table, along each source; the rows add
-the starts of both. No task holds a source, only a bucket; there are at least 64
+The prefix sum runs over all sources at once in four levels: rows are summed
+inside buckets (source, size, hash range), the buckets of a size along its hash
+ranges, the sizes along each size class, and the classes, a small table, along
+each source; the rows add the starts of all. No task holds a source, only a bucket; there are at least 64
 hash ranges, more for more rows, so a bucket stays bounded even when one
 source or one size holds a third of the table. The order is (size, digest, id)
 at every number of ranges, so the result does not depend on it. Targets need a
@@ -83,14 +83,19 @@ def emit_copies(docs: DataFrame, expected: Column, group: str, size: str, key: s
             "__t": tie,
         }
     ).withColumns({"__c": F.floor(F.conv(F.substr("__t", F.lit(1), F.lit(8)), 16, 10).cast("long") * classes / (1 << 32)).cast("int"), "__n": F.col(size)})
-    level, bucket = ["__g", "__o", "__m"], ["__g", "__o", "__m", "__n", "__c"]
+    level = ["__g", "__o", "__m"]
+    one, bucket = [*level, "__n"], [*level, "__n", "__c"]
     totals = rows.groupBy(*bucket).agg(F.sum("__u").alias("__b"))
-    before = W.partitionBy("__g").orderBy("__o", "__m").rowsBetween(W.unboundedPreceding, -1)
-    levels = totals.groupBy(*level).agg(F.sum("__b").alias("__b"))
-    levels = levels.select(*level, F.coalesce(F.sum("__b").over(before), F.lit(0)).alias("__first"))
-    along = W.partitionBy(*level).orderBy("__n", "__c").rowsBetween(W.unboundedPreceding, -1)
-    starts = totals.select(*bucket, F.coalesce(F.sum("__b").over(along), F.lit(0)).alias("__start")).join(levels, level)
-    starts = starts.select(*bucket, (F.col("__first") + F.col("__start")).alias("__start"))
+
+    def before(parts: list[str], *order: str) -> Column:
+        along = W.partitionBy(*parts).orderBy(*order).rowsBetween(W.unboundedPreceding, -1)
+        return F.coalesce(F.sum("__b").over(along), F.lit(0))
+
+    sizes = totals.groupBy(*one).agg(F.sum("__b").alias("__b"))
+    levels = sizes.groupBy(*level).agg(F.sum("__b").alias("__b")).select(*level, before(["__g"], "__o", "__m").alias("__first"))
+    sizes = sizes.select(*one, before(level, "__n").alias("__next"))
+    starts = totals.select(*bucket, before(one, "__c").alias("__start")).join(sizes, one).join(levels, level)
+    starts = starts.select(*bucket, (F.col("__first") + F.col("__next") + F.col("__start")).alias("__start"))
     inside = W.partitionBy(*bucket).orderBy("__t", key).rowsBetween(W.unboundedPreceding, 0)
     run = rows.withColumn("__run", F.sum("__u").over(inside)).join(starts, bucket)
     offset = F.floor(uniform(F.lit(seed), F.col("__g")) * UNIT).cast("long")
