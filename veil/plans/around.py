@@ -62,9 +62,9 @@ def sink_bucketed(s, d):
 # ---- projection, filter -------------------------------------------------------------------------------------------
 
 
-@query("proj_struct", f"WITH {w1(2)} SELECT rid, slot // 4 AS day, slot % 4 AS quarter_day, bin % 16 AS cell FROM a")
+@query("proj_struct", f"WITH {w1()} SELECT rid, slot // 4 AS day, slot % 4 AS quarter_day, bin % 16 AS cell FROM a")
 def proj_struct(s, d):
-    p = WL.location(s, d, 2)
+    p = WL.location(s, d)
     key = F.struct(F.floor(F.col("slot") / 4).alias("day"), (F.col("slot") % 4).alias("quarter_day"), (F.element_at(p.blocking.bins(), 1) % 16).alias("cell"))
     return p.a.select("rid", key.alias("k")).select("rid", "k.day", "k.quarter_day", "k.cell")
 
@@ -105,7 +105,7 @@ for _how, _sql in (("semi", "IN"), ("anti", "NOT IN")):
         return table(s, d, "customer").join(table(s, d, "orders"), F.col("c_custkey") == F.col("o_custkey"), f"left_{how}").select("c_custkey")
 
 
-@query("unmatched_records", f"WITH {w1(1)} SELECT rid FROM a WHERE rid NOT IN (SELECT a_id FROM truth)")
+@query("unmatched_records", f"WITH {w1()} SELECT rid FROM a WHERE rid NOT IN (SELECT a_id FROM truth)")
 def unmatched(s, d):
     p = WL.location(s, d)
     return p.a.join(match_join(p.a, p.b, p.rule, p.blocking).select(F.col("a_id").alias("rid")), "rid", "left_anti").select("rid")
@@ -279,7 +279,7 @@ def topk_group(s, d):
     return table(s, d, "orders").withColumn("k", F.row_number().over(w)).filter("k <= 3").select("o_orderpriority", "o_orderkey")
 
 
-@query("nearest_match", f"WITH {w1(1)}, t AS (SELECT a_id, b_id, ((a.x - b.x) / 40) * ((a.x - b.x) / 40) + ((a.y - b.y) / 25) * ((a.y - b.y) / 25) AS d2 FROM truth JOIN a ON a.rid = a_id JOIN b ON b.rid = b_id) SELECT a_id, min_by(b_id, (d2, b_id)) AS b_id FROM t GROUP BY a_id")
+@query("nearest_match", f"WITH {w1()}, t AS (SELECT a_id, b_id, ((a.x - b.x) / 40) * ((a.x - b.x) / 40) + ((a.y - b.y) / 25) * ((a.y - b.y) / 25) AS d2 FROM truth JOIN a ON a.rid = a_id JOIN b ON b.rid = b_id) SELECT a_id, min_by(b_id, (d2, b_id)) AS b_id FROM t GROUP BY a_id")
 def nearest(s, d):
     p = WL.location(s, d)
     m = match_join(p.a, p.b, p.rule, p.blocking)
