@@ -80,7 +80,8 @@ _BATCH_CONF = "spark.sql.execution.arrow.maxRecordsPerBatch"
 
 
 @contextlib.contextmanager
-def _small_batches(spark: SparkSession):
+def small_batches(spark: SparkSession):
+    """Batches of at most ``BATCH_ROWS`` rows for what runs inside."""
     old = spark.conf.get(_BATCH_CONF)
     small = 0 < int(old) <= BATCH_ROWS
     if not small:
@@ -118,7 +119,7 @@ def materialize(df: DataFrame, label: str) -> DataFrame:
     """
     spark = df.sparkSession
     path = shared_path(spark, label)
-    with _small_batches(spark):
+    with small_batches(spark):
         df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out.written_at = path
