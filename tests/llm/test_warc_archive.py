@@ -1,5 +1,8 @@
 import base64
+import gzip
 import hashlib
+import io
+import zlib
 
 from veil.llm import warc_archive as A
 from veil.sources.shared import shared_path
@@ -35,24 +38,41 @@ def test_round_trip_with_revisits(spark):
     assert body[9] == "one" and body[6] == "é😀" * 50_000 and body[5] == PAGES[5][2]
 
 
-def test_files_are_bounded_and_standard(spark, monkeypatch):
-    monkeypatch.setattr(A, "RECORDS_PER_FILE", 10)
-    df = spark.createDataFrame([(i, f"http://h/{i}", f"body {i % 40}") for i in range(200)], "page_id long, url string, html string")
+def test_files_are_bounded_and_standard(spark):
+    noise = [hashlib.sha512(str(i % 40).encode()).hexdigest() * 4 for i in range(200)]
+    df = spark.createDataFrame([(i, f"http://h/{i}", t) for i, t in enumerate(noise)], "page_id long, url string, html string")
     path = shared_path(spark, "t-warc")
-    A.write(df.coalesce(1), path)
-    files = spark.read.format("binaryFile").load(path)
-    assert files.count() >= 20
-    import gzip
-    import io
-
+    A.write(df.coalesce(1), path, file_bytes=8000)
+    files = spark.read.format("binaryFile").load(path).collect()
+    assert len(files) >= 10 and all(f.path.endswith(".warc.gz") and f.length <= 8000 for f in files)
     n = 0
-    for r in files.collect():
-        for head, block in A.parse_stream(gzip.open(io.BytesIO(r.content))):
-            n += 1
+    for f in files:
+        kinds = []
+        rest = bytes(f.content)
+        while rest:  # each record can be read from its own member
+            z = zlib.decompressobj(31)
+            stream = io.BytesIO(z.decompress(rest))
+            assert z.eof
+            ((head, block),) = A.parse_stream(stream)
+            kinds.append(head["warc-type"])
             assert head["warc-record-id"].startswith("<urn:uuid:") and int(head["content-length"]) == len(block)
             assert (head["warc-type"] == "revisit") == ("warc-refers-to" in head)
+            rest = z.unused_data
+        assert kinds[0] == "warcinfo" and "warcinfo" not in kinds[1:]
+        n += len(kinds) - 1
     assert n == 200
 
 
+def test_records_larger_than_a_file(spark):
+    big = "0123456789abcdef" * (17 << 16)  # 17 MB, so the member does not end in a zero byte
+    df = spark.createDataFrame([(1, "u", big), (2, "u", "small"), (3, "u", big)], "page_id long, url string, html string")
+    path = shared_path(spark, "t-warc")
+    A.write(df.coalesce(1), path, file_bytes=1000)
+    got = {r.page_id: r for r in A.read(spark, path).collect()}
+    assert bytes(got[3].payload).decode() == big and got[1].refers_to == 3 and got[1].payload_bytes == len(big) and bytes(got[2].payload) == b"small"
+    for f in spark.read.format("binaryFile").load(path).collect():
+        assert gzip.decompress(bytes(f.content)).startswith(b"WARC/1.1\r\nWARC-Type: warcinfo\r\n")
+
+
 def test_empty_table(spark):
     assert A.archive(spark.createDataFrame([], "page_id long, url string, html string")).count() == 0

@@ -5,17 +5,21 @@ records whose payload equals another's are joined to the response that holds
 it, and archives are written with fresh headers: one ``response`` per payload,
 ``revisit`` records for the rest. Payloads move once, by page, to be written.
 
-Archives are written by Spark's text writer (each record is one value, the
-last line break of a record is the writer's line separator) and read as whole
-binary files, so they live on any file system that Spark reaches, and a lost
-executor's part is written again by the usual commit protocol. Files hold a
-bounded number of records and are parsed as a stream, by ``Content-Length``.
+Archives are what standard readers expect: gzip files that begin with a
+``warcinfo`` record and hold one gzip member per record, so that a record can be
+read from its offset alone. Python tasks pack members into files of bounded
+bytes and Spark's text writer writes one such value a file, so archives live on
+any file system that Spark reaches, and a lost executor's part is written again
+by the usual commit protocol. Files are read whole and parsed as a stream, by
+``Content-Length``.
 
 Defined results: null payloads are empty and count as equal; payloads shorter
 than ``least`` bytes are all responses; a null page id sorts below every other
 and has no page header; rows repeated with one page id and payload make the
-same decision; line breaks in URLs are percent-encoded; an empty table gives
-an archive without records.
+same decision; line breaks in URLs are percent-encoded; a record larger than
+``file_bytes`` has a file of its own, and Spark's limit for one value (2 GB) is
+the limit of a payload; columns other than ``page_id, url, html`` take no part;
+an empty table gives an archive without records.
 """
 
 from __future__ import annotations
@@ -24,18 +28,21 @@ import base64
 import gzip
 import hashlib
 import io
+import uuid
+import zlib
 from collections.abc import Iterator
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from veil.sources.shared import in_arrow, materialize, shared_path
+from veil.sources.shared import in_arrow, materialize, shared_path, small_batches
 
 ALPHABET = "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 DATE = "2024-01-01T00:00:00Z"
-RECORDS_PER_FILE = 4000
+#: Compressed bytes after which a new archive file begins; a task holds one file in memory.
+FILE_BYTES = 32 << 20
 SCHEMA = "page_id long, url string, record_type string, payload_bytes long, payload_digest string, refers_to long, payload binary"
 
 
@@ -112,10 +119,69 @@ def records(pages: DataFrame, least: int = 0) -> DataFrame:
     return r.select(F.concat(head, F.lit("\r\n"), block, F.lit("\r\n")).alias("value"))
 
 
-def write(pages: DataFrame, path: str, least: int = 0) -> None:
-    """Write deduplicated archives, gzip-compressed, below ``path``."""
-    out = records(pages, least).write.option("lineSep", "\r\n").option("compression", "gzip")
-    out.option("maxRecordsPerFile", RECORDS_PER_FILE).text(path)
+def _member(record: bytes) -> bytes:
+    """One gzip member, without name and time, so that equal records give equal bytes."""
+    z = zlib.compressobj(6, zlib.DEFLATED, 31)
+    return z.compress(record) + z.flush()
+
+
+def _info(first: bytes) -> bytes:
+    """The ``warcinfo`` record of the archive that begins with the record ``first``."""
+    fields = b"software: veil\r\nformat: WARC File Format 1.1\r\n"
+    name = uuid.UUID(bytes=hashlib.sha1(b"warcinfo" + first).digest()[:16])
+    head = f"WARC/1.1\r\nWARC-Type: warcinfo\r\nWARC-Record-ID: <urn:uuid:{name}>\r\nWARC-Date: {DATE}\r\nContent-Type: application/warc-fields\r\nContent-Length: {len(fields)}\r\n\r\n"
+    return head.encode() + fields + b"\r\n\r\n"
+
+
+def _pack(batches: Iterator[pa.RecordBatch], schema: pa.Schema, file_bytes: int) -> Iterator[pa.RecordBatch]:
+    """Whole archive files, one a row.
+
+    The writer ends a value with a zero byte. A member's last byte is zero if
+    its record has less than 16 MB, so that byte is left to the writer; after a
+    larger record the zero is padding, which gzip readers skip.
+    """
+
+    def archive_of(members: list[bytes]) -> pa.RecordBatch:
+        whole = b"".join(members)
+        return pa.RecordBatch.from_arrays([pa.array([whole[:-1] if whole[-1] == 0 else whole], schema[0].type)], schema=schema)
+
+    members: list[bytes] = []
+    held = 0
+    for b in batches:
+        for value in b.column("value"):
+            record = value.as_buffer().to_pybytes() + b"\r\n"
+            member = _member(record)
+            if members and held + len(member) > file_bytes:
+                yield archive_of(members)
+                members, held = [], 0
+            if not members:
+                members.append(_member(_info(record)))
+                held = len(members[0])
+            members.append(member)
+            held += len(member)
+    if members:
+        yield archive_of(members)
+
+
+def _name_archives(spark: SparkSession, path: str) -> None:
+    """Rename the writer's files to ``.warc.gz``: one metadata operation a file, no data."""
+    to = spark.sparkContext._jvm.org.apache.hadoop.fs.Path
+    p = to(path)
+    fs = p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    for f in fs.listStatus(p):
+        name = f.getPath().getName()
+        if name.endswith(".txt") and not fs.rename(f.getPath(), to(p, name.removesuffix(".txt") + ".warc.gz")):
+            raise OSError(f"could not rename {name}")
+
+
+def write(pages: DataFrame, path: str, least: int = 0, file_bytes: int = FILE_BYTES) -> None:
+    """Write deduplicated archives of about ``file_bytes`` compressed bytes at most below ``path``."""
+    spark = pages.sparkSession
+    with small_batches(spark):
+        files = in_arrow(records(pages, least), _pack, "value binary", file_bytes)
+        out = files.select(F.col("value").cast("string")).write.option("lineSep", "\0")
+        out.option("maxRecordsPerFile", 1).text(path)
+    _name_archives(spark, path)
 
 
 def parse_stream(f: io.BufferedIOBase) -> Iterator[tuple[dict[str, str], bytes]]:
@@ -143,8 +209,10 @@ def _rows(files: Iterator[pa.RecordBatch], schema: pa.Schema) -> Iterator[pa.Rec
             held = 0
             with gzip.open(io.BytesIO(content.as_py())) as f:
                 for head, block in parse_stream(f):
-                    http, _, payload = block.partition(b"\r\n\r\n")
                     kind = head["warc-type"]
+                    if kind == "warcinfo":
+                        continue
+                    http, _, payload = block.partition(b"\r\n\r\n")
                     if kind == "response":
                         size, digest = len(payload), base64.b32encode(hashlib.sha1(payload).digest()).decode()
                         if f"sha1:{digest}" != head["warc-payload-digest"]:
