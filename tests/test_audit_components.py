@@ -5,7 +5,8 @@ from pyspark.sql import functions as F
 
 from veil.functions import encode as E
 from veil.functions import rules as R
-from veil.operators.components import connected_components
+from veil.operators.components import connected_components, merge_components
+from veil.sources.shared import materialize
 from veil.plans import audit as A
 from veil.plans import coin_flip as CF
 
@@ -63,6 +64,17 @@ def test_components(spark, edges):
     assert got == plain_components(edges)
 
 
+def test_components_grow_with_new_edges(spark):
+    r = random.Random(2)
+    edges = [(r.randrange(300), r.randrange(300)) for _ in range(260)] + [(500, x) for x in range(400, 500)]
+    edges = [(a, b) for a, b in edges if a != b]
+    old, new = edges[::2], edges[1::2]
+    table = lambda rows: materialize(spark.createDataFrame(rows, "a long, b long"), "t-edges")
+    got = merge_components(connected_components(table(old)), table(new))
+    assert {x.node: x.component for x in got.collect()} == plain_components(edges)
+    assert got.count() == len(plain_components(edges))
+
+
 def test_components_of_nothing_and_the_cap(spark):
     assert connected_components(spark.createDataFrame([], "a long, b long")).count() == 0
     with pytest.raises(RuntimeError):
