@@ -53,7 +53,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from veil.llm.word_hash import BLOCK, mix, segments, word_hashes
-from veil.operators.components import connected_components
+from veil.operators.components import connected_components, merge_components
 from veil.operators.skew import hot_keys, join_hot
 from veil.sources.shared import discard, drop_written, in_arrow, materialize
 
@@ -320,8 +320,12 @@ def _ordered(a, b):
 SLICE = 4096
 
 
-def links(sets: DataFrame) -> DataFrame:
-    """Links ``a, b`` between sets that have the components of all links."""
+def components(sets: DataFrame) -> DataFrame:
+    """``node, component`` of every set that links with another one.
+
+    Components of the links found first grow with the links that later steps
+    find between them; links within a component are not looked for.
+    """
     groups = materialize(
         sets.groupBy("gid").agg(
             F.min("ref").alias("leader"),
@@ -356,9 +360,9 @@ def links(sets: DataFrame) -> DataFrame:
     found = materialize(_verified(first, sets), "join-links-0")
 
     open_lists = not long_lists.isEmpty()
-    labels = None
+    labels = connected_components(found)
+    drop_written(found)
     for k in range(1, HUB_ROUNDS + 1):
-        labels = connected_components(found)
         if not open_lists:
             break
         apart = materialize(_apart(whole, labels), f"join-apart-{k}")
@@ -366,8 +370,9 @@ def links(sets: DataFrame) -> DataFrame:
             open_lists = False
             break
         if k < HUB_ROUNDS:
-            more = _verified(_hub_pairs(apart, k).distinct(), sets)
-            found = materialize(found.unionByName(more).distinct(), f"join-links-{k}")
+            more = materialize(_verified(_hub_pairs(apart, k).distinct(), sets), f"join-links-{k}")
+            labels = merge_components(labels, more)
+            drop_written(more)
     if open_lists:
         keyed = apart.join(sets.select(F.col("ref").alias("leader"), "keys"), "leader")
         slices = F.ceil(F.col("len") / SLICE).cast("int")
@@ -382,8 +387,8 @@ def links(sets: DataFrame) -> DataFrame:
     left = materialize(left.distinct().join(first, ["a", "b"], "left_anti"), "join-rest")
     drop_written(lists, short, in_lists, whole, first)
     if left.isEmpty():
-        return found
-    return materialize(found.unionByName(_verified(left, sets)).distinct(), "join-links")
+        return labels
+    return merge_components(labels, materialize(_verified(left, sets), "join-links"))
 
 
 def _between_groups(pairs: DataFrame, groups: DataFrame, sets: DataFrame, labels: DataFrame, large: DataFrame) -> DataFrame:
@@ -517,8 +522,7 @@ def _labelled(docs: DataFrame, text: str, key: str, mark: Column, count: bool =
     packed = found.filter("blob is not null").select("bucket", "blob").repartitionById(parts, "bucket")
     sets = materialize(in_arrow(packed, _prefix_rows, SETS), "join-sets")
     discard(found)
-    linked = links(sets)
-    nodes = connected_components(linked).withColumnRenamed("node", "ref")
+    nodes = components(sets).withColumnRenamed("node", "ref")
     solid = rows.filter("ref is not null")
     copies = materialize(solid.groupBy("ref").agg(F.count("*").alias("copies")), "join-copies")
     if count:
