@@ -9,7 +9,7 @@ from veil.plans import measure as M
 from veil.plans import protocols as P
 
 #: Queries that count pairs where records meet: none of their jobs carries pairs of ids.
-COUNTED = ["p2_prune"]
+COUNTED = ["p2_prune", "p7_suppressed"]
 
 
 @pytest.mark.parametrize("name", COUNTED)
