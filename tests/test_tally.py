@@ -10,7 +10,7 @@ from veil.plans import measure as M
 from veil.plans import protocols as P
 
 #: Queries that count pairs where records meet: none of their jobs carries pairs of ids.
-COUNTED = ["p2_prune", "p7_suppressed", "b6_multi", "m4_recall", "p11_plain", "p1_padded", "p8_allpairs", "d2_same_output", "p2_prune_product", "p13_coin_flip", "p10_expanded", "p11_plain_product", "p14_window", "p15_one_sided", "p16_symmetric", "p19_coin_flip_prune", "p8_allpairs_product", "p9_intersect"]
+COUNTED = ["p2_prune", "p7_suppressed", "b6_multi", "m4_recall", "p11_plain", "p1_padded", "p8_allpairs", "d2_same_output", "p2_prune_product", "p13_coin_flip", "p10_expanded", "p11_plain_product", "p14_window", "p15_one_sided", "p16_symmetric", "p19_coin_flip_prune", "p8_allpairs_product", "p9_intersect", "w2s_skewed"]
 
 
 @pytest.mark.parametrize("name", COUNTED)
