@@ -1,11 +1,12 @@
 import random
 
+import numpy as np
 from pyspark.sql import functions as F
 
 from veil.functions import rules as R
-from veil.operators import near
+from veil.operators import chase, near
 from veil.operators.blocking import equal_keys
-from veil.plans import around
+from veil.plans import around, catalogue
 
 RULE = R.all_of(R.equal("slot"), R.euclidean(["x", "y"], 0.2, [40.0, 25.0]))
 SF = "/root/testdata/sf0.001"
@@ -46,3 +47,20 @@ def test_nearest_keeps_one_row_per_record_and_ties_by_id(spark, monkeypatch):
 def test_nearest_match_writes_no_pairs(spark):
     plan = around.nearest(spark, SF)._jdf.queryExecution().optimizedPlan().toString()
     assert "Join" not in plan
+
+
+def test_merge_points_to_the_smallest_node():
+    label = np.arange(8)
+    near._merge(label, np.array([5, 6, 7]), np.array([6, 7, 2]))
+    near._merge(label, np.array([3, 4]), np.array([4, 3]))
+    assert label.tolist() == [0, 1, 2, 3, 3, 2, 2, 2]
+
+
+def test_retirement_writes_no_edges(spark, monkeypatch):
+    from veil.sources import shared
+
+    labels = []
+    for m in (catalogue, chase):
+        monkeypatch.setattr(m, "materialize", lambda df, label: labels.append(label) or shared.materialize(df, label), raising=False)
+    assert catalogue.g4(spark, SF).count() > 0
+    assert "chase-edges" not in labels and "chase-reached" not in labels
