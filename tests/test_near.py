@@ -1,8 +1,11 @@
 import random
 
 import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
+import __spark_entry__ as entry
+from tests.oracle import same
 from veil.functions import rules as R
 from veil.operators import chase, near
 from veil.operators.blocking import equal_keys
@@ -64,3 +67,42 @@ def test_retirement_writes_no_edges(spark, monkeypatch):
         monkeypatch.setattr(m, "materialize", lambda df, label: labels.append(label) or shared.materialize(df, label), raising=False)
     assert catalogue.g4(spark, SF).count() > 0
     assert "chase-edges" not in labels and "chase-reached" not in labels
+
+
+@pytest.mark.parametrize("name", ["p3_chase", "p5_chase_prune"])
+def test_chase_of_points_writes_no_match_graph(spark, monkeypatch, name):
+    from veil.plans import protocols
+    from veil.sources import shared
+
+    labels = []
+    for m in (protocols, chase):
+        monkeypatch.setattr(m, "materialize", lambda df, label: labels.append(label) or shared.materialize(df, label))
+    same(spark, name, entry.queries(), entry.oracle_sql())
+    assert not {"compared", "graph", "chase-edges", "chase-reached"} & set(labels)
+
+
+def test_chased_rows_equal_the_chase_of_the_pairs(spark, monkeypatch):
+    monkeypatch.setattr(near, "ROWS", 2)
+    ranks = {(0, 0): 2, (1, 0): 1}
+    a, b = (x.withColumn("pos", F.col("rid") + 1) for x in _parties(spark))
+    pairs = list(_brute())
+    up = {}
+
+    def root(v):
+        while up.setdefault(v, v) != v:
+            v = up[v]
+        return v
+
+    for i, j, *_ in pairs:
+        up[root(("b", j))] = root(("a", i))
+    first = {}
+    for i, j, _, x, y in pairs:
+        if (k := ranks.get((int(x), int(y)))) is not None:
+            c = root(("a", i))
+            first[c] = min(first.get(c, (k, i + 1, j + 1)), (k, i + 1, j + 1))
+    rows = near.chased(a, b, RULE, _block(), ranks).collect()
+    want = {("ab"[s], v): first.get(root(("ab"[s], v)), (None,) * 3) for s in (0, 1) for v in {p[s] for p in pairs}}
+    assert {("ab"[r.side], r.rid): (r.t, r.p, r.q) for r in rows} == want and len(rows) == len(want)
+    assert sum(r.matches for r in rows) == len(pairs)
+    assert sorted((r.t, r.p, r.q) for r in rows if r.first) == sorted(first.values())
+    assert all(r.rid + 1 == r.p for r in rows if r.first)
