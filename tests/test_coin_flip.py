@@ -1,5 +1,6 @@
 import itertools
 import random
+from hashlib import md5
 from math import exp
 
 from pyspark.sql import functions as F
@@ -61,3 +62,14 @@ def test_empirical_recall_is_near_the_law(spark):
     rows = X.flip_law(p, home, 16, (1,), 3.0, lambda w: (q, q), 6).collect()
     mean = sum(r.recall for r in rows) / len(rows)
     assert abs(mean - rows[0].law) < 0.15
+
+
+def test_a_record_is_hashed_once_and_moves_by_its_draw(spark):
+    q = R.window_profile(16, 3, 1.6)
+    df = R.assign(spark.range(2000).selectExpr("id AS rid", "id % 16 AS home"), F.col("home"), q, "a", 1)
+    assert df._jdf.queryExecution().optimizedPlan().toString().count("md5(") == 1
+    bounds = list(itertools.accumulate(q[:-1]))
+    draw = lambda rid: int(md5(f"1|a|{rid}|flip".encode()).hexdigest()[:13], 16) / (1 << 52)
+    for r in df.collect():
+        assert r.flip_bin == (r.home + sum(draw(r.rid) >= b for b in bounds)) % 16
+    assert df.columns == ["rid", "home", "flip_bin"]
